@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from flowregions.llm import ball_tree, bpe, mixture, permutation_index, quality
+from flowregions.llm import ball_tree, bpe, mixture, permutation_index, quality, set_join
 from flowregions.llm.common import read
 
 
@@ -32,11 +32,15 @@ def op5_ball_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ball_tree.top_products(read(spark, sf_dir, "embeddings"), every=50, k=5)
 
 
+def op8_set_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return set_join.near_duplicates(read(spark, sf_dir, "documents"))
+
+
 def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.classify(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels"))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_bpe_round_trip, op2_permutation_index, op3_mixture, op5_ball_tree, op9_quality)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_bpe_round_trip, op2_permutation_index, op3_mixture, op5_ball_tree, op8_set_join, op9_quality)}
 
 #: The mixture of ``documents`` as one statement; also the source of the pipeline's SQL.
 MIXTURE_SQL = r"""
