@@ -18,13 +18,14 @@ import json
 import unicodedata
 from collections.abc import Iterator
 from functools import lru_cache
+from struct import pack
 
 import numpy as np
 from pyspark.sql import DataFrame
 
 WORD_END = "</w>"
-#: Chunks kept in a worker's memory, and the longest chunk that is kept.
-CHUNKS, CHUNK_CHARS = 300_000, 64
+#: Chunks, and words, kept in a worker's memory, and the longest that is kept.
+CHUNKS, CHUNK_CHARS = 500_000, 64
 #: Up to here, letters and their cases are the same in all Unicode versions.
 LATIN = "\u024f"
 #: Pairs kept in the compatibility table.
@@ -84,6 +85,7 @@ class Encoder:
         self.offsets = np.concatenate([[0], np.cumsum([len(p) for p in pieces])]).astype(np.int64)
         self.letters = np.frombuffer(b"".join(pieces), dtype=np.uint8)
         self.cache: dict[str, bytes] = {}
+        self.known: dict[str, bytes] = {}
 
     def merged(self, ids: list[int]) -> list[int]:
         """The plain merge loop, for the short strings of one token or one pair."""
@@ -110,6 +112,16 @@ class Encoder:
         return known
 
     def word(self, symbols: str) -> list[int]:
+        """The longest matches from the left, where all their pairs are compatible; else the way back."""
+        chain = [i for _, (_, i) in self.finder.iter_long(symbols)]
+        own, fits, before = self.own, self.fits, None
+        for i in chain:
+            if not (own.get(i) or self.whole(i)) or before is not None and not (fits[before, i] if (before, i) in fits else self.pair(before, i)):
+                return self.backtracked(symbols)
+            before = i
+        return chain
+
+    def backtracked(self, symbols: str) -> list[int]:
         n = len(symbols)
         starts: list[list[tuple[int, int]]] = [[] for _ in range(n)]
         for end, (size, i) in self.finder.iter(symbols):
@@ -147,11 +159,18 @@ class Encoder:
             words = self.words(unicodedata.normalize("NFC", text).lower())
         else:  # which characters are letters, and their lower case, depend on the Unicode version: the tokenizer's own tables decide
             words = [w for w, _ in self.cut(self.normal(text))]
-        out: list[int] = []
+        known, out = self.known, []
         for word in words:
-            raw = word.encode("utf-8", "surrogatepass").decode("latin-1")
-            out += self.word(raw[:-1] + chr(ord(raw[-1]) + 256))
-        return np.array(out, dtype="<u4").tobytes()
+            if (got := known.get(word)) is None:
+                raw = word if word.isascii() else word.encode("utf-8", "surrogatepass").decode("latin-1")
+                ids = self.word(raw[:-1] + chr(ord(raw[-1]) + 256))
+                got = pack(f"<{len(ids)}I", *ids)
+                if len(word) <= CHUNK_CHARS:
+                    if len(known) >= CHUNKS:
+                        known.clear()
+                    known[word] = got
+            out.append(got)
+        return out[0] if len(out) == 1 else b"".join(out)
 
     def part(self, text: str) -> list[bytes]:
         pieces = self.space(text) if any(c in text for c in "\x1c\x1d\x1e\x1f") else text.split()
