@@ -111,7 +111,7 @@ def top_products(vectors: DataFrame, every: int = 50, k: int = 5, id_col: str =
     shards = S.count_shards(rows)
 
     def visit(asked: pa.Table, shard: pa.Table) -> pa.Table:
-        there = {x.shape[1]: (ids, np.floor(scale * x)) for _, ids, x in S.matrices(shard)} if shard.num_rows else {}
+        there = {x.shape[1]: (ids, np.floor(scale * x)) for _, ids, x in S.matrices(shard, "row", "w")} if shard.num_rows else {}
         floor = asked.column("kth").to_numpy() if asked.num_rows else np.zeros(0)
         cols: tuple[list, list, list] = ([], [], [])
         for at, q_ids, q in S.matrices(asked) if asked.num_rows else ():

@@ -97,7 +97,7 @@ def nearest(vectors: DataFrame, every: int = 20, k: int = 20, id_col: str = "vec
     lifted = np.hstack([chosen, lift[:, None]])
 
     def visit(asked: pa.Table, shard: pa.Table) -> pa.Table:
-        there = {x.shape[1]: (ids, x) for _, ids, x in S.matrices(shard)} if shard.num_rows else {}
+        there = {x.shape[1]: (ids, x) for _, ids, x in S.matrices(shard, "row", "w")} if shard.num_rows else {}
         found = []
         for _, q_ids, q in S.matrices(asked) if asked.num_rows else ():
             if q.shape[1] in there:

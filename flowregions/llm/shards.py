@@ -27,12 +27,12 @@ def usable(frame: DataFrame, id_col: str, vector_col: str, zero: bool = True) ->
     return rows.groupBy("id").agg(F.min("v").alias("v"))
 
 
-def matrices(table) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-    """(row numbers, ids, matrix) of an Arrow table with id and v, for each length of vector."""
-    v = table.column("v").combine_chunks()
+def matrices(table, id_col: str = "id", vector_col: str = "v") -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """(row numbers, ids, matrix) of an Arrow table, for each length of vector."""
+    v = table.column(vector_col).combine_chunks()
     flat = v.flatten().to_numpy(zero_copy_only=False)
     ends = np.cumsum(v.value_lengths().to_numpy(zero_copy_only=False))
-    ids = table.column("id").to_numpy()
+    ids = table.column(id_col).to_numpy()
     size = np.diff(ends, prepend=0)
     for d in np.unique(size):
         rows = np.flatnonzero(size == d)
@@ -40,7 +40,8 @@ def matrices(table) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
 
 
 def visits(queries: DataFrame, rows: DataFrame, search: Callable, schema: str, shard_rows: int = SHARD_ROWS, block: int = BLOCK_QUERIES, home: Column | None = None, shards: int = 0) -> DataFrame:
-    """``search(query table, shard table)`` for each block of queries and each shard, as a co-group on (shard, block).
+    """``search(query table, shard table)`` for each block of queries and each shard, as a co-group on (shard, block). The shard's
+    columns are ``row`` (its id) and ``w``.
 
     Shards are dealt by a hash of the id, so one very common vector spreads evenly. home: only the
     visits it allows take place; it may use ``shard`` and the queries' columns.
@@ -50,8 +51,8 @@ def visits(queries: DataFrame, rows: DataFrame, search: Callable, schema: str, s
     left = queries.withColumn("block", F.pmod(F.xxhash64("id", F.lit(1)), F.lit(blocks)).cast("int")).withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(shards - 1))))
     if home is not None:
         left = left.filter(home)
-    right = rows.withColumn("shard", shard_of(shards)).withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
-    return left.groupBy("shard", "block").cogroup(right.groupBy("shard", "block")).applyInArrow(search, schema)
+    right = rows.select(F.col("id").alias("row"), F.col("v").alias("w"), shard_of(shards).alias("of_shard"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("of_block"))
+    return left.groupBy("shard", "block").cogroup(right.groupBy("of_shard", "of_block")).applyInArrow(search, schema)
 
 
 def count_shards(rows: DataFrame, shard_rows: int = SHARD_ROWS) -> int:
