@@ -6,10 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from flowregions.llm import ball_tree, bpe, mixture, permutation_index, quality, set_join
+from flowregions.llm import ball_tree, bpe, line_dedup, mixture, permutation_index, pseudonyms, quality, quotations, set_join, unit_dedup
 from flowregions.llm.common import read
 
 
+#: The key of the registered query; a user passes an own one.
+PSEUDONYM_KEY = "example key of the registered query"
+
+
 def tokenizer() -> str:
     import public_tokenizers
 
@@ -28,10 +32,22 @@ def op3_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixture.plan(read(spark, sf_dir, "documents"))
 
 
+def op4_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pseudonyms.protect(read(spark, sf_dir, "documents"), key=PSEUDONYM_KEY)
+
+
 def op5_ball_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ball_tree.top_products(read(spark, sf_dir, "embeddings"), every=50, k=5)
 
 
+def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_dedup.deduplicate(read(spark, sf_dir, "documents")).select("doc_id", "text", "n_lines", "n_removed")
+
+
+def op7_unit_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return unit_dedup.deduplicate(read(spark, sf_dir, "documents"))
+
+
 def op8_set_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return set_join.near_duplicates(read(spark, sf_dir, "documents"))
 
@@ -40,7 +56,11 @@ def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.classify(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels"))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_bpe_round_trip, op2_permutation_index, op3_mixture, op5_ball_tree, op8_set_join, op9_quality)}
+def op10_quotations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quotations.conversations(read(spark, sf_dir, "conversations"))
+
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_bpe_round_trip, op2_permutation_index, op3_mixture, op4_pseudonyms, op5_ball_tree, op6_line_dedup, op7_unit_dedup, op8_set_join, op9_quality, op10_quotations)}
 
 #: The mixture of ``documents`` as one statement; also the source of the pipeline's SQL.
 MIXTURE_SQL = r"""
