@@ -25,8 +25,8 @@ def cell_segments(units: DataFrame) -> DataFrame:
 
 def from_segments(segments: DataFrame) -> DataFrame:
     """Polygons given by their sides: units with a side in common; corners alone do not count."""
-    low, high = F.struct("x1", "y1"), F.struct("x2", "y2")
-    canonical = segments.select("network_id", "unit_id", F.least(low, high).alias("p"), F.greatest(low, high).alias("q")).withColumn("len", F.hypot(F.col("q.x1") - F.col("p.x1"), F.col("q.y1") - F.col("p.y1")))
+    low, high = (F.struct(F.col(f"x{k}").alias("x"), F.col(f"y{k}").alias("y")) for k in (1, 2))
+    canonical = segments.select("network_id", "unit_id", F.least(low, high).alias("p"), F.greatest(low, high).alias("q")).withColumn("len", F.hypot(F.col("q.x") - F.col("p.x"), F.col("q.y") - F.col("p.y")))
     # a side belongs to two units at most: they are found by one aggregation, without a self-join
     shared = canonical.filter("len > 0").groupBy("network_id", "p", "q").agg(F.min("unit_id").alias("a"), F.max("unit_id").alias("b"), F.first("len").alias("len")).filter("a != b")
     return shared.groupBy("network_id", "a", "b").agg(F.sum("len").alias("shared_len"))
