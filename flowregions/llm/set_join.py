@@ -13,8 +13,9 @@ its band is posted in the next band's segments too.
    document or more are one class, keyed by the digest of the set.
 2. Each bucket counts its signatures; those of one class alone are dropped.
 3. Each class keeps its rarest shared signatures, or drops out when too few are shared.
-4. In every signature's group all classes are compared with a centre (exact, on the sets); groups
-   whose classes are not yet connected are then compared pair by pair.
+4. In every signature's group all classes are compared with a centre (exact, on the sets). Where
+   that leaves a group unconnected, the classes outside the main component are compared with all of
+   their cluster, in blocks.
 5. Components of the links.
 
 Signatures that are frequent in a small sample bypass the buckets, so a bucket stays bounded; the
@@ -36,7 +37,9 @@ WIDTH, NUMERATOR, DENOMINATOR = 5, 75, 100
 #: Segments for each shingle of the largest set of a band; bands below TOKENS have a segment for each shingle.
 DENSITY, TOKENS = 0.4, 64
 #: Signatures packed together by a task, letters behind one bucket, classes compared together by a task.
-FLUSH, BUCKET_LETTERS, COMPARED = 1_500_000, 25_000_000, 2_000
+FLUSH, BUCKET_LETTERS, COMPARED = 600_000, 10_000_000, 2_000
+#: Classes of a block that is compared with another.
+BLOCK = 600
 #: Sampled documents, and the number of them a signature must be in to bypass the buckets.
 SAMPLE, OFTEN = 1_500, 15
 #: Ids that may be broadcast (8 bytes each).
@@ -342,19 +345,13 @@ def candidates(texts: DataFrame, how: dict) -> DataFrame:
     return table(counted.groupBy("part").applyInArrow(pick, ROWS))
 
 
-def compare(edges: DataFrame, low: DataFrame, texts: DataFrame, how: dict) -> DataFrame:
-    """The links among ``edges`` (a, b: classes): pairs whose sets reach the threshold exactly.
-
-    low: (key, id) of each class. Sets are hashed anew from the texts of the classes in question, and
-    many pairs of few classes are compared in one task; a frequent ``a`` is dealt to several.
-    """
+def hashed_sets(keys: DataFrame, low: DataFrame, texts: DataFrame, how: dict) -> DataFrame:
+    """(key, hashes) of the classes ``keys``, hashed anew from one document of each and written once."""
     import pyarrow as pa
 
-    num, den, width = how["num"], how["den"], how["width"]
-    needed = edges.select(F.col("a").alias("key")).union(edges.select(F.col("b").alias("key"))).distinct().join(low, "key").select("key", "id")
-    needed = cut(needed)
-    ids = needed.select("id")
-    if needed.count() <= BROADCAST_IDS:
+    width = how["width"]
+    ids = cut(keys.join(low, "key").select("id"))
+    if ids.count() <= BROADCAST_IDS:
         ids = F.broadcast(ids)
 
     def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -363,7 +360,17 @@ def compare(edges: DataFrame, low: DataFrame, texts: DataFrame, how: dict) -> Da
                 sets = [shingles(t, width) for t in batch.column("text").slice(k, 512).to_pylist()]
                 yield pa.RecordBatch.from_pydict({"key": pa.array([digest(s) for s in sets], pa.int64()), "hashes": pa.array([s.tobytes() for s in sets], pa.binary())})
 
-    sets = table(texts.join(ids, "id").select("text").mapInArrow(hashed, "key long, hashes binary"))
+    return table(texts.join(ids, "id").select("text").mapInArrow(hashed, "key long, hashes binary"))
+
+
+def compare(edges: DataFrame, sets: DataFrame, how: dict) -> DataFrame:
+    """The links among ``edges`` (a, b: classes): pairs whose sets reach the threshold exactly.
+
+    Many pairs of few classes are compared in one task; a frequent ``a`` is dealt to several.
+    """
+    import pyarrow as pa
+
+    num, den = how["num"], how["den"]
     degree = edges.groupBy("a").agg(F.count("*").alias("degree"))
     groups = max(1, -(-edges.count() // COMPARED))
     salt = F.pmod(F.xxhash64("b"), F.ceil(F.col("degree") / (COMPARED // 4)))
@@ -390,6 +397,76 @@ def compare(edges: DataFrame, low: DataFrame, texts: DataFrame, how: dict) -> Da
     return cut(left.groupBy("grp").cogroup(right.groupBy("of")).applyInArrow(check, "a long, b long"))
 
 
+def common(xs: list[np.ndarray], ys: list[np.ndarray]) -> np.ndarray:
+    """Sizes of all intersections of two lists of sets, by matrix products over slices of their common hashes."""
+    out = np.zeros((len(xs), len(ys)), dtype=np.float32)
+    x, y = np.concatenate(xs), np.concatenate(ys)
+    shared = np.intersect1d(x, y)
+    if not len(shared):
+        return out.astype(np.int64)
+    parts = []
+    for values, sets in ((x, xs), (y, ys)):
+        at = np.minimum(np.searchsorted(shared, values), len(shared) - 1)
+        hit = shared[at] == values
+        row = np.repeat(np.arange(len(sets)), [len(s) for s in sets])[hit]
+        order = np.argsort(at[hit], kind="stable")
+        parts.append((row[order], at[hit][order]))
+    for begin in range(0, len(shared), 4096):
+        dense = []
+        for (row, col), sets in zip(parts, (xs, ys), strict=True):
+            a, b = np.searchsorted(col, [begin, begin + 4096])
+            m = np.zeros((len(sets), 4096), dtype=np.float32)
+            m[row[a:b], col[a:b] - begin] = 1
+            dense.append(m)
+        out += dense[0] @ dense[1].T
+    return out.astype(np.int64)
+
+
+def compare_blocks(members: DataFrame, sets: DataFrame, how: dict) -> DataFrame:
+    """Links (a, b) between labels, from members (cluster, key, label): all classes that are not of their cluster's main label against all of the cluster.
+
+    Blocks of at most BLOCK classes meet in a task, as matrix products; nothing is sent on but which labels are linked.
+    """
+    import pyarrow as pa
+
+    num, den = how["num"], how["den"]
+    each = members.groupBy("cluster", "label").agg(F.count("*").alias("n"))
+    main = cut(each.groupBy("cluster").agg(F.max(F.struct("n", F.col("label").alias("l"))).alias("m"), F.sum("n").alias("all"), F.count("*").alias("labels")).filter("labels > 1").select("cluster", F.col("m.l").alias("main"), F.col("all").alias("n_all"), (F.col("all") - F.col("m.n")).alias("n_out")))
+    total = main.agg(F.sum("n_all")).first()[0]
+    if not total:
+        return members.sparkSession.createDataFrame([], "a long, b long")
+    groups = max(1, -(-total // BLOCK))
+    across, down = F.ceil(F.col("n_all") / BLOCK).cast("int"), F.ceil(F.col("n_out") / BLOCK).cast("int")
+    rows = members.join(main, "cluster").join(sets, "key").withColumn("i", F.pmod(F.xxhash64("key", F.lit(3)), down).cast("int")).withColumn("j", F.pmod(F.xxhash64("key", F.lit(4)), across).cast("int"))
+    # clusters of one block share tasks; the blocks of a large one are dealt to tasks of their own
+    task = F.pmod(F.xxhash64("cluster", "i", "j"), F.lit(groups * 4))
+    out = rows.filter("label != main").withColumn("j", F.explode(F.sequence(F.lit(0), across - 1))).select(task.alias("task"), "cluster", "i", "j", "label", "hashes")
+    all_ = rows.withColumn("i", F.explode(F.sequence(F.lit(0), down - 1))).select(task.alias("task_"), F.col("cluster").alias("cluster_"), F.col("i").alias("i_"), F.col("j").alias("j_"), F.col("label").alias("label_"), F.col("hashes").alias("hashes_"))
+
+    def blocks(tab: pa.Table, end: str) -> dict:
+        found: dict = {}
+        for *at, label, x in zip(*(tab.column(c + end).to_pylist() for c in ("cluster", "i", "j", "label", "hashes")), strict=True):
+            found.setdefault(tuple(at), []).append((label, np.frombuffer(x, dtype=U)))
+        return found
+
+    def check(left: pa.Table, right: pa.Table) -> pa.Table:
+        found = set()
+        there = blocks(right, "_")
+        for at, xs in blocks(left, "").items():
+            ys = there.get(at, ())
+            if ys:
+                both = common([x for _, x in xs], [y for _, y in ys])
+                sizes = np.array([len(x) for _, x in xs])[:, None] + np.array([len(y) for _, y in ys])[None, :]
+                a, b = np.array([p for p, _ in xs]), np.array([p for p, _ in ys])
+                i, j = np.nonzero((den * both >= num * (sizes - both)) & (a[:, None] != b[None, :]))
+                if len(i):
+                    found |= set(map(tuple, np.unique(np.stack([a[i], b[j]], axis=1), axis=0).tolist()))
+        found = sorted(found)
+        return pa.table({"a": pa.array([f[0] for f in found], pa.int64()), "b": pa.array([f[1] for f in found], pa.int64())})
+
+    return cut(out.groupBy("task").cogroup(all_.groupBy("task_")).applyInArrow(check, "a long, b long").distinct())
+
+
 def components(links: DataFrame, nodes: DataFrame) -> DataFrame:
     """(key, label): the smallest label reachable by links, from (key, label) nodes and (a, b) links between keys.
 
@@ -427,20 +504,23 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     fits = lambda n, m: den * F.least(n, m) >= num * F.greatest(n, m)
 
     centre = posts.groupBy("sig").agg(F.max(F.struct("weight", "key", "n")).alias("centre"), F.count("*").alias("many")).filter("many > 1").select("sig", F.col("centre.key").alias("a"), F.col("centre.n").alias("an"))
-    star = cut(posts.join(centre, "sig").filter((F.col("key") != F.col("a")) & fits(F.col("n"), F.col("an"))).select("a", F.col("key").alias("b")).distinct())
-    links = compare(star, low, texts, how)
-    ends = cut(posts.select("key").distinct().join(low, "key").select("key", F.col("id").alias("label")))
-    labels = components(links, ends)
+    star = cut(posts.join(centre, "sig").filter(F.col("key") != F.col("a")).select("a", "an", F.col("key").alias("b"), "n").distinct())
+    ends = cut(star.select(F.col("a").alias("key")).union(star.select(F.col("b").alias("key"))).distinct().join(low, "key").select("key", F.col("id").alias("label")))
+    sets = hashed_sets(ends.select("key"), low, texts, how)
+    labels = components(compare(star.filter(fits(F.col("n"), F.col("an"))).select("a", "b"), sets, how), ends)
 
+    # groups of one signature whose classes are not all connected by now: their clusters are compared in blocks
     told = posts.join(labels, "key")
-    open_ = told.groupBy("sig").agg(F.min("label").alias("least"), F.max("label").alias("most")).filter("least < most").select("sig").join(centre, "sig")
-    around = cut(told.join(open_, "sig").join(labels.select(F.col("key").alias("a"), F.col("label").alias("al")), "a").select("sig", "key", "n", "label", "a", "al"))
-    out = around.filter("label != al")
-    pairs = out.select("sig", F.col("key").alias("x"), F.col("n").alias("xn"), F.col("label").alias("xl")).join(around.select("sig", "key", "n", "label", "a", "al"), "sig")
-    pairs = pairs.filter((F.col("xl") != F.col("label")) & (F.col("key") != F.col("a")) & fits(F.col("n"), F.col("xn"))).filter((F.col("label") == F.col("al")) | (F.col("x") < F.col("key")))
-    rest = cut(pairs.select(F.col("x").alias("a"), F.col("key").alias("b")).distinct())
-    if not rest.isEmpty():
-        labels = components(compare(rest, low, texts, how), labels)
+    open_ = told.groupBy("sig").agg(F.min("label").alias("least"), F.max("label").alias("most")).filter("least < most").select("sig")
+    around = cut(told.join(open_, "sig", "left_semi").select("sig", "key", "label"))
+    if not around.isEmpty():
+        seed = around.groupBy("sig").agg(F.min("key").alias("a"))
+        near = cut(around.join(seed, "sig").filter(F.col("key") != F.col("a")).select("a", F.col("key").alias("b")).distinct())
+        nodes = cut(around.select("key", "label").distinct())
+        clusters = components(near, nodes.join(low, "key").select("key", F.col("id").alias("label"))).withColumnRenamed("label", "cluster")
+        links = compare_blocks(nodes.join(clusters, "key").select("cluster", "key", "label"), sets, how)
+        joined = components(links, cut(links.select(F.col("a").alias("key")).union(links.select(F.col("b").alias("key"))).distinct().withColumn("label", F.col("key"))))
+        labels = labels.join(joined.select(F.col("key").alias("label"), F.col("label").alias("to")), "label", "left").select("key", F.coalesce("to", "label").alias("label"))
     moved = labels.join(low, "key").filter("label != id").select("key", "label")
     whole = low.join(moved, "key", "left").select("key", F.coalesce("label", "id").alias("component_id"))
     linked = F.when(F.col("n") > 0, F.col("key"))
