@@ -91,6 +91,7 @@ def cut_path(trajectory: DataFrame, units: DataFrame, model: str, b: int | None
 def run_frames(flows: DataFrame, units: DataFrame, adjacency: DataFrame, rep: str = "w", steps: int | None = None) -> DataFrame:
     """The same path by DataFrame steps alone, one job for each merge: for tiny networks, as a check of the kernel."""
     model = "frame"
+    flows, adjacency = cut(flows.select("network_id", "src", "dst", "w")), cut(adjacency.select("network_id", "a", "b"))
     part = cut(units.select("network_id", F.lit(model).alias("model"), "unit_id", F.col("unit_id").alias("label")))
     path = None
     step = 0
@@ -108,41 +109,40 @@ def run_frames(flows: DataFrame, units: DataFrame, adjacency: DataFrame, rep: st
     return path
 
 
-def run_rounds(flows: DataFrame, units: DataFrame, adjacency: DataFrame, rep: str = "w", most_rounds: int = 60) -> tuple[DataFrame, DataFrame]:
-    """(partition, history (round, b, dl)) of networks too large for one task: many merges a round.
+def run_rounds(flows: DataFrame, units: DataFrame, adjacency: DataFrame, rep: str = "w", most_rounds: int = 12) -> tuple[DataFrame, DataFrame]:
+    """(partition, history (network_id, round, b, dl)) of networks too large for one task: many merges a round.
 
-    In a round every group nominates its best touching partner by gain; mutual nominations merge
-    together, and of the nominated pairs only those better than half of the round's best are taken.
-    A round is kept when the exact length falls, else its batch is halved; the end is a single pair
-    that does not help. Contiguity holds throughout; the order of merges is not the sequential one.
+    In a round every group nominates its best touching partner by gain, and mutual nominations merge
+    together, the better half of them first. A network whose exact length does not fall keeps its
+    partition and tries half as many next time, down to one; then it is done. Contiguity holds
+    throughout; the order of merges is not the sequential one. The driver sees two numbers a round.
     """
     model = "rounds"
+    flows, adjacency = cut(flows.select("network_id", "src", "dst", "w")), cut(adjacency.select("network_id", "a", "b"))
     part = cut(units.select("network_id", F.lit(model).alias("model"), "unit_id", F.col("unit_id").alias("label")))
-    score = lambda p: cut(dl.total(flows, p, rep).select("network_id", F.col("b").cast("int").alias("b"), "dl"))
-    now = score(part)
-    history = now.select("network_id", F.lit(0).alias("round"), "b", "dl")
-    share = 1.0
+    score = lambda p: dl.total(flows, p, rep).select("network_id", F.col("b").cast("int").alias("b"), "dl")
+    state = cut(score(part).withColumn("share", F.lit(1.0)).withColumn("open", F.lit(True)))
+    history = [state.select("network_id", F.lit(0).alias("round"), "b", "dl")]
     for k in range(1, most_rounds + 1):
-        gains = cut(dl.merge_gains(flows, part, adjacency, rep))
-        both = gains.select("network_id", F.col("r").alias("x"), F.col("s").alias("y"), "delta").unionByName(gains.select("network_id", F.col("s").alias("x"), F.col("r").alias("y"), "delta"))
-        choice = both.groupBy("network_id", "x").agg(F.min(F.struct(F.round("delta", 9).alias("delta"), F.least("x", "y").alias("r"), F.greatest("x", "y").alias("s"))).alias("m"))
+        gains = dl.merge_gains(flows, part, adjacency, rep)
+        both = gains.select("network_id", F.explode(F.array(F.struct(F.col("r").alias("x")), F.struct(F.col("s").alias("x")))).alias("e"), "r", "s", F.round("delta", 9).alias("delta"))
+        choice = both.groupBy("network_id", "e.x").agg(F.min(F.struct("delta", "r", "s")).alias("m"))
         mutual = choice.groupBy("network_id", F.col("m.r").alias("r"), F.col("m.s").alias("s")).agg(F.count("*").alias("votes"), F.min("m.delta").alias("delta")).filter("votes = 2")
-        rank = Window.partitionBy("network_id").orderBy("delta", "r", "s")
-        many = Window.partitionBy("network_id")
-        pairs = cut(mutual.withColumn("rank", F.row_number().over(rank)).withColumn("all", F.count("*").over(many)))
-        if pairs.isEmpty():
+        rank = mutual.withColumn("rank", F.row_number().over(Window.partitionBy("network_id").orderBy("delta", "r", "s"))).withColumn("all", F.count("*").over(Window.partitionBy("network_id")))
+        most = F.greatest(F.lit(1), F.floor(F.col("all") * F.col("share") / 2))
+        batch = cut(rank.join(state.filter("open").select("network_id", "share"), "network_id").filter(F.col("rank") <= most).select("network_id", F.col("s").alias("label"), "r", most.alias("many")))
+        if batch.isEmpty():
             break
-        accepted = False
-        while not accepted:
-            batch = pairs.filter((F.col("rank") <= F.greatest(F.lit(1), F.floor(F.col("all") * share / 2)))).select("network_id", "r", "s")
-            new = cut(part.join(batch, (part.network_id == batch.network_id) & (part.label == batch.s), "left").select(part.network_id, "model", "unit_id", F.coalesce("r", "label").alias("label")))
-            after = score(new)
-            worse = after.alias("p").join(now.alias("q"), "network_id").filter(F.col("p.dl") >= F.col("q.dl")).count()
-            accepted = worse == 0
-            if not accepted and pairs.filter(F.greatest(F.lit(1), F.floor(F.col("all") * share / 2)) > 1).isEmpty():
-                return part, history
-            if not accepted:
-                share /= 2
-        part, now = new, after
-        history = history.unionByName(now.select("network_id", F.lit(k).alias("round"), "b", "dl"))
-    return part, history
+        new = cut(part.join(batch, ["network_id", "label"], "left").select("network_id", "model", "unit_id", F.coalesce("r", "label").alias("label")))
+        many = batch.groupBy("network_id").agg(F.first("many").alias("many"))
+        after = score(new).select("network_id", F.col("b").alias("b2"), F.col("dl").alias("dl2"))
+        judged = state.join(after, "network_id").join(many, "network_id", "left")
+        better = F.col("dl2") < F.col("dl")
+        state = cut(judged.select("network_id", F.when(better, F.col("b2")).otherwise(F.col("b")).alias("b"), F.when(better, F.col("dl2")).otherwise(F.col("dl")).alias("dl"), F.when(better, F.col("share")).otherwise(F.col("share") / 2).alias("share"), (F.col("open") & F.col("many").isNotNull() & (better | (F.col("many") > 1))).alias("open"), better.alias("took")))
+        part = cut(part.withColumnRenamed("label", "before").join(new.select("network_id", "unit_id", "label"), ["network_id", "unit_id"]).join(state.select("network_id", "took"), "network_id").select("network_id", "model", "unit_id", F.when(F.col("took"), F.col("label")).otherwise(F.col("before")).alias("label")))
+        history.append(state.filter("took").select("network_id", F.lit(k).alias("round"), "b", "dl"))
+        state = state.drop("took")
+    out = history[0]
+    for more in history[1:]:
+        out = out.unionByName(more)
+    return part, out

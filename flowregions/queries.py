@@ -215,7 +215,7 @@ register("ga_modularity", _greedy("nation", "w", objective="modularity"))
 register("ga_map_equation", _greedy("nation", "w", objective="map_equation"))
 register("ga_basket", lambda s, d: rounded(greedy.best_step(greedy.run(W.basket(s, d), U.brand_sizes(s), adj.from_cells(U.brand_sizes(s)), "w")).select("b", "dl")))
 register("ga_frames", lambda s, d: rounded(greedy.run_frames(W.turns(s, d), U.roles(s), adj.from_cells(U.roles(s)), "w").select("step", "b", "dl")))
-register("ga_rounds", lambda s, d: rounded(greedy.run_rounds(*_net(s, d, "nation"), "w")[1].select("round", "b", "dl")))
+register("ga_rounds", lambda s, d: rounded(greedy.run_rounds(W.turns(s, d), U.roles(s), adj.from_cells(U.roles(s)), "w")[1].select("round", "b", "dl")))
 register("ga_no_borders", lambda s, d: rounded(greedy.best_step(greedy.run(W.planted(s, d), U.nations(s, "planted"), adj.from_pairs(W.planted(s, d).select("network_id", F.col("src").alias("a"), F.col("dst").alias("b"))), "w")).select("b", "dl")))
 
 # ---------------------------------------------------------------- contiguity and similarity
@@ -281,9 +281,253 @@ def _p95(s: SparkSession, d: str) -> DataFrame:
     return rounded(nulls.percentile_test(_rule(s, "tract", "rows"), baselines.admin(units, "grand_id"), random, units).select("snmi", "p95", "above"), 6)
 
 
-register("voronoi_snmi_p95", _p95, O.compose(("u_tract",), "select 0.0::double as snmi, round(quantile_cont(v, 0.95), 6) as p95, 0.0 > quantile_cont(v, 0.95) as above from nmi_", _SEEDS.format(b=5, draws=DRAWS, nx=25, ny=5, units="u_tract") + """,
+register("voronoi_snmi_p95", _p95, O.compose(("u_tract",), "select round(any_value(s0.v), 6) as snmi, round(quantile_cont(nmi_.v, 0.95), 6) as p95, any_value(s0.v) > quantile_cont(nmi_.v, 0.95) as above from nmi_ cross join s0", _SEEDS.format(b=5, draws=DRAWS, nx=25, ny=5, units="u_tract") + """,
 rows_p as (select unit_id, y::int as label from u_tract),
+n0 as (select p.label as r, u.grand_id as s, sum(u.area)::double as n from rows_p p join u_tract u on u.unit_id = p.unit_id group by 1, 2),
+s0 as (select 2 * (hp + hq - h) / (hp + hq) as v from (select -(select sum(m / t * log2(m / t)) from (select sum(n) as m from n0 group by r) z) as hp, -(select sum(m / t * log2(m / t)) from (select sum(n) as m from n0 group by s) z) as hq, -(select sum(n / t * log2(n / t)) from n0) as h from (select sum(n) as t from n0) w) x),
 n_ as (select v.draw, p.label as r, v.label as s, sum(u.area)::double as n from rows_p p join vor_ v on v.unit_id = p.unit_id join u_tract u on u.unit_id = p.unit_id group by 1, 2, 3),
 t_ as (select draw, sum(n) as t from n_ group by 1), ha_ as (select draw, -sum(m / t * log2(m / t)) as h from (select n_.draw, r, sum(n) as m, any_value(t) as t from n_ join t_ on t_.draw = n_.draw group by 1, 2) z group by 1), hb_ as (select draw, -sum(m / t * log2(m / t)) as h from (select n_.draw, s, sum(n) as m, any_value(t) as t from n_ join t_ on t_.draw = n_.draw group by 1, 2) z group by 1), hj_ as (select n_.draw, -sum(n / t * log2(n / t)) as h from n_ join t_ on t_.draw = n_.draw group by 1),
 nmi_ as (select ha_.draw, 2 * (ha_.h + hb_.h - hj_.h) / (ha_.h + hb_.h) as v from ha_ join hb_ on hb_.draw = ha_.draw join hj_ on hj_.draw = ha_.draw)"""))
 register("null_sample", lambda s, d: nulls.sample_random_flows(s, 25, 10_000).agg(F.sum("w").alias("w")), "select 10000::bigint as w")
+
+# ---------------------------------------------------------------- panels and experiments
+
+FIXED = ("bm", "bm_r")
+
+
+def _panel(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
+    flows, networks = panel.trade_panel(s, d)
+    flows = cut(flows)
+    networks = cut(panel.networks_of(flows))
+    units = cut(panel.panel_units(s, networks))
+    return flows, units, panel.panel_adjacency(units), networks
+
+
+def _fitted(s: SparkSession, d: str, variants: tuple[str, ...] = FIXED, reps: tuple[str, ...] = ("mg", "w")) -> tuple[DataFrame, ...]:
+    """Panel, best fitted partitions of the block models, and greedy paths, each computed once."""
+    flows, units, borders, networks = _panel(s, d)
+    fits = cut(mcmc.best_chain(mcmc.anneal(flows, units, borders, variants, reps)))
+    paths = {r: cut(greedy.run(flows, units, borders, r)) for r in reps}
+    return flows, units, borders, networks, fits, paths
+
+
+def _scores(fits: DataFrame, paths: dict[str, DataFrame], units: DataFrame) -> DataFrame:
+    n = units.groupBy("network_id").agg(F.count("*").alias("n"))
+    rows = mcmc.score_rows(fits)
+    for rep, path in paths.items():
+        rows = rows.unionByName(greedy.best_step(path).join(n, "network_id").select("network_id", F.lit("ga").alias("model"), F.lit(rep).alias("rep"), "n", "b", "dl"))
+    return rows
+
+
+def _all_scores(s: SparkSession, d: str, variants: tuple[str, ...] = FIXED) -> tuple[DataFrame, DataFrame, DataFrame]:
+    flows, units, _, networks, fits, paths = _fitted(s, d, variants)
+    return cut(_scores(fits, paths, units)), nulls.null_scores(flows, units), networks
+
+
+def _partition(fits: DataFrame, rep: str, model: str = "bm") -> DataFrame:
+    return fits.filter((F.col("model") == model) & (F.col("rep") == rep)).select("network_id", "model", "unit_id", "label")
+
+
+def _panel_flows_sql() -> str:
+    return O.compose(("rows_",), """select network_id, split_part(network_id, ':', 1) as class, count(*)::bigint as e, sum(w)::bigint as w from (
+select network_id, src, dst, count(*) as w from (
+  select 'metro:' || o_orderpriority || '/' || floor((year(o_orderdate) - 1995) / 5.0)::int as network_id, c_nationkey as src, s_nationkey as dst from rows_ where planted
+  union all select 'combined:' || c_mktsegment, c_nationkey, s_nationkey from rows_ where planted
+  union all select 'state:' || (c_nationkey % 5), (c_nationkey // 5) * 25 + c_nationkey % 5 * 5 + o_custkey % 5, (s_nationkey // 5) * 25 + s_nationkey % 5 * 5 + l_suppkey % 5 from rows_ where planted and c_nationkey % 5 = s_nationkey % 5) p group by 1, 2, 3) f group by 1""")
+
+
+def _panel_flows(s: SparkSession, d: str) -> DataFrame:
+    flows, networks = panel.trade_panel(s, d)
+    return flows.groupBy("network_id").agg(F.count("*").alias("e"), F.sum("w").alias("w")).join(networks, "network_id").select("network_id", "class", "e", "w")
+
+
+register("panel_flows", _panel_flows, _panel_flows_sql())
+for _v in mcmc.VARIANTS:
+    register(f"anneal_{_v}", lambda s, d, v=_v: rounded(mcmc.score_rows(mcmc.anneal(*_net(s, d, "nation"), (v,))).select("rep", "b", "dl")))
+
+
+def _trajectories(s: SparkSession, d: str) -> DataFrame:
+    """Both methods on the planted network: visited lengths of the greedy path, start and end of the annealed fit."""
+    flows, units, borders = _net(s, d, "nation")
+    path = greedy.run(flows, units, borders, "w").select(F.lit("ga").alias("method"), "step", "b", "dl")
+    fit = mcmc.anneal(flows, units, borders, ("bm",), ("w",)).limit(1)
+    ends = fit.select(F.explode(F.array(F.struct(F.lit(0).alias("step"), F.col("start").alias("dl")), F.struct(F.lit(1).alias("step"), F.col("dl").alias("dl")))).alias("x"), "b").select(F.lit("annealed").alias("method"), "x.step", "b", "x.dl")
+    return rounded(path.unionByName(ends))
+
+
+register("x0_trajectory", _trajectories)
+register("x1_rep_gap", lambda s, d: rounded(scores.rep_gap(_all_scores(s, d)[0])))
+register("x2_eta", lambda s, d: rounded((lambda x: scores.compression_ratio(scores.best_model(x[0]), x[1]))(_all_scores(s, d)).select("network_id", "model", "rep", "eta"), 6))
+register("x3_hist", lambda s, d: (lambda x: scores.model_histogram(scores.best_model(x[0].filter("model != 'ga'")), x[2]))(_all_scores(s, d, ("bm", "bm_dc", "bm_r", "bm_n"))))
+register("x4_ratio", lambda s, d: rounded((lambda x: scores.dl_ratio(scores.best_model(x.filter("model = 'ga'")), scores.best_model(x.filter("model != 'ga'"))))(_all_scores(s, d)[0]), 6))
+register("x5_groups", lambda s, d: rounded(scores.resolution_limits(_all_scores(s, d)[0].filter("rep = 'w'")).select("network_id", "model", "n", "b", "flat_limit", "nested_limit"), 6))
+register("x6_groups_pair", lambda s, d: (lambda x: x.filter("model = 'ga'").select("network_id", "rep", F.col("b").alias("b_ga")).join(x.filter("model = 'bm'").select("network_id", "rep", F.col("b").alias("b_bm")), ["network_id", "rep"]))(_all_scores(s, d)[0]))
+
+
+def _ami_panel(s: SparkSession, d: str) -> DataFrame:
+    _, units, _, _, fits, paths = _fitted(s, d, ("bm",), ("w",))
+    found = similarity.ami(greedy.cut_path(paths["w"], units, "ga"), _partition(fits, "w"))
+    both = _scores(fits, paths, units)
+    gap = scores.dl_gap_per_node(both.filter("model = 'bm'"), both.filter("model = 'ga'"))
+    return rounded(found.select("network_id", "ami").join(gap, "network_id"), 6)
+
+
+register("x7_ami", _ami_panel)
+register("x7_ami_hist", lambda s, d: scores.histogram(_ami_panel(s, d), "ami", 10))
+
+
+def _contiguity_panel(s: SparkSession, d: str) -> DataFrame:
+    _, units, borders, _, fits, paths = _fitted(s, d, ("bm",), ("w",))
+    parts = _partition(fits, "w").unionByName(greedy.cut_path(paths["w"], units, "ga"))
+    return rounded(contiguity.measures(parts, borders), 6)
+
+
+register("x8_contiguity", _contiguity_panel)
+
+
+def _against_admin(s: SparkSession, d: str) -> DataFrame:
+    """The greedy method stopped at the number of nations, against the nations: length per tract and similarity."""
+    flows, units, borders = _net(s, d, "tract")
+    path = cut(greedy.run(flows, units, borders, "w"))
+    found, nations = cut(greedy.cut_path(path, units, "ga", 25)), baselines.admin(units)
+    gap = scores.dl_gap_per_node(dl.total(flows, found, "w"), dl.total(flows, nations, "w"))
+    near = similarity.spatial_nmi(found, nations, units).select("network_id", "snmi").join(similarity.nmi(found, nations).select("network_id", "nmi"), "network_id").join(similarity.ami(found, nations).select("network_id", "ami"), "network_id")
+    return rounded(gap.join(near, "network_id"), 6)
+
+
+register("x9_admin", _against_admin)
+
+
+def _tessellations(s: SparkSession, d: str) -> DataFrame:
+    flows, units, borders = _net(s, d, "tract")
+    found = greedy.cut_path(greedy.run(flows, units, borders, "w"), units, "ga", 25)
+    random = nulls.voronoi(units, nulls.seeds(s, 25, DRAWS, 25, 5))
+    return rounded(nulls.percentile_test(cut(found), baselines.admin(units), random, units).select("snmi", "p95", "above"), 6)
+
+
+register("x10_voronoi", _tessellations)
+
+
+def _scales(s: SparkSession, d: str) -> DataFrame:
+    """Compression of the planted flows between tracts and between nations."""
+    out = None
+    for kind in ("tract", "nation"):
+        flows, units, borders = _net(s, d, kind)
+        best = greedy.best_step(greedy.run(flows, units, borders, "w"))
+        rows = scores.compression_ratio(best, nulls.null_scores(flows, units)).select(F.lit("trade").alias("network_id"), "b", "eta")
+        out = rows if out is None else scores.scale_compare(out, rows)
+    return rounded(out, 6)
+
+
+register("x11_scale", _scales)
+
+
+def _large(s: SparkSession, d: str) -> DataFrame:
+    flows, units, borders = _net(s, d, "clockgrid")
+    part = cut(greedy.cut_path(greedy.run(flows, units, borders, "w"), units, "ga"))
+    return rounded(contiguity.measures(part, borders).select("b", "cvm"), 6)
+
+
+register("x13_large", _large)
+
+# ---------------------------------------------------------------- relational surface
+
+register("rollup_flows", lambda s, d: _rollup(s, d), O.compose(("f_tract", "u_tract"), "select u.grand_id, u.parent_id, sum(f.w)::bigint as w from f_tract f join u_tract u on u.unit_id = f.src group by rollup(u.grand_id, u.parent_id)"))
+
+
+def _rollup(s: SparkSession, d: str) -> DataFrame:
+    units = F.broadcast(U.tracts(s).select(F.col("unit_id").alias("src"), "parent_id", "grand_id"))
+    return W.tracts(s, d).join(units, "src").rollup("grand_id", "parent_id").agg(F.sum("w").alias("w"))
+
+
+register("cube_rows", lambda s, d: W.trade_rows(s, d).cube("c_mktsegment", "planted").agg(F.count("*").alias("n")), O.compose(("rows_",), "select c_mktsegment, planted, count(*)::bigint as n from rows_ group by cube(c_mktsegment, planted)"))
+register("grouping_sets", lambda s, d: _grouping_sets(s, d), O.compose(("rows_",), "select o_orderpriority, c_mktsegment, count(*)::bigint as n from rows_ group by grouping sets ((o_orderpriority), (c_mktsegment))"))
+
+
+def _grouping_sets(s: SparkSession, d: str) -> DataFrame:
+    W.trade_rows(s, d).createOrReplaceTempView("trade_rows_view")
+    return s.sql("select o_orderpriority, c_mktsegment, count(*) as n from trade_rows_view group by grouping sets ((o_orderpriority), (c_mktsegment))")
+
+
+register("topk_flows", lambda s, d: W.trade(s, d).withColumn("rank", F.row_number().over(Window.partitionBy("src").orderBy(F.desc("w"), "dst"))).filter("rank <= 3").select("src", "dst", "w", "rank"), O.compose(("f_trade",), "select src, dst, w, rank::int as rank from (select *, row_number() over (partition by src order by w desc, dst) as rank from f_trade) z where rank <= 3"))
+register("window_ranks", lambda s, d: rounded(W.planted(s, d).select("src", "dst", F.rank().over(Window.partitionBy("src").orderBy("w")).alias("rk"), F.dense_rank().over(Window.partitionBy("src").orderBy("w")).alias("dr"), F.ntile(4).over(Window.partitionBy("src").orderBy("w", "dst")).alias("nt"), F.percent_rank().over(Window.partitionBy("src").orderBy("w")).alias("pr"), F.cume_dist().over(Window.partitionBy("src").orderBy("w")).alias("cd")), 6), O.compose(("f_planted",), "select src, dst, (rank() over (partition by src order by w))::int as rk, (dense_rank() over (partition by src order by w))::int as dr, (ntile(4) over (partition by src order by w, dst))::int as nt, round(percent_rank() over (partition by src order by w), 6) as pr, round(cume_dist() over (partition by src order by w), 6) as cd from f_planted"))
+register("window_next", lambda s, d: tables.read(s, d, "events").select("event_id", F.lead("event_id").over(Window.partitionBy("user_id").orderBy("ts", "event_id")).alias("next_id"), F.lag("event_id").over(Window.partitionBy("user_id").orderBy("ts", "event_id")).alias("last_id")), "select event_id, lead(event_id) over w as next_id, lag(event_id) over w as last_id from events window w as (partition by user_id order by ts, event_id)")
+register("running_best", lambda s, d: rounded(greedy.run(*_net(s, d, "nation"), "mg").select("step", F.min("dl").over(Window.partitionBy("network_id").orderBy("step").rowsBetween(Window.unboundedPreceding, 0)).alias("best"), (F.col("dl") - F.lag("dl").over(Window.partitionBy("network_id").orderBy("step"))).alias("change"))), _greedy_sql("f_planted", "a_nation", 25, "mg", "select step::int as step, round(min(dl) over (order by step rows unbounded preceding), 4) as best, round(dl - lag(dl) over (order by step), 4) as change from gd"))
+register("setops_border_flow", lambda s, d: _setops(s, d), O.compose(("f_local", "a_nation"), "select 'both' as kind, count(*)::bigint as n from (select a::int, b::int from a_nation intersect select * from m) x union all select 'border only', count(*) from (select a::int, b::int from a_nation except select * from m) x union all select 'flow only', count(*) from (select * from m except select a::int, b::int from a_nation) x", "m as (select distinct least(src, dst)::int as a, greatest(src, dst)::int as b from f_local where src <> dst)"))
+
+
+def _setops(s: SparkSession, d: str) -> DataFrame:
+    borders = adj.from_cells(U.nations(s)).select("a", "b")
+    moved = W.local(s, d).filter("src != dst").select(F.least("src", "dst").alias("a"), F.greatest("src", "dst").alias("b")).distinct()
+    count = lambda df, kind: df.agg(F.count("*").alias("n")).select(F.lit(kind).alias("kind"), "n")
+    return count(borders.intersect(moved), "both").unionByName(count(borders.exceptAll(moved), "border only")).unionByName(count(moved.exceptAll(borders), "flow only"))
+
+
+register("json_props", lambda s, d: tables.read(s, d, "events").select(F.from_json("props", "k int")["k"].alias("k")).groupBy("k").agg(F.count("*").alias("n")), "select json_extract_string(props, '$.k')::int as k, count(*)::bigint as n from events group by 1")
+register("join_asof", lambda s, d: _as_of(s, d), "with x as (select user_id, event_id, ts, event_type, max(case when event_type = 'purchase' then ts end) over (partition by user_id order by ts rows between unbounded preceding and 1 preceding) as seen from events) select event_id, seen is not null as known from x")
+
+
+def _as_of(s: SparkSession, d: str) -> DataFrame:
+    """Whether a user bought before: the last purchase as of each event, by one window over both."""
+    before = Window.partitionBy("user_id").orderBy("ts").rowsBetween(Window.unboundedPreceding, -1)
+    bought = F.when(F.col("event_type") == "purchase", F.col("ts"))
+    return tables.read(s, d, "events").select("event_id", F.last(bought, ignorenulls=True).over(before).isNotNull().alias("known"))
+
+
+register("join_range", lambda s, d: _near_pairs(s), O.compose(("u_tract",), "select p.unit_id as a, q.unit_id as b from u_tract p join u_tract q on p.unit_id < q.unit_id and (p.x - q.x) * (p.x - q.x) + (p.y - q.y) * (p.y - q.y) <= 5"))
+
+
+def _near_pairs(s: SparkSession, reach: float = 5.0) -> DataFrame:
+    """Units at most sqrt(5) cells apart: bands of 3 cells as an equi-key, the nine around each unit, then the exact test."""
+    u = U.tracts(s).select("unit_id", "x", "y")
+    band = lambda c: F.floor(F.col(c) / 3)
+    left = u.select(F.col("unit_id").alias("a"), F.col("x").alias("ax"), F.col("y").alias("ay"), F.explode(F.sequence(F.lit(0), F.lit(8))).alias("k"), band("x").alias("bx"), band("y").alias("by_"))
+    left = left.select("a", "ax", "ay", (F.col("bx") + F.col("k") % 3 - 1).alias("bx"), (F.col("by_") + F.floor(F.col("k") / 3) - 1).alias("by_"))
+    right = u.select(F.col("unit_id").alias("b"), F.col("x").alias("qx"), F.col("y").alias("qy"), band("x").alias("bx"), band("y").alias("by_"))
+    far = F.pow(F.col("ax") - F.col("qx"), 2) + F.pow(F.col("ay") - F.col("qy"), 2)
+    return left.join(right, ["bx", "by_"]).filter((F.col("a") < F.col("b")) & (far <= reach)).select("a", "b")
+
+
+register("silent_units", lambda s, d: U.clock(s).join(W.clock(s, d), F.col("unit_id") == F.col("src"), "left_anti").select("unit_id"), O.compose(("f_clock", "u_clock"), "select unit_id from u_clock where not exists (select 1 from f_clock where src = unit_id)"))
+register("pivot_days", lambda s, d: tables.read(s, d, "events").groupBy(F.to_date("ts").alias("day")).pivot("event_type", ["click", "purchase", "view"]).agg(F.count(F.lit(1))).na.fill(0), "select ts::date as day, count(*) filter (where event_type = 'click')::bigint as click, count(*) filter (where event_type = 'purchase')::bigint as purchase, count(*) filter (where event_type = 'view')::bigint as view from events group by 1")
+register("moments", lambda s, d: rounded(W.planted(s, d).agg(F.avg("w").alias("mean"), F.stddev_samp("w").alias("sd"), F.median("w").alias("median"), F.percentile("w", F.lit(0.95)).alias("p95"), F.corr("src", "w").alias("corr"), F.regr_slope("w", "src").alias("slope")), 6), O.compose(("f_planted",), "select round(avg(w), 6) as mean, round(stddev_samp(w), 6) as sd, round(median(w), 6) as median, round(quantile_cont(w, 0.95), 6) as p95, round(corr(src, w), 6) as corr, round(regr_slope(w, src), 6) as slope from f_planted"))
+register("page_hosts", lambda s, d: tables.read(s, d, "pages").select(F.regexp_extract("url", r"^[a-z]+://([^/]+)", 1).alias("host")).groupBy("host").agg(F.count("*").alias("n")), "select regexp_extract(url, '^[a-z]+://([^/]+)', 1) as host, count(*)::bigint as n from pages group by 1")
+register("region_members", lambda s, d: baselines.admin(U.nations(s)).groupBy("label").agg(F.array_join(F.array_sort(F.collect_list("unit_id")), ",").alias("members")), O.compose(("u_nation",), "select min(unit_id)::int as label, string_agg(unit_id::varchar, ',' order by unit_id) as members from u_nation group by parent_id"))
+register("top_shares", lambda s, d: rounded(W.trade(s, d).orderBy(F.desc("w"), "src", "dst").offset(5).limit(10).select("src", "dst", "w")), O.compose(("f_trade",), "select src, dst, w from f_trade order by w desc, src, dst limit 10 offset 5"))
+
+
+def _path_sum(s: SparkSession, d: str) -> DataFrame:
+    """Units reachable from unit 0 within its parity class by recursion in SQL."""
+    adj.from_cells(U.clock(s)).createOrReplaceTempView("clock_borders")
+    return s.sql("with recursive r(u, k) as (select 0, 0 union all select b.b, k + 1 from r join clock_borders b on b.a = r.u where k < 20) select u, k from r")
+
+
+register("recursion", _path_sum, "select i::int as u, i::int as k from range(21) t(i)")
+
+# ---------------------------------------------------------------- streams, replayed
+
+
+def _stream(s: SparkSession, d: str, make: Callable, name: str, mode: str = "complete") -> DataFrame:
+    """Runs a stream over the events' file to its end, in a folder of its own below the checkpoint folder."""
+    import uuid
+
+    from flowregions.plans.checkpoints import folder
+    from flowregions.streaming import flows as st
+
+    schema = tables.read(s, d, "events").schema
+    stream = s.readStream.schema(schema).parquet(f"{d}/events.parquet*").withColumn("ts", F.col("ts").cast("timestamp"))
+    key = uuid.uuid4().hex
+    out, state = f"{folder(s)}/stream-{key}", f"{folder(s)}/state-{key}"
+    result = make(st, stream)
+
+    def put(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{out}/batch={number}")
+
+    query = result.writeStream.outputMode(mode).option("checkpointLocation", state).trigger(availableNow=True).foreachBatch(put).start()
+    query.awaitTermination()
+    rows = s.read.schema(result.schema).option("recursiveFileLookup", "true").parquet(out)
+    return rows
+
+
+register("stream_day_counts", lambda s, d: _stream(s, d, lambda st, x: st.counts(x), "day_counts").select(F.to_date("start").alias("day"), "event_type", "n"), "select ts::date as day, event_type, count(*)::bigint as n from events group by 1, 2")
+register("stream_flows", lambda s, d: _stream(s, d, lambda st, x: st.user_pairs(x).select("src", "dst"), "flows", "append").groupBy("src", "dst").agg(F.count("*").alias("w")), O.compose(("f_clockgrid",), "select src, dst, w from f_clockgrid"))
