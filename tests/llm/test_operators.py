@@ -1,0 +1,442 @@
+import hashlib
+import random
+import zlib
+
+import numpy as np
+import pytest
+from pyspark.sql import functions as F
+
+from flowregions.llm import ball_tree, bpe, line_dedup, mixture, permutation_index, pseudonyms, quality, quotations, set_join, unit_dedup
+from flowregions.llm.queries import tokenizer
+
+SMALL = "/root/testdata/sf0.001"
+DOCS = "doc_id long, text string, lang string, source string, n_chars long"
+
+
+def docs_of(spark, texts, sources=None, first=0):
+    rows = [(first + k, t, "en", sources[k] if sources else "s", None if t is None else len(t)) for k, t in enumerate(texts)]
+    return spark.createDataFrame(rows, DOCS)
+
+
+# ------------------------------------------------------------------ BPE
+
+
+@pytest.fixture(scope="module")
+def both():
+    from tokenizers import Tokenizer
+
+    return Tokenizer.from_file(tokenizer()), bpe.Encoder(open(tokenizer()).read())
+
+
+def same(both, text):
+    library, own = both
+    ids = library.encode(text, add_special_tokens=False).ids
+    assert own.encode(text).tolist() == ids
+    assert own.decode(ids).decode() == library.decode(ids, skip_special_tokens=False)
+
+
+def test_bpe_equals_the_library_on_odd_texts(both):
+    for text in ["", "  ", "Hello World's 123 <|endoftext|>x", "İstanbul ΣΑΣ Σας ǅ ß", "中文测试 😀", "a\x1cb\xa0c d", "don't DON'T I'LL", "é é", "<|startoftext|><|endoftext|>", "\x00\x01"]:
+        same(both, text)
+
+
+def test_bpe_equals_the_library_at_random(both):
+    rng = random.Random(3)
+    for _ in range(800):
+        same(both, "".join(rng.choice("abcdeinthor '!*.<|>éÉ中Σσ́\x1f \n09") for _ in range(rng.randrange(60))))
+
+
+def test_bpe_backtracks_as_the_merge_loop(both):
+    own = both[1]
+    rng = random.Random(5)
+    for _ in range(300):
+        word = "".join(rng.choice("intheraosg") for _ in range(rng.randrange(1, 30)))
+        symbols = word[:-1] + chr(ord(word[-1]) + 256)
+        assert own.backtracked(symbols) == own.merged([own.unit[c] for c in symbols]) == own.word(symbols)
+
+
+def test_bpe_very_long_word_is_linear(both):
+    word = "".join(random.Random(1).choice("intheranos") for _ in range(200_000))
+    same(both, word)
+
+
+def test_bpe_frames(spark):
+    docs = docs_of(spark, ["Hello there", None, ""]).withColumn("ids", F.lit(1)).withColumn("n_tokens", F.lit(2))
+    rows = {r.doc_id: r for r in bpe.round_trip(docs, tokenizer()).collect()}
+    nothing = hashlib.sha256(b"").hexdigest()
+    assert rows[1].n_tokens == rows[2].n_tokens == 0 and rows[1].ids_sha256 == nothing
+    back = {r.doc_id: r.text for r in bpe.decode(bpe.encode(docs, tokenizer()), tokenizer()).collect()}
+    assert back[0] == "hello</w> there</w>" and back[1] == ""
+    assert bpe.round_trip(docs.limit(0), tokenizer()).count() == 0
+
+
+# ------------------------------------------------------------------ vectors
+
+
+def vectors_of(spark, rows):
+    return spark.createDataFrame(rows, "vec_id long, embedding array<float>")
+
+
+def brute(rows, every, k, scale=None):
+    ok = [(i, np.array(v, dtype=np.float32).astype(float)) for i, v in rows if v is not None and all(x is not None and np.isfinite(x) for x in v)]
+    if scale:
+        ok = [(i, np.floor(scale * v)) for i, v in ok]
+    out = {}
+    for i, q in ok:
+        if i % every == 0:
+            out[i] = [(d, s) for s, d in sorted((-float(q @ v), d) for d, v in ok if d != i)[:k]]
+    return out
+
+
+def test_ball_tree_equals_brute_force(spark, monkeypatch):
+    rng = np.random.default_rng(2)
+    rows = [(k, rng.normal(size=8).tolist()) for k in range(400)] + [(400 + k, [0.5] * 8) for k in range(40)] + [(900, None), (901, [1.0, None] + [0.0] * 6), (902, [float("nan")] * 8)]
+    monkeypatch.setattr(ball_tree.S, "SHARD_ROWS", 100)
+    monkeypatch.setattr(ball_tree.S, "count_shards", lambda rows, shard_rows=100: max(1, -(-rows.count() // 100)))
+    got = {}
+    for r in ball_tree.top_products(vectors_of(spark, rows)).orderBy("query_id", "rank").collect():
+        got.setdefault(r.query_id, []).append((r.vec_id, -r.score))
+    assert got == {q: [(d, s) for d, s in v] for q, v in brute(rows, 50, 5, 256).items()}
+
+
+def test_ball_tree_huge_numbers_and_few_rows(spark):
+    rows = [(0, [1e30, 1.0]), (50, [1e30, -1.0]), (51, [1.0, 1.0])]
+    got = ball_tree.top_products(vectors_of(spark, rows)).collect()
+    assert len(got) == 4 and max(r.score for r in got) == 2**63 - 1
+    assert ball_tree.top_products(vectors_of(spark, rows).limit(0)).count() == 0
+
+
+def test_permutation_index_recall_and_scores(spark):
+    rng = np.random.default_rng(7)
+    x = rng.normal(size=(3000, 32))
+    x /= np.linalg.norm(x, axis=1)[:, None]
+    rows = [(k, v.tolist()) for k, v in enumerate(x)] + [(4000, [0.0] * 32), (4020, None)]
+    want = brute(rows, 20, 20)
+    found = permutation_index.nearest(vectors_of(spark, rows)).collect()
+    hit = sum(r.vec_id in {d for d, _ in want[r.query_id]} for r in found)
+    assert hit / sum(len(v) for q, v in want.items() if q != 4000) >= 0.9
+    assert all(r.query_id != 4000 and r.vec_id != 4000 for r in found)
+    v = {k: np.array(e, dtype=np.float32).astype(float) for k, e in rows if e is not None}
+    assert all(r.score == pytest.approx(float(v[r.query_id] @ v[r.vec_id]), abs=1e-12) for r in found)
+    assert permutation_index.nearest(vectors_of(spark, rows).limit(0)).count() == 0
+
+
+def test_permutation_index_few_rows_and_long_vectors(spark):
+    rows = [(0, [1.0, 0.0]), (1, [5.0, 0.0]), (2, [0.9, 0.1]), (3, [1.0, 2.0, 3.0])]
+    got = [(r.vec_id, r.score) for r in permutation_index.nearest(vectors_of(spark, rows)).orderBy("rank").collect()]
+    assert [g[0] for g in got] == [1, 2] and got[0][1] == pytest.approx(5.0)
+
+
+# ------------------------------------------------------------------ mixture
+
+
+def fill(sizes, weights=(5, 2, 1), most=3):
+    """Targets by repeated resharing."""
+    names = sorted((s for s in sizes if s is not None)) + ([None] if None in sizes else [])
+    w = {s: weights[k % len(weights)] for k, s in enumerate(names)}
+    left, open_, target = float(sum(sizes.values())), set(names), {}
+    while True:
+        total = sum(w[s] for s in open_)
+        over = [s for s in open_ if total and left * w[s] / total > most * sizes[s]]
+        if not over:
+            return target | {s: left * w[s] / total for s in open_}
+        for s in over:
+            target[s] = float(most * sizes[s])
+            open_.discard(s)
+        left = sum(sizes.values()) - sum(target.values())
+
+
+def test_mixture_targets(spark):
+    sizes = {"a": 10, "b": 4000, "c": 100, "d": 3, None: 50, "e": 0}
+    texts = [" ".join(["w"] * n) for n in sizes.values()]
+    rows = {r.doc_id: r for r in mixture.plan(docs_of(spark, texts, list(sizes))).collect()}
+    want = fill(sizes)
+    for k, s in enumerate(sizes):
+        assert rows[k].target == pytest.approx(want[s]) and rows[k].size == sizes[s] and rows[k].source_size == sizes[s]
+        assert rows[k].taken <= 3 * rows[k].size
+
+
+def test_mixture_comes_near_its_targets_and_repeats(spark):
+    rng = random.Random(1)
+    names = [rng.choice("abcd") for _ in range(3000)]
+    docs = docs_of(spark, [" ".join(["w"] * rng.randrange(1, 40)) for _ in names], names)
+    plan = mixture.plan(docs).join(docs.select("doc_id", "source"), "doc_id")
+    for r in plan.groupBy("source").agg(F.sum("taken").alias("t"), F.first("target").alias("g")).collect():
+        assert r.t == pytest.approx(r.g, rel=0.1)
+    a, b = (sorted(map(tuple, mixture.plan(docs.repartition(n)).collect())) for n in (1, 5))
+    assert a == b
+    assert mixture.mix(docs).select(F.sum(mixture.words(F.col("text")))).first()[0] == plan.agg(F.sum("taken")).first()[0]
+    assert "Python" not in mixture.mix(docs)._jdf.queryExecution().toString()
+
+
+def test_mixture_odd_tables(spark):
+    assert mixture.plan(docs_of(spark, ["a"]).limit(0)).count() == 0
+    rows = mixture.plan(docs_of(spark, [None, ""]).withColumn("size", F.lit(9)).withColumn("target", F.lit(9))).collect()
+    assert [(r["size"], r.taken) for r in rows] == [(0, 0), (0, 0)]
+
+
+# ------------------------------------------------------------------ pseudonyms
+
+
+def test_pseudonyms_keep_formats_and_links():
+    key = b"k" * 32
+    change = lambda t: pseudonyms.pseudonymise(t, key)[0]
+    text = "call +1 (319) 555-5132 or a.b7@mail.example.com, card 4876179267539117, ip 23.102.220.119, born 2024-02-29, DE89 3704 0044 0532 0130 00, password=7602ad27cf5550de1c"
+    new = change(text)
+    for value in ("555-5132", "a.b7@", "4876179267539117", "23.102.220.119", "2024-02-29", "3704 0044", "7602ad27cf5550de1c"):
+        assert value not in new
+    assert len(new) == len(text) or "." in new
+    assert change("x 4876179267539117 y").split()[1] == change("card: 4876179267539117").split()[1]
+    number = change("4876179267539117")
+    assert pseudonyms.luhn(number[:-1]) == int(number[-1])
+    assert change("card 1234567890123456, date 2023-02-30, ip 300.1.1.1, v1.2.3") == "card 1234567890123456, date 2023-02-30, ip 300.1.1.1, v1.2.3"
+    iban = change("DE89 3704 0044 0532 0130 00").replace(" ", "")
+    assert pseudonyms._remainder(iban[4:] + iban[:4]) == 1
+
+
+def test_feistel_is_a_permutation():
+    for radix in ([10, 10], [10, 26, 10], [7], [16, 16]):
+        total = int(np.prod(radix))
+        seen = set()
+        for n in range(total):
+            value = []
+            for r in reversed(radix):
+                value.append(n % r)
+                n //= r
+            seen.add(tuple(pseudonyms.permute(value[::-1], radix, b"key", "t")))
+        assert len(seen) == total
+
+
+def test_pseudonyms_frames(spark):
+    docs = docs_of(spark, ["mail a@b.org", None, ""]).withColumn("spans", F.lit(1))
+    rows = {r.doc_id: r for r in pseudonyms.protect(docs, "k").collect()}
+    assert rows[0].n_values == 1 and rows[1].text is None and rows[2].text == ""
+    assert pseudonyms.protect(docs.limit(0), "k").count() == 0
+
+
+# ------------------------------------------------------------------ line dedup
+
+
+def brute_lines(texts, run=3):
+    seen, gone = {}, {}
+    docs = {i: [(n, " ".join(x.lower().split())) for n, x in enumerate((t or "").split("\n"))] for i, t in enumerate(texts)}
+    docs = {i: [x for x in v if x[1]] for i, v in docs.items()}
+    for i, v in docs.items():
+        for at in range(len(v) - run + 1):
+            key = tuple(x[1] for x in v[at : at + run])
+            if key not in seen:
+                seen[key] = (i, at)
+            else:
+                j, b = seen[key]
+                gone.setdefault(i, set()).update(n for k, (n, _) in enumerate(v[at : at + run], at) if j != i or k >= b + run)
+    return ["\n".join(x for n, x in enumerate(t.split("\n")) if n not in gone.get(i, ())) if gone.get(i) else t for i, t in enumerate(texts)]
+
+
+def test_line_dedup_equals_brute_force(spark):
+    rng = random.Random(9)
+    texts = ["\n".join(rng.choice(["aa", "bb", "cc", "dd", "", "Ee  e", "ff"]) for _ in range(rng.randrange(1, 25))) for _ in range(60)] + [None, "", "A\nA\nA\nA\nA\nA", "one\ntwo\nthree\n" * 3]
+    rows = {r.doc_id: r for r in line_dedup.deduplicate(docs_of(spark, texts)).collect()}
+    assert [rows[i].text for i in range(len(texts))] == brute_lines(texts)
+    assert rows[60].n_lines == 0 and rows[61].n_removed == 0
+
+
+def test_line_dedup_odd_tables(spark):
+    docs = docs_of(spark, ["x\ny\nz", "x\ny\nz"]).withColumn("gone", F.lit("keep"))
+    rows = {r.doc_id: r for r in line_dedup.deduplicate(docs).collect()}
+    assert rows[0].text == "x\ny\nz" and rows[1].text == "" and rows[1].gone == "keep"
+    nulls = docs.withColumn("doc_id", F.lit(None).cast("long"))
+    assert [r.n_removed for r in line_dedup.deduplicate(nulls).collect()] == [0, 0]
+    assert line_dedup.deduplicate(docs.limit(0)).count() == 0
+
+
+# ------------------------------------------------------------------ unit dedup
+
+
+def test_unit_dedup_equals_brute_force(spark):
+    rng = random.Random(4)
+    say = lambda n: " ".join(rng.choice(["ta", "ke", "mo", "li"]) for _ in range(n))
+    pool = [say(rng.randrange(2, 14)).capitalize() + "." for _ in range(12)]
+    texts = ["\n".join(" ".join(rng.choice(pool) for _ in range(rng.randrange(1, 4))) for _ in range(rng.randrange(1, 5))) for _ in range(40)] + [None, ""]
+    first, gone = {}, {}
+    for i, t in enumerate(texts):
+        for a, b, d in unit_dedup.units(t):
+            first.setdefault(d, (i, a))
+    for i, t in enumerate(texts):
+        for a, b, d in unit_dedup.units(t):
+            if first[d] != (i, a):
+                gone.setdefault(i, set()).update(range(a, b))
+    rows = {r.doc_id: r for r in unit_dedup.deduplicate(docs_of(spark, texts)).collect()}
+    for i, t in enumerate(texts):
+        want = t if t is None else "".join(c for k, c in enumerate(t) if k not in gone.get(i, ()))
+        assert rows[i].text == want
+        assert sum(s.end - s.start for s in rows[i].spans) == len(gone.get(i, ()))
+
+
+def test_unit_dedup_catches_a_passage_in_another_line(spark):
+    passage = " ".join(f"word{k}" for k in range(55)) + "."
+    rows = {r.doc_id: r.text for r in unit_dedup.deduplicate(docs_of(spark, [f"Start here now. {passage} End of it.", f"Something else. {passage} Also other."])).collect()}
+    assert "word30" in rows[0] and "word30" not in rows[1] and "Also other." in rows[1]
+
+
+# ------------------------------------------------------------------ set join
+
+
+def brute_components(texts, num=75, den=100):
+    sets = []
+    for t in texts:
+        w = (t or "").encode().lower().split()
+        sets.append({tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))} if w else set())
+    label = list(range(len(texts)))
+    while True:
+        old = list(label)
+        for i in range(len(sets)):
+            for j in range(i):
+                both = len(sets[i] & sets[j])
+                if both and den * both >= num * (len(sets[i]) + len(sets[j]) - both):
+                    label[i] = label[j] = min(label[i], label[j])
+        if label == old:
+            return [len(s) for s in sets], label
+
+
+def near_texts():
+    rng = random.Random(8)
+    word = lambda: rng.choice("ab cd ef gh ij kl mn op qr st uv wx".split()) + str(rng.randrange(40))
+    texts = []
+    for _ in range(12):
+        base = [word() for _ in range(rng.choice([3, 9, 30, 80, 200]))]
+        for _ in range(rng.randrange(1, 7)):
+            copy = list(base)
+            for _ in range(rng.randrange(0, max(2, len(base) // 18))):
+                copy[rng.randrange(len(copy))] = word()
+            texts.append(" ".join(copy) + rng.choice(["", " ", "\n"]))
+    return [*texts, None, "", "   ", texts[0], texts[0].upper(), "one", "ONE", "two words"]
+
+
+@pytest.mark.parametrize("density", [0.4, 0.08])
+def test_set_join_equals_brute_force(spark, density):
+    texts = near_texts()
+    sizes, label = brute_components(texts)
+    rows = {r.doc_id: (r.n_shingles, r.component_id) for r in set_join.near_duplicates(docs_of(spark, texts), density=density).collect()}
+    assert rows == {i: (sizes[i], label[i]) for i in range(len(texts))}
+
+
+def test_signatures_never_lose_a_pair():
+    rng = np.random.default_rng(3)
+    for density in (0.4, 0.1):
+        for _ in range(150):
+            n = int(rng.integers(1, 300))
+            a = rng.integers(0, 2**63, n, dtype=np.int64).astype(np.uint64)
+            b = np.concatenate([a[rng.random(n) > 0.12], rng.integers(0, 2**63, int(n * rng.random() * 0.12), dtype=np.int64).astype(np.uint64)])
+            a, b = np.unique(a), np.unique(b)
+            both = len(np.intersect1d(a, b))
+            if len(b) and 100 * both >= 75 * (len(a) + len(b) - both):
+                of = {s: set(c.tolist()) for s, _, c in set_join.signatures(a, density=density)}
+                need = {s: k for s, k, _ in set_join.signatures(a, density=density)}
+                there = {s: set(c.tolist()) for s, _, c in set_join.signatures(b, density=density)}
+                assert any(len(of[s] & there[s]) >= need[s] for s in of.keys() & there.keys())
+
+
+def test_set_join_unconnected_cluster_goes_through_blocks(spark):
+    """A family whose members are near each other in a chain, not all near one centre."""
+    base = [f"w{k}" for k in range(120)]
+    texts = []
+    for k in range(14):
+        copy = list(base)
+        for j in range(k):
+            copy[(7 * j) % 120] = f"x{j}"
+        texts.append(" ".join(copy))
+    texts += [" ".join(f"y{k}" for k in range(60)) + " " + " ".join(base[:70])]
+    sizes, label = brute_components(texts)
+    rows = {r.doc_id: r.component_id for r in set_join.near_duplicates(docs_of(spark, texts)).collect()}
+    assert rows == dict(enumerate(label))
+
+
+def test_set_join_odd_tables(spark):
+    docs = docs_of(spark, ["a b c d e f", "a b c d e f"]).withColumn("key", F.lit(1)).withColumn("label", F.lit(1))
+    assert {(r.doc_id, r.component_id) for r in set_join.near_duplicates(docs).collect()} == {(0, 0), (1, 0)}
+    assert set_join.near_duplicates(docs.limit(0)).count() == 0
+    nulls = docs.withColumn("doc_id", F.lit(None).cast("long"))
+    assert [r.component_id for r in set_join.near_duplicates(nulls).collect()] == [None, None]
+    assert set_join.near_duplicates(docs.union(docs)).count() == 4
+
+
+# ------------------------------------------------------------------ quality
+
+
+def test_quality_held_out_accuracy(spark):
+    docs, labels = spark.read.parquet("/root/testdata/sf0.01/documents.parquet"), spark.read.parquet("/root/testdata/sf0.01/labels.parquet")
+    rows = quality.classify(docs, labels).join(labels, "doc_id").filter("held_out").collect()
+    assert len(rows) > 50
+    assert sum(r.predicted == r.quality for r in rows) / len(rows) >= 0.95
+    assert all(r.held_out == (zlib.crc32(str(r.doc_id).encode()) % 4 == 2) for r in rows)
+
+
+def test_quality_odd_tables(spark):
+    docs = docs_of(spark, [None, "", "good words here and there", "x " * 5000]).withColumn("score", F.lit(7))
+    labels = spark.createDataFrame([(0, 1, 0), (1, 0, 0), (2, 1, 0), (3, 0, 0)], "doc_id long, quality int, toxic int")
+    rows = quality.classify(docs, labels).collect()
+    assert len(rows) == 4 and all(0 <= r.score <= 1 for r in rows)
+    assert [r.score for r in quality.classify(docs, labels.limit(0)).collect()] == [1.0] * 4
+    assert quality.classify(docs.limit(0), labels).count() == 0
+
+
+def test_quality_gradient():
+    rng = np.random.default_rng(0)
+    x, bags = rng.normal(size=(40, quality.D)), np.array([4] * 10)
+    y = (x.reshape(10, 4, -1)[:, :, 0].max(axis=1) > 0.8).astype(float)
+    y[:2] = [0, 1]
+    model = quality.fit(x, bags, y, epochs=300)
+    assert ((model.score(x, bags) > 0.5) == (y == 1)).mean() >= 0.9
+
+
+# ------------------------------------------------------------------ quotations
+
+TALK = "conv_id long, turn long, role string, text string"
+
+
+def test_quotations_link_and_order(spark):
+    rows = [
+        (1, 0, "user", "How do I bake the bread at home?"),
+        (1, 1, "assistant", "Use flour and water and some salt."),
+        (1, 2, "user", "> How do I bake the bread at home?\nI also wonder about ovens and stones."),
+        (1, 3, "user", "> Use flour and water and some salt.\nHow much salt is it then?"),
+        (1, 4, "assistant", ">> Use flour and water and some salt.\n> How much salt is it then?\nTen grams."),
+        (2, 0, "user", None),
+        (2, 1, "user", "> this was never said by anyone\nHello"),
+    ]
+    got = {(r.conv_id, r.turn): r for r in quotations.conversations(spark.createDataFrame(rows, TALK)).collect()}
+    assert got[1, 2].parent == 0 and got[1, 3].parent == 1 and got[1, 4].parent == 3
+    assert got[1, 4].text == "Ten grams." and got[1, 2].text == "I also wonder about ovens and stones."
+    order = [t for _, t in sorted((got[1, t].position, t) for t in range(5))]
+    assert order == [0, 2, 1, 3, 4]
+    assert got[2, 0].text == "" and got[2, 1].text == "Hello" and got[2, 1].parent == 0
+
+
+def test_quotations_odd_tables(spark):
+    rows = [(None, 0, "user", "x"), (1, None, "user", "x"), (1, 0, "user", "b"), (1, 0, "user", "a"), (1, 0, "user", "a")]
+    frame = spark.createDataFrame(rows, TALK).withColumn("position", F.lit(3))
+    got = quotations.conversations(frame).collect()
+    assert [(r.conv_id, r.text, r.position) for r in got] == [(1, "a", 1)]
+    assert quotations.conversations(frame.limit(0)).count() == 0
+    assert "Python" not in quotations.conversations(frame)._jdf.queryExecution().toString()
+
+
+# ------------------------------------------------------------------ pipeline
+
+
+def test_pipeline_stages(spark):
+    pipeline = pytest.importorskip("corpus_pipeline")
+    documents = spark.read.parquet(f"{SMALL}/documents.parquet")
+    docs, seen = documents, {}
+    for name, stage in pipeline.STAGES[:-1]:
+        docs = stage(spark, docs, SMALL).checkpoint() if spark.sparkContext._jsc.sc().getCheckpointDir().isDefined() else stage(spark, docs, SMALL)
+        assert docs.columns == documents.columns
+        seen[name] = docs.collect()
+    scored = {r.doc_id: r.predicted for r in quality.classify(documents, spark.read.parquet(f"{SMALL}/labels.parquet")).collect()}
+    assert {r.doc_id for r in seen["quality"]} == {i for i, p in scored.items() if p == 1}
+    kept = sorted((r.doc_id, r.text) for r in seen["line dedup"])
+    sizes, label = brute_components([t for _, t in kept])
+    assert {r.doc_id for r in seen["near duplicates"]} == {kept[i][0] for i in range(len(kept)) if label[i] == i}
+    assert {r.doc_id for r in seen["mixture"]} <= {r.doc_id for r in seen["near duplicates"]}
+    last = pipeline.STAGES[-1][1](spark, docs, SMALL)
+    assert last.count() == len(seen["mixture"])
