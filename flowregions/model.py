@@ -52,7 +52,7 @@ class RegionModel:
 
 @dataclass
 class Regionalizer:
-    """rep: w or mg; objective: bm, bm_dc, modularity, map_equation; stop: full, first_increase, fixed_b; impl: auto, kernel, frame, rounds."""
+    """rep: w or mg; objective: bm, bm_dc, modularity, map_equation; stop: full, first_increase, fixed_b; impl: auto, kernel (one task a network), rounds (joins)."""
 
     rep: str = "w"
     objective: str = "bm"
@@ -69,11 +69,7 @@ class Regionalizer:
         if impl == "rounds":
             partition, _ = greedy.run_rounds(network.flows, network.units, network.adjacency, self.rep)
             return RegionModel(network, partition, None, self.rep, name)
-        if impl == "frame":
-            trajectory = greedy.run(network.flows, network.units, network.adjacency, self.rep, self.objective, self.stop, self.b)
-            trajectory = cut(trajectory)
-        else:
-            trajectory = cut(greedy.run(network.flows, network.units, network.adjacency, self.rep, self.objective, self.stop, self.b))
+        trajectory = cut(greedy.run(network.flows, network.units, network.adjacency, self.rep, self.objective, self.stop, self.b))
         last = self.b if self.stop == "fixed_b" else None
         return RegionModel(network, greedy.cut_path(trajectory, network.units, name, last), trajectory, self.rep, name)
 

@@ -6,6 +6,8 @@ path; partitions for any number of groups are cut from the path without running
 
 from __future__ import annotations
 
+import time
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
@@ -57,6 +59,19 @@ def run(flows: DataFrame, units: DataFrame, adjacency: DataFrame, rep: str = "w"
     return gathered(flows, units, adjacency).groupBy("network_id").applyInArrow(solve, TRAJECTORY)
 
 
+def timed(flows: DataFrame, units: DataFrame, adjacency: DataFrame, rep: str = "w") -> DataFrame:
+    """(network_id, n, e, seconds): wall time of the kernel alone for each network."""
+
+    def solve(tab: pa.Table) -> pa.Table:
+        net = network_of(tab)
+        began = time.perf_counter()
+        kernel.greedy(net, kernel.BlockModel(rep))
+        spent = time.perf_counter() - began
+        return pa.table({"network_id": [tab.column("network_id")[0].as_py()], "n": pa.array([net.n], pa.int64()), "e": pa.array([len(net.w)], pa.int64()), "seconds": [spent]})
+
+    return gathered(flows, units, adjacency).groupBy("network_id").applyInArrow(solve, "network_id string, n long, e long, seconds double")
+
+
 def best_step(trajectory: DataFrame) -> DataFrame:
     """(network_id, step, b, dl) of the shortest length visited; of equal ones the one with fewest groups."""
     least = F.min_by(F.struct("step", "b", "dl"), F.struct(F.round("dl", 9), F.col("b")))

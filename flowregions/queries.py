@@ -531,3 +531,50 @@ def _stream(s: SparkSession, d: str, make: Callable, name: str, mode: str = "com
 
 register("stream_day_counts", lambda s, d: _stream(s, d, lambda st, x: st.counts(x), "day_counts").select(F.to_date("start").alias("day"), "event_type", "n"), "select ts::date as day, event_type, count(*)::bigint as n from events group by 1, 2")
 register("stream_flows", lambda s, d: _stream(s, d, lambda st, x: st.user_pairs(x).select("src", "dst"), "flows", "append").groupBy("src", "dst").agg(F.count("*").alias("w")), O.compose(("f_clockgrid",), "select src, dst, w from f_clockgrid"))
+register("stream_sliding", lambda s, d: _stream(s, d, lambda st, x: st.counts(x, "1 day", "6 hours"), "sliding").groupBy("event_type").agg(F.sum("n").alias("n"), F.count("*").alias("windows")), "select event_type, count(*)::bigint * 4 as n, (select count(distinct (floor(epoch(e.ts) / 21600) - k)::bigint) from events e cross join range(4) t(k) where e.event_type = o.event_type)::bigint as windows from events o group by event_type")
+register("stream_sessions", lambda s, d: _stream(s, d, lambda st, x: st.sessions(x), "sessions").groupBy("user_id").agg(F.count("*").alias("sessions"), F.sum("n").alias("n")), "select user_id, sum(case when last_ is null or ts - last_ >= interval 30 minutes then 1 else 0 end)::bigint as sessions, count(*)::bigint as n from (select user_id, ts, lag(ts) over (partition by user_id order by ts, event_id) as last_ from events) z group by user_id")
+register("stream_once", lambda s, d: _stream(s, d, lambda st, x: st.once(x).select("event_id"), "once", "append").agg(F.count("*").alias("n")), "select count(distinct event_id)::bigint as n from events")
+register("stream_blocks", lambda s, d: _stream(s, d, lambda st, x: st.user_pairs(x).select("src", "dst"), "blocks", "append").transform(lambda p: __import__("flowregions.streaming.flows", fromlist=["flows"]).block_counts(p, baselines.admin(U.clock_grid(s), "grand_id"))), O.compose(("f_clockgrid", "u_clockgrid"), "select p.low as r, q.low as s, sum(f.w)::bigint as w from f_clockgrid f join (select unit_id, min(unit_id) over (partition by grand_id) as low from u_clockgrid) p on p.unit_id = f.src join (select unit_id, min(unit_id) over (partition by grand_id) as low from u_clockgrid) q on q.unit_id = f.dst group by 1, 2"))
+
+# ---------------------------------------------------------------- further workloads
+
+
+def _vector_regions(s: SparkSession, d: str) -> DataFrame:
+    """Neighbour graph of the vectors: the greedy partition against the labels, which carry no signal."""
+    vectors = tables.read(s, d, "embeddings")
+    near = cut(adj.knn(vectors, 8))
+    flows = near.select(F.lit("vectors").alias("network_id"), "src", "dst", F.lit(1).cast("long").alias("w"))
+    units = vectors.select(F.lit("vectors").alias("network_id"), F.col("vec_id").cast("int").alias("unit_id"))
+    path = cut(greedy.run(flows, units, adj.from_knn(near), "mg"))
+    labels = vectors.select(F.lit("vectors").alias("network_id"), F.lit("label").alias("model"), F.col("vec_id").cast("int").alias("unit_id"), "label")
+    found = cut(greedy.cut_path(path, units, "ga"))
+    return rounded(greedy.best_step(path).select("network_id", "b", "dl").join(similarity.ami(found, labels).select("network_id", "ami"), "network_id"), 6)
+
+
+register("vectors_ami", _vector_regions)
+
+
+def _unit_metadata(s: SparkSession, d: str) -> DataFrame:
+    """Labels of documents as metadata of the (source, language) units."""
+    docs, labels = tables.read(s, d, "documents").select("doc_id", "lang", "source"), tables.read(s, d, "labels")
+    lang = F.when(F.col("lang") == "de", 0).when(F.col("lang") == "en", 1).when(F.col("lang") == "es", 2).otherwise(3)
+    cell = (lang * 20 + F.regexp_extract("source", r"(\d+)", 1).cast("int")).alias("unit_id")
+    return rounded(labels.join(docs, "doc_id").groupBy(cell).agg(F.count("*").alias("n"), F.avg("quality").alias("quality"), F.sum("toxic").alias("toxic")), 6)
+
+
+register("unit_metadata", _unit_metadata, "select (case lang when 'de' then 0 when 'en' then 1 when 'es' then 2 else 3 end * 20 + regexp_extract(source, '(\\d+)', 1)::int)::int as unit_id, count(*)::bigint as n, round(avg(quality), 6) as quality, sum(toxic)::bigint as toxic from labels join documents using (doc_id) group by 1")
+
+
+def _runtimes(s: SparkSession, d: str) -> DataFrame:
+    """Kernel seconds on networks of growing size, and the slope of their logarithms."""
+    rows = None
+    for kind in ("nation", "clock", "tract", "clockgrid"):
+        found = greedy.timed(*_net(s, d, kind))
+        rows = found if rows is None else rows.unionByName(found)
+    rows = cut(rows)
+    return rows.select("network_id", "n", "e").join(F.broadcast(scores.runtime_slope(rows)), F.col("n") > 0)
+
+
+register("x12_runtime", _runtimes)
+register("hll_units", lambda s, d: W.trade_rows(s, d).groupBy("c_mktsegment").agg(F.approx_count_distinct("o_custkey", 0.02).alias("customers")))
+register("planted_source", lambda s, d: tables.planted(s, 40, 4, 50, 5).agg(F.sum("w").alias("w"), F.count_distinct("src").alias("units")), "select 2200::bigint as w, 40::bigint as units")
