@@ -23,9 +23,11 @@ from struct import pack
 import numpy as np
 from pyspark.sql import DataFrame
 
+from flowregions.llm.common import give_back, text_batches
+
 WORD_END = "</w>"
 #: Chunks, and words, kept in a worker's memory, and the longest that is kept.
-CHUNKS, CHUNK_CHARS = 500_000, 64
+CHUNKS, CHUNK_CHARS = 150_000, 48
 #: Up to here, letters and their cases are the same in all Unicode versions.
 LATIN = "\u024f"
 #: Pairs kept in the compatibility table.
@@ -232,6 +234,7 @@ def _mapped(docs: DataFrame, tokenizer: str, id_col: str, in_col: str, schema: s
     from pyspark.sql.types import StructType
 
     spec = _spec(docs, tokenizer)
+    text_batches(docs.sparkSession)
     frame = docs.select(docs[id_col].alias("id"), docs[in_col].alias("value"))
     names = to_arrow_schema(StructType.fromDDL(f"{id_col} {frame.schema['id'].dataType.simpleString()}, {schema}"))
 
@@ -243,6 +246,7 @@ def _mapped(docs: DataFrame, tokenizer: str, id_col: str, in_col: str, schema: s
                 rows = [make(coder, x) for x in part.column(1).to_pylist()]
                 columns = [pa.array([r[c] for r in rows], type=names.field(c + 1).type) for c in range(len(names) - 1)]
                 yield pa.RecordBatch.from_arrays([part.column(0).cast(names.field(0).type), *columns], schema=names)
+        give_back()
 
     return frame.mapInArrow(run, StructType.fromDDL(f"{id_col} {frame.schema['id'].dataType.simpleString()}, {schema}"))
 

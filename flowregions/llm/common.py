@@ -35,3 +35,29 @@ def table(frame: DataFrame) -> DataFrame:
 
 def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+#: Rows of an Arrow batch that holds whole texts; the session's default would send ten thousand at once.
+BATCH_ROWS = 512
+
+
+def text_batches(spark: SparkSession) -> None:
+    """Has Spark send texts to Python in batches of BATCH_ROWS at most (a setting of the running session), so that a task's memory stays small."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(name)) <= BATCH_ROWS:
+        spark.conf.set(name, str(BATCH_ROWS))
+
+
+def give_back() -> None:
+    """At a task's end: memory that Arrow and the C library keep goes back to the system, as workers live on between tasks."""
+    import ctypes
+    import gc
+
+    import pyarrow as pa
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except AttributeError:  # another C library
+        return

@@ -26,6 +26,8 @@ from collections.abc import Callable, Iterator
 
 from pyspark.sql import DataFrame
 
+from flowregions.llm.common import give_back, text_batches
+
 ROUNDS = 10
 DIGITS, LOWER, UPPER = "0123456789", "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 HEX = "0123456789abcdef"
@@ -230,6 +232,7 @@ def protect(docs: DataFrame, key: str, id_col: str = "doc_id", text_col: str = "
     import pyarrow as pa
 
     secret = hashlib.blake2b(key.encode(), digest_size=32).digest()
+    text_batches(docs.sparkSession)
     frame = docs.select(docs[id_col].alias("id"), docs[text_col].cast("string").alias("text"))
     kind = frame.schema["id"].dataType.simpleString()
     span = pa.list_(pa.struct([pa.field("start", pa.int32()), pa.field("end", pa.int32()), pa.field("kind", pa.string())]))
@@ -241,6 +244,7 @@ def protect(docs: DataFrame, key: str, id_col: str = "doc_id", text_col: str = "
                 done = [pseudonymise(t, secret) for t in part.column(1).to_pylist()]
                 spans = [[{"start": a, "end": b, "kind": c} for a, b, c in s] for _, s in done]
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array([t for t, _ in done], pa.string()), pa.array([len(s) for s in spans], pa.int32()), pa.array(spans, span)], ["id", "text", "n_values", "spans"])
+        give_back()
 
     out = frame.mapInArrow(run, f"id {kind}, text string, n_values int, spans array<struct<start:int,end:int,kind:string>>")
     return out.withColumnRenamed("id", id_col).withColumnRenamed("text", text_col)

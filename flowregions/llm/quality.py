@@ -17,6 +17,8 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from flowregions.llm.common import give_back, text_batches
+
 PASSAGE = 64
 #: Labelled documents of each class that the model is fitted on, at most: those with the smallest hashes of their ids.
 SAMPLE = 3_000
@@ -25,7 +27,7 @@ FIT_PASSAGES = 64
 HIDDEN, GATE, EPOCHS, RATE, SEED = 24, 12, 60, 0.02, 11
 THRESHOLD = 0.7
 #: Texts are encoded together up to so many bytes.
-CHUNK = 4_000_000
+CHUNK = 1_000_000
 
 NAMES = ("upper", "lower", "digit", "marks", "other_marks", "pipes", "lines", "word_bytes", "upper_words", "marked_words", "same_as_last", "same_as_before_last", "distinct", "longest_repeat", "words", "short", "after", "empty")
 D = len(NAMES)
@@ -197,6 +199,7 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     """
     import pyarrow as pa
 
+    text_batches(docs.sparkSession)
     known = labels.select(labels[id_col].alias("id"), labels["quality"].cast("int").alias("y")).filter("id is not null and y in (0, 1)")
     known = known.groupBy("id").agg(F.min("y").alias("y")).filter(~held_out(F.col("id")))
     parts = [known.filter(F.col("y") == k).orderBy(F.xxhash64("id", F.lit(SEED)), "id").limit(sample) for k in (0, 1)]
@@ -213,6 +216,7 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
                     at = a + (np.arange(b) if b <= FIT_PASSAGES else np.linspace(0, b - 1, FIT_PASSAGES).astype(int))
                     out.append(x[at].astype("<f4").tobytes())
                 yield pa.RecordBatch.from_pydict({"id": batch.column("id").slice(part.start, len(out)).cast(pa.int64()), "y": batch.column("y").slice(part.start, len(out)).cast(pa.int32()), "x": pa.array(out, pa.binary())})
+        give_back()
 
     got = sorted((r["id"], r["y"], bytes(r["x"])) for r in rows.select(F.col("id").cast("long").alias("id"), "text", "y").mapInArrow(passages, "id long, y int, x binary").collect())
     y = np.array([r[1] for r in got], dtype=float)
@@ -237,6 +241,7 @@ def scores(docs: DataFrame, model: Model | None, id_col: str = "doc_id", text_co
     if model is None:
         return frame.select(*[F.col(f"c{i}").alias(c) for i, c in enumerate(keep)], F.lit(1.0).alias("score"))
     sent = docs.sparkSession.sparkContext.broadcast(model)
+    text_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -245,6 +250,7 @@ def scores(docs: DataFrame, model: Model | None, id_col: str = "doc_id", text_co
                 x, n = encode(texts[part])
                 p = sent.value.score(x, n)
                 yield pa.RecordBatch.from_arrays([*(batch.column(i).slice(part.start, len(p)) for i in range(len(keep))), pa.array(p, pa.float64())], names=[f"c{i}" for i in range(len(keep))] + ["score"])
+        give_back()
 
     schema = StructType([StructField(f"c{i}", frame.schema[f"c{i}"].dataType) for i in range(len(keep))] + [StructField("score", DoubleType())])
     return frame.mapInArrow(run, schema).toDF(*keep, "score")

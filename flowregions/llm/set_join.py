@@ -31,20 +31,20 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from flowregions.llm.common import cut, table
+from flowregions.llm.common import cut, give_back, table, text_batches
 
 WIDTH, NUMERATOR, DENOMINATOR = 5, 75, 100
 #: Segments for each shingle of the largest set of a band; bands below TOKENS have a segment for each shingle.
 DENSITY, TOKENS = 0.4, 64
 #: Signatures packed together by a task, letters behind one bucket, classes compared together by a task.
-FLUSH, BUCKET_LETTERS, COMPARED = 600_000, 10_000_000, 2_000
+FLUSH, BUCKET_LETTERS, COMPARED = 400_000, 10_000_000, 2_000
 #: Classes of a block that is compared with another.
 BLOCK = 600
 #: Sampled documents, and the number of them a signature must be in to bypass the buckets.
 SAMPLE, OFTEN = 1_500, 15
 #: Ids that may be broadcast (8 bytes each).
 BROADCAST_IDS = 1_000_000
-KEPT_WORDS = 400_000
+KEPT_WORDS = 150_000
 
 U = np.uint64
 
@@ -315,6 +315,7 @@ def candidates(texts: DataFrame, how: dict) -> DataFrame:
     """Steps 1 to 3: ROWS from (id, text), written to the shared folder."""
     import pyarrow as pa
 
+    text_batches(texts.sparkSession)
     letters = texts.agg(F.sum(F.length("text"))).first()[0] or 0
     buckets = int(min(2**16 - 1, max(16, -(-letters // BUCKET_LETTERS))))
     often = texts.sparkSession.sparkContext.broadcast(_frequent(texts, how))
@@ -329,11 +330,14 @@ def candidates(texts: DataFrame, how: dict) -> DataFrame:
                     yield pa.RecordBatch.from_arrays(*_packed(list(packer.rows())))
                     packer.clear()
         yield pa.RecordBatch.from_arrays(*_packed(list(packer.rows())))
+        packer.clear()
+        give_back()
 
     def count(tab: pa.Table) -> pa.Table:
         if tab.column("kind")[0].as_py() != POSTINGS:
             return tab
         columns, names = _packed(list(count_bucket(tab, buckets)))
+        give_back()
         return pa.table(columns, names=names)
 
     def pick(tab: pa.Table) -> pa.Table:
@@ -356,9 +360,10 @@ def hashed_sets(keys: DataFrame, low: DataFrame, texts: DataFrame, how: dict) ->
 
     def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for k in range(0, batch.num_rows, 512):
-                sets = [shingles(t, width) for t in batch.column("text").slice(k, 512).to_pylist()]
+            for k in range(0, batch.num_rows, 128):
+                sets = [shingles(t, width) for t in batch.column("text").slice(k, 128).to_pylist()]
                 yield pa.RecordBatch.from_pydict({"key": pa.array([digest(s) for s in sets], pa.int64()), "hashes": pa.array([s.tobytes() for s in sets], pa.binary())})
+        give_back()
 
     return table(texts.join(ids, "id").select("text").mapInArrow(hashed, "key long, hashes binary"))
 

@@ -17,6 +17,8 @@ from collections.abc import Iterator
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from flowregions.llm.common import give_back, text_batches
+
 #: The shortest units that count, in words; a short one may repeat by chance.
 LINE_WORDS, SENTENCE_WORDS = 3, 8
 #: Units of a batch.
@@ -50,6 +52,7 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lin
     """(id, spans array<struct<start, end>>) of documents that lose units, spans merged and in order."""
     import pyarrow as pa
 
+    text_batches(docs.sparkSession)
     schema = "digest long, id long, start int, stop int, known boolean"
     names = [f.split()[0] for f in schema.split(", ")]
     texts = docs.select(docs[id_col].cast("long").alias("id"), docs[text_col].alias("text")).filter("id is not null and text is not null")
@@ -78,6 +81,7 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lin
                 if len(first) + len(gone) >= BATCH:
                     yield rows()
         yield rows()
+        give_back()
 
     found = texts.mapInArrow(run, schema)
     here = F.when(~F.col("known"), F.struct("id", "start"))
