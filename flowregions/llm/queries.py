@@ -94,6 +94,50 @@ from rate
 """
 
 ORACLES: dict[str, str] = {
+    "op6_line_dedup": r"""
+with raw as (
+  select doc_id, unnest(string_split(text, chr(10))) as line, unnest(range(len(string_split(text, chr(10))))) as n from documents where text is not null and doc_id is not null
+), seq as (
+  select doc_id, n, x, row_number() over (partition by doc_id order by n) - 1 as k
+  from (select doc_id, n, trim(regexp_replace(lower(line), '[\x00-\x20]+', ' ', 'g')) as x from raw) z where x <> ''
+), win as (
+  select doc_id, k, x || chr(10) || lead(x, 1) over (partition by doc_id order by k) || chr(10) || lead(x, 2) over (partition by doc_id order by k) as w from seq
+), ranked as (
+  select doc_id, k, first_value(doc_id) over (partition by w order by doc_id, k) as d0, first_value(k) over (partition by w order by doc_id, k) as k0 from win where w is not null
+), gone as (
+  select distinct r.doc_id, r.k + t.i as k from ranked r cross join range(3) t(i)
+  where (r.doc_id <> r.d0 or r.k <> r.k0) and (r.doc_id <> r.d0 or r.k + t.i >= r.k0 + 3)
+), lost as (
+  select s.doc_id, s.n from seq s join gone g on g.doc_id = s.doc_id and g.k = s.k
+), kept as (
+  select r.doc_id, string_agg(r.line, chr(10) order by r.n) as text from raw r left join lost l on l.doc_id = r.doc_id and l.n = r.n where l.n is null group by r.doc_id
+), counted as (
+  select doc_id, count(*)::int as removed from lost group by doc_id
+)
+select d.doc_id, case when c.removed is null then d.text else coalesce(k.text, '') end as text,
+  case when coalesce(d.text, '') = '' then 0 else len(string_split(d.text, chr(10))) end::int as n_lines, coalesce(c.removed, 0)::int as n_removed
+from documents d left join counted c on c.doc_id = d.doc_id left join kept k on k.doc_id = d.doc_id
+""",
+    "op8_set_join": r"""
+with recursive word as (
+  select doc_id, list_filter(string_split_regex(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') as w from documents
+), shingle as (
+  select distinct doc_id, unnest(case when len(w) = 0 then [] when len(w) < 5 then [array_to_string(w, ' ')] else list_transform(range(1, len(w) - 3), lambda i: array_to_string(list_slice(w, i, i + 4), ' ')) end) as s from word
+), size as (
+  select doc_id, count(*)::bigint as n from shingle group by doc_id
+), pair as (
+  select a.doc_id as x, b.doc_id as y, count(*)::bigint as c from shingle a join shingle b on a.s = b.s and a.doc_id < b.doc_id group by 1, 2
+), link as (
+  select x, y from pair join size p on p.doc_id = x join size q on q.doc_id = y where 100 * c >= 75 * (p.n + q.n - c)
+), edge as (
+  select x, y from link union all select y, x from link
+), reach as (
+  select doc_id as u, doc_id as v from documents union select r.u, e.y from reach r join edge e on e.x = r.v
+), least_ as (
+  select u, min(v) as component_id from reach group by u
+)
+select d.doc_id, coalesce(s.n, 0)::bigint as n_shingles, l.component_id from documents d left join size s on s.doc_id = d.doc_id join least_ l on l.u = d.doc_id
+""",
     "op3_mixture": MIXTURE_SQL,
     "op5_ball_tree": """
 with v as (
