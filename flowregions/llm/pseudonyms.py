@@ -10,7 +10,7 @@ pseudonym in every document and a valid value stays a valid one:
 - telephone numbers: all digits behind the country code; IPv4 addresses: all four bytes;
 - social security numbers: within the valid ranges;
 - e-mail addresses: letters and digits of the part before the @; passwords, tokens, keys and other
-  secrets behind a name: letters and digits of the value.
+  secrets behind a name: letters and digits of the value; keys of known forms (AKIA..., ghp_...): what follows their mark.
 
 The permutation is a Feistel network of ten rounds over mixed radix (any alphabets at any place);
 round values are keyed BLAKE2b. Where a format forbids some values, the network is walked until the
@@ -36,6 +36,7 @@ HEX = "0123456789abcdef"
 PATTERNS = (
     ("email", r"(?P<email>[A-Za-z0-9][A-Za-z0-9._%+-]*@(?:[A-Za-z0-9-]+\.)+[A-Za-z]{2,})"),
     ("secret", r"(?P<secret>(?i:\b(?:pass(?:word|wd)?|pwd|secret|token|api[_-]?key|access[_-]?key|auth)\b[\"']?\s*[=:]\s*[\"']?))(?P<secret_value>[A-Za-z0-9_+/.-]{6,}=*)"),
+    ("token", r"(?P<token>\b(?:(?:AKIA|ASIA)[A-Z0-9]{16}|gh[pousr]_[A-Za-z0-9]{20,}|sk-[A-Za-z0-9_-]{20,}|xox[abprs]-[A-Za-z0-9-]{10,})\b)"),
     ("date", r"(?P<date>(?<![\d.])(?:\d{4}-\d{2}-\d{2}|\d{1,2}\.\d{1,2}\.\d{4}|\d{1,2}/\d{1,2}/\d{4})(?![\d]|\.\d))"),
     ("ip", r"(?P<ip>(?<![\d.])\d{1,3}\.\d{1,3}\.\d{1,3}\.\d{1,3}(?!\d|\.\d))"),
     ("iban", r"(?P<iban>\b[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?\b)"),
@@ -43,9 +44,10 @@ PATTERNS = (
     ("phone", r"(?P<phone>(?:\+\d{1,3}[ .-]?)?\(\d{2,4}\)[ .-]?\d{3,4}[ .-]?\d{3,4}(?!\d)|\+\d{1,3}(?:[ .-]?\d{2,4}){2,5}(?!\d)|(?<![\d.+-])\d{3}[ .-]\d{3,4}[ .-]\d{4}(?![\d-]))"),
     ("card", r"(?P<card>(?<![\d-])\d(?:[ -]?\d){12,18}(?![\d-]))"),
 )
+CARD = re.compile(PATTERNS[-1][1])
 FINDER = re.compile("|".join(p for _, p in PATTERNS))
 #: A text without any of these holds none of the kinds.
-HINT = re.compile(r"[0-9@]|(?i:pass|pwd|secret|token|key|auth)")
+HINT = re.compile(r"[0-9@]|AKIA|ASIA|(?i:pass|pwd|secret|token|key|auth)")
 
 
 def permute(value: list[int], radix: list[int], key: bytes, tweak: str) -> list[int]:
@@ -124,6 +126,20 @@ def card(text: str, key: bytes) -> str | None:
     return _refill(text, body + str(luhn(body)))
 
 
+def card_within(text: str, key: bytes) -> tuple[str | None, int]:
+    """The longest run of whole groups from the start that is a card number, and its length: what follows a number may be another one."""
+    for end in [len(text), *(m.start() for m in reversed(list(re.finditer(r"[ -]", text))))]:
+        if 13 <= sum(c.isdigit() for c in text[:end]) <= 19 and (new := card(text[:end], key)) is not None:
+            return new, end
+    return None, 0
+
+
+def token(text: str, key: bytes) -> str | None:
+    """Keys of known forms: what marks the form stays."""
+    lead = re.match(r"AKIA|ASIA|gh[pousr]_|sk-|xox[abprs]-", text).end()
+    return text[:lead] + characters(text[lead:], key, "token")
+
+
 def _remainder(text: str) -> int:
     return int("".join(str(int(c, 36)) for c in text)) % 97
 
@@ -192,7 +208,7 @@ def email(text: str, key: bytes) -> str | None:
     return characters(name, key, "email") + "@" + domain
 
 
-KINDS: dict[str, Callable[[str, bytes], str | None]] = {"email": email, "date": date, "ip": ip, "iban": iban, "ssn": ssn, "phone": phone, "card": card}
+KINDS: dict[str, Callable[[str, bytes], str | None]] = {"email": email, "token": token, "date": date, "ip": ip, "iban": iban, "ssn": ssn, "phone": phone, "card": card}
 
 
 def pseudonymise(text: str | None, key: bytes) -> tuple[str | None, list[tuple[int, int, str]]]:
@@ -208,10 +224,11 @@ def pseudonymise(text: str | None, key: bytes) -> tuple[str | None, list[tuple[i
         else:
             start, stop = m.span()
             new = KINDS[kind](m.group(), key)
-            if new is None and kind == "phone":  # a number that is no telephone's may still be a card's
-                wide = re.compile(PATTERNS[-1][1]).match(text, start)
-                new, stop = (card(wide.group(), key), wide.end()) if wide else (None, stop)
-                kind = "card"
+            if new is None and kind in ("phone", "card"):  # a number that is no telephone's may still be a card's
+                wide = CARD.match(text, start)
+                if wide:
+                    new, size = card_within(wide.group(), key)
+                    stop, kind = start + size, "card"
         if new is None:
             pos = m.start() + 1
             while pos < len(text) and text[pos].isalnum() and text[pos - 1].isalnum():
