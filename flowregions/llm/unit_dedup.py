@@ -1,6 +1,9 @@
-"""Substring dedup by hashing lines and sentences.
+"""Substring dedup by hashing lines, sentences and stretches of words.
 
-Units are a text's lines and, inside long lines, its sentences. A unit's digest is taken after
+Units are a text's lines, inside long lines its sentences, and, so that passages set into the middle
+of a sentence are met too, stretches of words whose ends the words themselves decide: an end is a pair
+of words whose hash is the least within REACH pairs on either side, a unit reaches over two such
+stretches. Equal passages have equal ends, wherever they stand. A unit's digest is taken after
 normalising (lower case, blanks as one); of all units with one digest in the corpus the earliest
 (smallest id, then offset) stays and the rest goes, with its original offsets kept as spans.
 
@@ -14,18 +17,23 @@ import hashlib
 import re
 from collections.abc import Iterator
 
+import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from flowregions.llm.common import give_back, text_batches
+from flowregions.llm.set_join import mix
 
 #: The shortest units that count, in words; a short one may repeat by chance.
 LINE_WORDS, SENTENCE_WORDS = 3, 8
-#: Units of a batch.
-BATCH = 200_000
+#: Pairs of words on either side that an end of a stretch is least among.
+REACH = 4
+#: Units of a batch, and words whose hashes a task keeps.
+BATCH, KEPT_WORDS = 200_000, 150_000
 
 _SENTENCE = re.compile(r"[^.!?]+[.!?]*")
 _LINE = re.compile(r"[^\n]+")
+_WORD = re.compile(r"\S+")
 
 
 def units(text: str | None, line_words: int = LINE_WORDS, sentence_words: int = SENTENCE_WORDS) -> Iterator[tuple[int, int, int]]:
@@ -41,6 +49,40 @@ def units(text: str | None, line_words: int = LINE_WORDS, sentence_words: int =
                     words = part.group().lower().split()
                     if len(words) >= sentence_words:
                         yield _unit(part.group(), start + part.start(), words)
+    yield from stretches(text)
+
+
+class _Codes(dict):
+    """Word -> 64-bit digest."""
+
+    def __missing__(self, word: str) -> int:
+        if len(self) >= KEPT_WORDS:
+            self.clear()
+        code = self[word] = int.from_bytes(hashlib.blake2b(word.encode("utf-8", "replace"), digest_size=8).digest(), "little")
+        return code
+
+
+_CODES = _Codes()
+
+
+def stretches(text: str | None, reach: int = REACH) -> Iterator[tuple[int, int, int]]:
+    """(start, end, digest) of units of two neighbouring stretches of words."""
+    words = (text or "").lower().split()
+    n = len(words) - 1
+    if n < 4 * reach:
+        return
+    codes = np.fromiter(map(_CODES.__getitem__, words), dtype=np.uint64, count=n + 1)
+    pair = mix(codes[:-1] * np.uint64(0x9E3779B97F4A7C15) + codes[1:])
+    inner = pair[reach : n - reach]
+    least = np.ones(len(inner), dtype=bool)
+    for k in range(1, reach + 1):
+        least &= (inner < pair[reach - k : n - reach - k]) & (inner <= pair[reach + k : n - reach + k])
+    ends = np.flatnonzero(least) + reach + 1  # the word behind the pair's first
+    if len(ends) < 3:
+        return
+    spans = [m.span() for m in _WORD.finditer(text)]
+    for a, b in zip(ends[:-2].tolist(), ends[2:].tolist(), strict=True):
+        yield spans[a][0], spans[b - 1][1], int.from_bytes(hashlib.blake2b(codes[a:b].tobytes(), digest_size=8).digest(), "little", signed=True)
 
 
 def _unit(body: str, start: int, words: list[str]) -> tuple[int, int, int]:
@@ -81,6 +123,7 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lin
                 if len(first) + len(gone) >= BATCH:
                     yield rows()
         yield rows()
+        _CODES.clear()
         give_back()
 
     found = texts.mapInArrow(run, schema)

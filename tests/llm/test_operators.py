@@ -281,6 +281,16 @@ def test_unit_dedup_catches_a_passage_in_another_line(spark):
     assert "word30" in rows[0] and "word30" not in rows[1] and "Also other." in rows[1]
 
 
+def test_unit_dedup_catches_a_passage_within_a_sentence(spark):
+    rng = random.Random(6)
+    passage = " ".join(rng.choice("ta ke mo li su ne".split()) + str(rng.randrange(50)) for _ in range(60))
+    other = lambda: " ".join(rng.choice("pa ro vi".split()) + str(rng.randrange(900)) for _ in range(40))
+    texts = [f"{other()} {passage} {other()}" for _ in range(4)]
+    rows = {r.doc_id: r for r in unit_dedup.deduplicate(docs_of(spark, texts)).collect()}
+    assert rows[0].text == texts[0]
+    assert all(rows[i].n_removed >= 1 and passage not in rows[i].text for i in (1, 2, 3))
+
+
 # ------------------------------------------------------------------ set join
 
 
