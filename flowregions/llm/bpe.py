@@ -214,7 +214,7 @@ _ENCODERS: dict[str, Encoder] = {}
 
 
 def encoder(spec: str, key: str) -> Encoder:
-    """The worker's encoder, built once."""
+    """The task's encoder; a tenth of a second to build."""
     if key not in _ENCODERS:
         _ENCODERS.clear()
         _ENCODERS[key] = Encoder(spec)
@@ -246,6 +246,8 @@ def _mapped(docs: DataFrame, tokenizer: str, id_col: str, in_col: str, schema: s
                 rows = [make(coder, x) for x in part.column(1).to_pylist()]
                 columns = [pa.array([r[c] for r in rows], type=names.field(c + 1).type) for c in range(len(names) - 1)]
                 yield pa.RecordBatch.from_arrays([part.column(0).cast(names.field(0).type), *columns], schema=names)
+        del coder
+        _ENCODERS.clear()  # tasks of other operators follow in this worker
         give_back()
 
     return frame.mapInArrow(run, StructType.fromDDL(f"{id_col} {frame.schema['id'].dataType.simpleString()}, {schema}"))

@@ -57,7 +57,7 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 
 class Words(dict):
-    """Word -> 64-bit digest; kept for the worker's life up to KEPT_WORDS."""
+    """Word -> 64-bit digest; kept for a task, up to KEPT_WORDS."""
 
     def __missing__(self, word: bytes) -> int:
         if len(self) >= KEPT_WORDS:
@@ -331,6 +331,7 @@ def candidates(texts: DataFrame, how: dict) -> DataFrame:
                     packer.clear()
         yield pa.RecordBatch.from_arrays(*_packed(list(packer.rows())))
         packer.clear()
+        _WORDS.clear()
         give_back()
 
     def count(tab: pa.Table) -> pa.Table:
@@ -363,6 +364,7 @@ def hashed_sets(keys: DataFrame, low: DataFrame, texts: DataFrame, how: dict) ->
             for k in range(0, batch.num_rows, 128):
                 sets = [shingles(t, width) for t in batch.column("text").slice(k, 128).to_pylist()]
                 yield pa.RecordBatch.from_pydict({"key": pa.array([digest(s) for s in sets], pa.int64()), "hashes": pa.array([s.tobytes() for s in sets], pa.binary())})
+        _WORDS.clear()
         give_back()
 
     return table(texts.join(ids, "id").select("text").mapInArrow(hashed, "key long, hashes binary"))
