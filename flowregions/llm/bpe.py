@@ -26,8 +26,8 @@ from pyspark.sql import DataFrame
 from flowregions.llm.common import give_back, text_batches
 
 WORD_END = "</w>"
-#: Chunks, and words, kept in a worker's memory, and the longest that is kept.
-CHUNKS, CHUNK_CHARS = 150_000, 48
+#: Chunks and words that a task keeps, and the longest that is kept.
+CHUNKS, WORDS, CHUNK_CHARS = 250_000, 300_000, 48
 #: Up to here, letters and their cases are the same in all Unicode versions.
 LATIN = "\u024f"
 #: Pairs kept in the compatibility table.
@@ -168,7 +168,7 @@ class Encoder:
                 ids = self.word(raw[:-1] + chr(ord(raw[-1]) + 256))
                 got = pack(f"<{len(ids)}I", *ids)
                 if len(word) <= CHUNK_CHARS:
-                    if len(known) >= CHUNKS:
+                    if len(known) >= WORDS:
                         known.clear()
                     known[word] = got
             out.append(got)
