@@ -292,9 +292,6 @@ register("null_sample", lambda s, d: nulls.sample_random_flows(s, 25, 10_000).ag
 
 # ---------------------------------------------------------------- panels and experiments
 
-FIXED = ("bm", "bm_r")
-
-
 def _panel(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
     flows, networks = panel.trade_panel(s, d)
     flows = cut(flows)
@@ -307,7 +304,7 @@ def _panel(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame, DataFrame, Da
 _PANELS: dict[tuple, tuple] = {}
 
 
-def _fitted(s: SparkSession, d: str, variants: tuple[str, ...] = FIXED, reps: tuple[str, ...] = ("mg", "w")) -> tuple[DataFrame, ...]:
+def _fitted(s: SparkSession, d: str, variants: tuple[str, ...] = mcmc.VARIANTS, reps: tuple[str, ...] = ("mg", "w")) -> tuple[DataFrame, ...]:
     """Panel, best fitted partitions of the block models, and greedy paths, each computed once."""
     key = (s.sparkContext.applicationId, d, variants, reps)
     if key not in _PANELS:
@@ -327,15 +324,11 @@ def _scores(fits: DataFrame, paths: dict[str, DataFrame], units: DataFrame) -> D
     return rows
 
 
-def _all_scores(s: SparkSession, d: str, variants: tuple[str, ...] = FIXED) -> tuple[DataFrame, DataFrame, DataFrame]:
+def _all_scores(s: SparkSession, d: str, variants: tuple[str, ...] = mcmc.VARIANTS) -> tuple[DataFrame, DataFrame, DataFrame]:
     flows, units, _, networks, fits, paths = _fitted(s, d, variants)
     return cut(_scores(fits, paths, units)), nulls.null_scores(flows, units), networks
 
 
-def _partition(fits: DataFrame, rep: str, model: str = "bm") -> DataFrame:
-    return fits.filter((F.col("model") == model) & (F.col("rep") == rep)).select("network_id", "model", "unit_id", "label")
-
-
 def _panel_flows_sql() -> str:
     return O.compose(("rows_",), """select network_id, split_part(network_id, ':', 1) as class, count(*)::bigint as e, sum(w)::bigint as w from (
 select network_id, src, dst, count(*) as w from (
@@ -366,18 +359,20 @@ def _trajectories(s: SparkSession, d: str) -> DataFrame:
 register("x0_trajectory", _trajectories)
 register("x1_rep_gap", lambda s, d: rounded(scores.rep_gap(_all_scores(s, d)[0])))
 register("x2_eta", lambda s, d: rounded((lambda x: scores.compression_ratio(scores.best_model(x[0]), x[1]))(_all_scores(s, d)).select("network_id", "model", "rep", "eta"), 6))
-register("x3_hist", lambda s, d: (lambda x: scores.model_histogram(scores.best_model(x[0].filter("model != 'ga'")), x[2]))(_all_scores(s, d, ("bm", "bm_dc", "bm_r", "bm_n"))))
+register("x3_hist", lambda s, d: (lambda x: scores.model_histogram(scores.best_model(x[0].filter("model != 'ga'")), x[2]))(_all_scores(s, d)))
 register("x4_ratio", lambda s, d: rounded((lambda x: scores.dl_ratio(scores.best_model(x.filter("model = 'ga'")), scores.best_model(x.filter("model != 'ga'"))))(_all_scores(s, d)[0]), 6))
 register("x5_groups", lambda s, d: rounded(scores.resolution_limits(_all_scores(s, d)[0].filter("rep = 'w'")).select("network_id", "model", "n", "b", "flat_limit", "nested_limit"), 6))
 register("x6_groups_pair", lambda s, d: (lambda x: x.filter("model = 'ga'").select("network_id", "rep", F.col("b").alias("b_ga")).join(x.filter("model = 'bm'").select("network_id", "rep", F.col("b").alias("b_bm")), ["network_id", "rep"]))(_all_scores(s, d)[0]))
 
 
 def _ami_panel(s: SparkSession, d: str) -> DataFrame:
+    """The greedy method against the best block model of each network, both for weighted flows."""
     _, units, _, _, fits, paths = _fitted(s, d)
-    fits, paths = fits.filter("rep = 'w' and model = 'bm'"), {"w": paths["w"]}
-    found = similarity.ami(greedy.cut_path(paths["w"], units, "ga"), _partition(fits, "w"))
-    both = _scores(fits, paths, units)
-    gap = scores.dl_gap_per_node(both.filter("model = 'bm'"), both.filter("model = 'ga'"))
+    both = cut(_scores(fits.filter("rep = 'w'"), {"w": paths["w"]}, units))
+    best = scores.best_model(both.filter("model != 'ga'"))
+    fits = fits.filter("rep = 'w'").join(best.select("network_id", "model"), ["network_id", "model"])
+    found = similarity.ami(greedy.cut_path(paths["w"], units, "ga"), fits.select("network_id", "model", "unit_id", "label"))
+    gap = scores.dl_gap_per_node(both.join(best.select("network_id", "model"), ["network_id", "model"]), both.filter("model = 'ga'"))
     return rounded(found.select("network_id", "ami").join(gap, "network_id"), 6)
 
 
@@ -387,7 +382,7 @@ register("x7_ami_hist", lambda s, d: scores.histogram(_ami_panel(s, d), "ami", 1
 
 def _contiguity_panel(s: SparkSession, d: str) -> DataFrame:
     _, units, borders, _, fits, paths = _fitted(s, d)
-    parts = _partition(fits, "w").unionByName(greedy.cut_path(paths["w"], units, "ga"))
+    parts = fits.filter("rep = 'w'").select("network_id", "model", "unit_id", "label").unionByName(greedy.cut_path(paths["w"], units, "ga"))
     return rounded(contiguity.measures(parts, borders), 6)
 
 

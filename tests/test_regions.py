@@ -163,6 +163,15 @@ def test_rounds_stay_contiguous_and_fall(spark, tiny):
     assert contiguity.measures(part, borders).first().broken == 0
 
 
+def test_experiments_fit_all_variants():
+    import inspect
+
+    from flowregions import queries
+
+    for made in (queries._fitted, queries._all_scores):
+        assert inspect.signature(made).parameters["variants"].default == mcmc.VARIANTS
+
+
 def test_disconnected_borders_keep_components(spark):
     flows = spark.createDataFrame([("t", 0, 1, 5), ("t", 2, 3, 5)], tables.FLOWS)
     units = U.grid(spark, 4, 1, "t")
