@@ -26,8 +26,8 @@ def good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def without_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Later repeats of runs of lines are deleted; a document that loses all its lines goes. n_chars is counted anew where the text changed."""
-    rows = line_dedup.deduplicate(docs)
+    """Later repeats of three lines in a row, or of one or two lines with 50 words or more, are deleted; a document that loses all its lines goes. n_chars is counted anew where the text changed."""
+    rows = line_dedup.deduplicate(docs, words=line_dedup.WORDS)
     rows = rows.filter((F.col("n_removed") == 0) | (F.trim(F.translate("text", "\n\r\t", "   ")) != ""))
     return rows.withColumn("n_chars", F.when(F.col("n_removed") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))).select(*docs.columns)
 

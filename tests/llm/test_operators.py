@@ -243,6 +243,16 @@ def test_line_dedup_equals_brute_force(spark):
     assert rows[60].n_lines == 0 and rows[61].n_removed == 0
 
 
+def test_line_dedup_of_long_passages_on_few_lines(spark):
+    long = " ".join(f"w{i}" for i in range(60))
+    half = [" ".join(f"{c}{i}" for i in range(30)) for c in "ab"]
+    texts = [long, f"Own.\n{long.upper()}", "\n".join(half), "\n".join([*half, "tail"]), "short\nlines", "short\nlines", f"{long}\nx\n{long}"]
+    docs = docs_of(spark, texts)
+    got = {r.doc_id: (r.text, r.n_removed) for r in line_dedup.deduplicate(docs, words=50).collect()}
+    assert got == {0: (texts[0], 0), 1: ("Own.", 1), 2: (texts[2], 0), 3: ("tail", 2), 4: (texts[4], 0), 5: (texts[5], 0), 6: ("x", 2)}
+    assert line_dedup.deduplicate(docs).agg(F.sum("n_removed")).first()[0] == 0
+
+
 def test_line_dedup_odd_tables(spark):
     docs = docs_of(spark, ["x\ny\nz", "x\ny\nz"]).withColumn("gone", F.lit("keep"))
     rows = {r.doc_id: r for r in line_dedup.deduplicate(docs).collect()}
