@@ -124,40 +124,60 @@ def run_frames(flows: DataFrame, units: DataFrame, adjacency: DataFrame, rep: st
     return path
 
 
-def run_rounds(flows: DataFrame, units: DataFrame, adjacency: DataFrame, rep: str = "w", most_rounds: int = 12) -> tuple[DataFrame, DataFrame]:
+def run_rounds(flows: DataFrame, units: DataFrame, adjacency: DataFrame, rep: str = "w", most_rounds: int | None = None, stop: str = "first_increase", b: int | None = None, model: str = "rounds") -> tuple[DataFrame, DataFrame]:
     """(partition, history (network_id, round, b, dl)) of networks too large for one task: many merges a round.
 
     In a round every group nominates its best touching partner by gain, and mutual nominations merge
     together, the better half of them first. A network whose exact length does not fall keeps its
-    partition and tries half as many next time, down to one; then it is done. Contiguity holds
-    throughout; the order of merges is not the sequential one. The driver sees two numbers a round.
+    partition and tries half as many next time, down to one; after a fall it tries twice as many.
+    What follows when one merge does not help either is up to ``stop``: "first_increase" is done,
+    "full" and "fixed_b" merge on, whatever the length does, until nothing touches or b groups are
+    left; "full" returns the shortest partition visited, "fixed_b" the last. Rounds go on until no network
+    is open; only a caller's ``most_rounds`` ends them before. Contiguity holds throughout; the order
+    of merges is not the sequential one. The driver sees two numbers a round.
     """
-    model = "rounds"
+    if stop not in ("full", "first_increase", "fixed_b") or (stop == "fixed_b" and b is None):
+        raise ValueError("stop is full, first_increase, or fixed_b with b")
+    least = b if stop == "fixed_b" else 1
     flows, adjacency = cut(flows.select("network_id", "src", "dst", "w")), cut(adjacency.select("network_id", "a", "b"))
-    part = cut(units.select("network_id", F.lit(model).alias("model"), "unit_id", F.col("unit_id").alias("label")))
-    score = lambda p: dl.total(flows, p, rep).select("network_id", F.col("b").cast("int").alias("b"), "dl")
-    state = cut(score(part).withColumn("share", F.lit(1.0)).withColumn("open", F.lit(True)))
-    history = [state.select("network_id", F.lit(0).alias("round"), "b", "dl")]
-    for k in range(1, most_rounds + 1):
+    part = cut(units.select("network_id", F.lit(model).alias("model"), "unit_id", F.col("unit_id").alias("label"), F.col("unit_id").alias("best")))
+
+    def score(p: DataFrame) -> DataFrame:
+        """Networks without flows have the length of their partition alone."""
+        found = dl.total(flows, p, rep).select("network_id", "dl")
+        return dl.partition_bits(p).join(found, "network_id", "left").select("network_id", F.col("b").cast("int").alias("b"), F.coalesce("dl", "partition_bits").alias("dl"))
+
+    state = score(part).withColumn("share", F.lit(1.0)).withColumn("least_dl", F.col("dl")).withColumn("up", F.lit(False))
+    state = cut(state.withColumn("open", F.col("b") > least))
+    history = state.select("network_id", F.lit(0).alias("round"), "b", "dl")
+    k = 0
+    while most_rounds is None or k < most_rounds:
+        k += 1
         gains = dl.merge_gains(flows, part, adjacency, rep)
         both = gains.select("network_id", F.explode(F.array(F.struct(F.col("r").alias("x")), F.struct(F.col("s").alias("x")))).alias("e"), "r", "s", F.round("delta", 9).alias("delta"))
         choice = both.groupBy("network_id", "e.x").agg(F.min(F.struct("delta", "r", "s")).alias("m"))
         mutual = choice.groupBy("network_id", F.col("m.r").alias("r"), F.col("m.s").alias("s")).agg(F.count("*").alias("votes"), F.min("m.delta").alias("delta")).filter("votes = 2")
         rank = mutual.withColumn("rank", F.row_number().over(Window.partitionBy("network_id").orderBy("delta", "r", "s"))).withColumn("all", F.count("*").over(Window.partitionBy("network_id")))
-        most = F.greatest(F.lit(1), F.floor(F.col("all") * F.col("share") / 2))
-        batch = cut(rank.join(state.filter("open").select("network_id", "share"), "network_id").filter(F.col("rank") <= most).select("network_id", F.col("s").alias("label"), "r", most.alias("many")))
+        most = F.least(F.greatest(F.lit(1), F.floor(F.col("all") * F.col("share") / 2)), F.col("b") - least)
+        batch = cut(rank.join(state.filter("open").select("network_id", "share", "b"), "network_id").filter(F.col("rank") <= most).select("network_id", F.col("s").alias("label"), "r", most.alias("many")))
         if batch.isEmpty():
             break
         new = cut(part.join(batch, ["network_id", "label"], "left").select("network_id", "model", "unit_id", F.coalesce("r", "label").alias("label")))
         many = batch.groupBy("network_id").agg(F.first("many").alias("many"))
         after = score(new).select("network_id", F.col("b").alias("b2"), F.col("dl").alias("dl2"))
         judged = state.join(after, "network_id").join(many, "network_id", "left")
-        better = F.col("dl2") < F.col("dl")
-        state = cut(judged.select("network_id", F.when(better, F.col("b2")).otherwise(F.col("b")).alias("b"), F.when(better, F.col("dl2")).otherwise(F.col("dl")).alias("dl"), F.when(better, F.col("share")).otherwise(F.col("share") / 2).alias("share"), (F.col("open") & F.col("many").isNotNull() & (better | (F.col("many") > 1))).alias("open"), better.alias("took")))
-        part = cut(part.withColumnRenamed("label", "before").join(new.select("network_id", "unit_id", "label"), ["network_id", "unit_id"]).join(state.select("network_id", "took"), "network_id").select("network_id", "model", "unit_id", F.when(F.col("took"), F.col("label")).otherwise(F.col("before")).alias("label")))
-        history.append(state.filter("took").select("network_id", F.lit(k).alias("round"), "b", "dl"))
-        state = state.drop("took")
-    out = history[0]
-    for more in history[1:]:
-        out = out.unionByName(more)
-    return part, out
+        moved, better = F.col("many").isNotNull(), F.col("dl2") < F.col("dl")
+        on = F.lit(stop != "first_increase") & (F.col("up") | (F.col("many") == 1))
+        judged = judged.withColumn("took", moved & (better | on)).withColumn("shorter", F.col("took") & (F.round("dl2", 9) <= F.round("least_dl", 9)))
+        up = F.when(F.col("shorter"), False).otherwise(F.col("up") | (F.col("took") & ~better))
+        share = F.when(~moved, F.col("share")).when(up, 1.0).when(F.col("took"), F.least(F.lit(1.0), F.col("share") * 2)).otherwise(F.col("share") / 2)
+        now = F.when(F.col("took"), F.col("b2")).otherwise(F.col("b"))
+        still = F.col("open") & moved & (F.col("took") | (F.col("many") > 1)) & (now > least)
+        state = cut(judged.select("network_id", now.alias("b"), F.when(F.col("took"), F.col("dl2")).otherwise(F.col("dl")).alias("dl"), share.alias("share"), F.when(F.col("shorter"), F.col("dl2")).otherwise(F.col("least_dl")).alias("least_dl"), up.alias("up"), still.alias("open"), "took", "shorter"))
+        rows = part.withColumnRenamed("label", "before").join(new.select("network_id", "unit_id", "label"), ["network_id", "unit_id"]).join(state.select("network_id", "took", "shorter"), "network_id")
+        part = cut(rows.select("network_id", "model", "unit_id", F.when(F.col("took"), F.col("label")).otherwise(F.col("before")).alias("label"), F.when(F.col("shorter"), F.col("label")).otherwise(F.col("best")).alias("best")))
+        history = history.unionByName(state.filter("took").select("network_id", F.lit(k).alias("round"), "b", "dl"))
+        if k % 50 == 0:
+            history = cut(history)
+        state = state.drop("took", "shorter")
+    return part.select("network_id", "model", "unit_id", F.col("best" if stop == "full" else "label").alias("label")), history

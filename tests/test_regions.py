@@ -163,6 +163,14 @@ def test_rounds_stay_contiguous_and_fall(spark, tiny):
     assert contiguity.measures(part, borders).first().broken == 0
 
 
+def test_rounds_end_when_nothing_touches(spark):
+    units = U.grid(spark, 14, 1, "t")
+    flows = spark.createDataFrame([], tables.FLOWS)  # one mutual pair a round
+    part, history = greedy.run_rounds(flows, units, adj.from_cells(units), stop="full")
+    assert sorted(r.b for r in history.collect()) == list(range(1, 15))
+    assert {r.label for r in part.collect()} == {0} and part.count() == 14
+
+
 def test_experiments_fit_all_variants():
     import inspect
 
