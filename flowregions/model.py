@@ -11,7 +11,7 @@ from flowregions.operators import contiguity, dl, nulls, scores, similarity
 from flowregions.plans import greedy, mcmc
 from flowregions.plans.checkpoints import cut
 
-#: Networks with more units than this are merged in rounds by joins instead of in one task.
+#: Networks with more units than this are merged in rounds by joins instead of in one task, for the objective that rounds serve.
 TASK_UNITS = 100_000
 
 
@@ -35,7 +35,7 @@ class RegionModel:
     def cut(self, b: int) -> DataFrame:
         """The partition with b groups, from the merges already made."""
         if self.trajectory is None:
-            raise ValueError("merging in rounds keeps no single merges")
+            raise ValueError("merging in rounds keeps no single merges; fit with stop='fixed_b' and b")
         return greedy.cut_path(self.trajectory, self.network.units, f"{self.name}_{b}", b)
 
     def score(self, flows: DataFrame | None = None) -> DataFrame:
@@ -52,7 +52,11 @@ class RegionModel:
 
 @dataclass
 class Regionalizer:
-    """rep: w or mg; objective: bm, bm_dc, modularity, map_equation; stop: full, first_increase, fixed_b; impl: auto, kernel (one task a network), rounds (joins)."""
+    """rep: w or mg; objective: bm, bm_dc, modularity, map_equation; stop: full, first_increase, fixed_b; impl: auto, kernel (one task a network), rounds (joins).
+
+    auto: the kernel, but rounds for those networks of more than TASK_UNITS units, if the objective is bm;
+    rounds honour stop and b. The other objectives have no rounds and stay with the kernel at any size.
+    """
 
     rep: str = "w"
     objective: str = "bm"
@@ -62,16 +66,25 @@ class Regionalizer:
 
     def fit(self, network: Network) -> RegionModel:
         name = f"ga_{self.objective}"
-        impl = self.impl
-        if impl == "auto":
-            most = network.units.groupBy("network_id").count().agg(F.max("count")).first()[0] or 0
-            impl = "kernel" if most <= TASK_UNITS else "rounds"
-        if impl == "rounds":
-            partition, _ = greedy.run_rounds(network.flows, network.units, network.adjacency, self.rep)
-            return RegionModel(network, partition, None, self.rep, name)
+        if self.impl == "rounds" and self.objective != "bm":
+            raise ValueError(f"merging in rounds has no objective {self.objective}; use impl='kernel'")
+        if self.impl == "rounds":
+            return RegionModel(network, self._by_rounds(network, name), None, self.rep, name)
+        if self.impl == "auto" and self.objective == "bm":
+            large = cut(network.units.groupBy("network_id").count().filter(F.col("count") > TASK_UNITS).select("network_id"))
+            if not large.isEmpty():
+                part = lambda how: Network(*(f.join(large, "network_id", how) for f in (network.units, network.flows, network.adjacency)))
+                partition = self._by_rounds(part("left_semi"), name).unionByName(self._by_kernel(part("left_anti"), name)[0])
+                return RegionModel(network, partition, None, self.rep, name)
+        return RegionModel(network, *self._by_kernel(network, name), self.rep, name)
+
+    def _by_kernel(self, network: Network, name: str) -> tuple[DataFrame, DataFrame]:
         trajectory = cut(greedy.run(network.flows, network.units, network.adjacency, self.rep, self.objective, self.stop, self.b))
         last = self.b if self.stop == "fixed_b" else None
-        return RegionModel(network, greedy.cut_path(trajectory, network.units, name, last), trajectory, self.rep, name)
+        return greedy.cut_path(trajectory, network.units, name, last), trajectory
+
+    def _by_rounds(self, network: Network, name: str) -> DataFrame:
+        return greedy.run_rounds(network.flows, network.units, network.adjacency, self.rep, stop=self.stop, b=self.b, model=name)[0]
 
 
 @dataclass

@@ -171,6 +171,20 @@ def test_rounds_end_when_nothing_touches(spark):
     assert {r.label for r in part.collect()} == {0} and part.count() == 14
 
 
+def test_large_networks_honour_objective_stop_and_b(spark, tiny, monkeypatch):
+    from flowregions import model
+
+    flows, units, borders = tiny
+    net = model.Network(units, flows, borders)
+    monkeypatch.setattr(model, "TASK_UNITS", 5)
+    fixed = model.Regionalizer(stop="fixed_b", b=4).fit(net)
+    assert fixed.partition.select("label").distinct().count() == 4
+    want = greedy.best_step(greedy.run(flows, units, borders, objective="modularity")).first().b
+    assert model.Regionalizer(objective="modularity").fit(net).partition.select("label").distinct().count() == want
+    with pytest.raises(ValueError):
+        model.Regionalizer(objective="modularity", impl="rounds").fit(net)
+
+
 def test_experiments_fit_all_variants():
     import inspect
 
