@@ -6,15 +6,17 @@ pseudonym in every document and a valid value stays a valid one:
 - payment cards: 13 to 19 digits with a right Luhn sum; all digits but the last are permuted, the
   last is the Luhn digit of the new number;
 - IBANs with a right remainder: the account part is permuted, the check digits are computed anew;
-- dates (year-month-day, day.month.year, month/day/year) that exist: permuted among the days of 400 years;
+- dates (year-month-day, day.month.year, month/day/year) that exist: permuted among the days of 400 years
+  that can be written in as many digits;
 - telephone numbers: all digits behind the country code; IPv4 addresses: all four bytes;
 - social security numbers: within the valid ranges;
-- e-mail addresses: letters and digits of the part before the @; passwords, tokens, keys and other
+- e-mail addresses: letters and digits of the part before the @ and of the domain but for its last label; passwords, tokens, keys and other
   secrets behind a name: letters and digits of the value; keys of known forms (AKIA..., ghp_...): what follows their mark.
 
 The permutation is a Feistel network of ten rounds over mixed radix (any alphabets at any place);
 round values are keyed BLAKE2b. Where a format forbids some values, the network is walked until the
-value is allowed again, which keeps it a permutation of the allowed values.
+value is allowed again, which keeps it a permutation of the allowed values: different values never share
+a pseudonym. A permutation may leave a value where it is; among values of few digits that can happen.
 """
 
 from __future__ import annotations
@@ -34,7 +36,7 @@ HEX = "0123456789abcdef"
 
 #: Kinds of values and how they look; the groups "s" mark what is replaced.
 PATTERNS = (
-    ("email", r"(?P<email>[A-Za-z0-9][A-Za-z0-9._%+-]*@(?:[A-Za-z0-9-]+\.)+[A-Za-z]{2,})"),
+    ("email", r"(?<![A-Za-z0-9._%+-])[._%+-]*+(?P<email>[A-Za-z0-9][A-Za-z0-9._%+-]*+@(?:[A-Za-z0-9-]++\.)+[A-Za-z]{2,})"),
     ("secret", r"(?P<secret>(?i:\b(?:pass(?:word|wd)?|pwd|secret|token|api[_-]?key|access[_-]?key|auth)\b[\"']?\s*[=:]\s*[\"']?))(?P<secret_value>[A-Za-z0-9_+/.-]{6,}=*)"),
     ("token", r"(?P<token>\b(?:(?:AKIA|ASIA)[A-Z0-9]{16}|gh[pousr]_[A-Za-z0-9]{20,}|sk-[A-Za-z0-9_-]{20,}|xox[abprs]-[A-Za-z0-9-]{10,})\b)"),
     ("date", r"(?P<date>(?<![\d.])(?:\d{4}-\d{2}-\d{2}|\d{1,2}\.\d{1,2}\.\d{4}|\d{1,2}/\d{1,2}/\d{4})(?![\d]|\.\d))"),
@@ -96,8 +98,6 @@ def characters(text: str, key: bytes, tweak: str) -> str:
     form = tweak + "".join("x" if a is HEX else a[0] for a in alphabets)
     value, radix = [a.index(text[k]) for k, a in zip(places, alphabets, strict=True)], [len(a) for a in alphabets]
     new = permute(value, radix, key, form)
-    if new == value:  # a fixed point would leave the value readable; a second walk over the same form may move it
-        new = permute(value, radix, key, form + "+")
     out = list(text)
     for k, a, v in zip(places, alphabets, new, strict=True):
         out[k] = a[v]
@@ -165,14 +165,18 @@ def date(text: str, key: bytes) -> str | None:
         return None
     if not FIRST_DAY <= day <= LAST_DAY:
         return None
+    # a day or month in one digit keeps one; in two digits a zero may stand before
+    one = [len(parts[order[k]]) == 1 for k in (1, 2)]
+    fits = lambda d: all(value < 10 or not narrow for value, narrow in zip((d.month, d.day), one, strict=True))
     places = [int(c) for c in f"{day - FIRST_DAY:06d}"]
-    while True:  # 146,097 of a million values are days: seven steps on average
+    while True:  # 146,097 of a million values are days: seven steps on average, more for dates in fewer digits
         places = permute(places, [10] * 6, key, "date")
         n = int("".join(map(str, places)))
-        if FIRST_DAY + n <= LAST_DAY:
+        if FIRST_DAY + n <= LAST_DAY and fits(new := datetime.date.fromordinal(FIRST_DAY + n)):
             break
-    new = datetime.date.fromordinal(FIRST_DAY + n)
-    values = {order[0]: f"{new.year:04d}", order[1]: f"{new.month:02d}", order[2]: f"{new.day:02d}"}
+    values = {order[0]: f"{new.year:04d}"}
+    for k, value, narrow in ((1, new.month, one[0]), (2, new.day, one[1])):
+        values[order[k]] = str(value) if narrow else f"{value:02d}"
     mark = next(c for c in text if not c.isdigit())
     return mark.join(values[k] for k in range(3))
 
@@ -205,7 +209,8 @@ def phone(text: str, key: bytes) -> str | None:
 
 def email(text: str, key: bytes) -> str | None:
     name, _, domain = text.rpartition("@")
-    return characters(name, key, "email") + "@" + domain
+    host, _, last = domain.rpartition(".")
+    return characters(name, key, "email") + "@" + characters(host, key, "domain") + "." + last
 
 
 KINDS: dict[str, Callable[[str, bytes], str | None]] = {"email": email, "token": token, "date": date, "ip": ip, "iban": iban, "ssn": ssn, "phone": phone, "card": card}
@@ -222,15 +227,15 @@ def pseudonymise(text: str | None, key: bytes) -> tuple[str | None, list[tuple[i
             start, stop = m.span("secret_value")
             new = characters(m.group("secret_value"), key, "secret")
         else:
-            start, stop = m.span()
-            new = KINDS[kind](m.group(), key)
+            start, stop = m.span(kind)
+            new = KINDS[kind](m.group(kind), key)
             if new is None and kind in ("phone", "card"):  # a number that is no telephone's may still be a card's
                 wide = CARD.match(text, start)
                 if wide:
                     new, size = card_within(wide.group(), key)
                     stop, kind = start + size, "card"
         if new is None:
-            pos = m.start() + 1
+            pos = start + 1
             while pos < len(text) and text[pos].isalnum() and text[pos - 1].isalnum():
                 pos += 1
             continue
@@ -243,8 +248,11 @@ def pseudonymise(text: str | None, key: bytes) -> tuple[str | None, list[tuple[i
 def protect(docs: DataFrame, key: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, text, n_values, spans) of every row: one pass, no shuffle; the same key gives the same pseudonyms in every run and document.
 
-    Null texts stay null and empty texts empty. Numbers that only look like a kind (wrong check
-    digits, impossible dates or addresses) stay. Repeated rows stay repeated.
+    Null texts stay null and empty texts empty, both with no spans. Numbers that only look like a kind (wrong
+    check digits, impossible dates or addresses) stay. Repeated rows stay repeated, rows without an id are
+    served like others. Very long texts are scanned once, in time linear in their length. Where two kinds fit at
+    one place, the first in PATTERNS is taken. An empty table gives no rows. No other column is read or returned,
+    so names cannot clash.
     """
     import pyarrow as pa
 
