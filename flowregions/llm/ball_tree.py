@@ -8,6 +8,10 @@ shard; the kth score found there goes with it to all other shards, which mostly
 
 from __future__ import annotations
 
+import heapq
+import math
+from fractions import Fraction
+
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -85,16 +89,21 @@ def search(q_ids, q, floor, ids, x, k, leaf=LEAF):
     return row, found[row, col], scores[row, col]
 
 
-def large(q_ids, q, ids, x, k):
-    """As search, by Python's whole numbers, for vectors too large for doubles: all products, nothing pruned; scores past a long become the nearest long."""
-    wide = [[int(c) for c in v] for v in x]
+def whole(x: float, scale: float) -> int:
+    """floor(scale * x) as Python's whole number, also where the product is past the doubles."""
+    return math.floor(Fraction(scale) * Fraction(x)) if abs(x) > 2.0**900 else math.floor(scale * x)
+
+
+def large(q_ids, q, ids, x, k, scale=1.0):
+    """As search, by Python's whole numbers floor(scale * x), for vectors too large for doubles: all products, nothing pruned; scores past a long become the nearest long."""
+    wide = [[whole(c, scale) for c in v] for v in x]
     out: tuple[list, list, list] = ([], [], [])
     for j, (i, v) in enumerate(zip(q_ids, q, strict=True)):
-        v = [int(c) for c in v]
-        scored = sorted((-sum(a * b for a, b in zip(v, w, strict=True)), d) for d, w in zip(ids, wide, strict=True) if d != i)[:k]
+        v = [whole(c, scale) for c in v]
+        scored = heapq.nsmallest(k, ((-sum(a * b for a, b in zip(v, w, strict=True)), int(d)) for d, w in zip(ids, wide, strict=True) if d != i))
         for s, d in scored:
             out[0].append(j)
-            out[1].append(int(d))
+            out[1].append(d)
             out[2].append(max(-(2**63), min(2**63 - 1, -s)))
     return out
 
@@ -103,7 +112,8 @@ def top_products(vectors: DataFrame, every: int = 50, k: int = 5, id_col: str =
     """(query_id, rank, vec_id, score): for each row whose id is divisible by ``every`` the k highest inner products of vectors of whole numbers floor(scale * x), exactly.
 
     Vectors that are null or hold null or non-finite numbers take no part; repeated ids count once
-    (see shards); only vectors of one length are compared. An empty table gives no rows.
+    (see shards); only vectors of one length are compared; zero vectors score 0. Equal scores go to the
+    smaller id. An empty table gives no rows; other columns are not read.
     """
     import pyarrow as pa
 
@@ -111,19 +121,20 @@ def top_products(vectors: DataFrame, every: int = 50, k: int = 5, id_col: str =
     shards = S.count_shards(rows)
 
     def visit(asked: pa.Table, shard: pa.Table) -> pa.Table:
-        there = {x.shape[1]: (ids, np.floor(scale * x)) for _, ids, x in S.matrices(shard, "row", "w")} if shard.num_rows else {}
+        there = {x.shape[1]: (ids, x) for _, ids, x in S.matrices(shard, "row", "w")} if shard.num_rows else {}
         floor = asked.column("kth").to_numpy() if asked.num_rows else np.zeros(0)
         cols: tuple[list, list, list] = ([], [], [])
         for at, q_ids, q in S.matrices(asked) if asked.num_rows else ():
             if q.shape[1] not in there:
                 continue
             ids, x = there[q.shape[1]]
-            q = np.floor(scale * q)
-            if np.abs(q).max() * np.abs(x).max() * q.shape[1] < EXACT:
-                row, got, s = search(q_ids, q, floor[at], ids, x, k)
+            # sizes first: products past the doubles are never formed
+            most = (abs(scale) * float(np.abs(q).max()) + 1) * (abs(scale) * float(np.abs(x).max()) + 1)
+            if most * q.shape[1] < EXACT:
+                row, got, s = search(q_ids, np.floor(scale * q), floor[at], ids, np.floor(scale * x), k)
                 s = s.astype(np.int64)
             else:
-                row, got, s = large(q_ids, q, ids, x, k)
+                row, got, s = large(q_ids, q, ids, x, k, scale)
             for c, v in zip(cols, (q_ids[row], got, s), strict=True):
                 c.append(pa.array(v, pa.int64()))
         names = ("query_id", "vec_id", "score")
