@@ -1,11 +1,13 @@
 """Substring dedup by hashing lines, sentences and stretches of words.
 
-Units are a text's lines, inside long lines its sentences, and, so that passages set into the middle
-of a sentence are met too, stretches of words whose ends the words themselves decide: an end is a pair
-of words whose hash is the least within REACH pairs on either side, a unit reaches over two such
-stretches. Equal passages have equal ends, wherever they stand. A unit's digest is taken after
-normalising (lower case, blanks as one); of all units with one digest in the corpus the earliest
-(smallest id, then offset) stays and the rest goes, with its original offsets kept as spans.
+Units are a text's lines (a paragraph is a run of them), inside long lines its sentences, and, so that
+passages set into the middle of a sentence are met too, stretches of words whose ends the words
+themselves decide: an end is a pair of words whose hash is the least within REACH pairs on either side, a
+unit reaches over two such stretches. Equal passages have equal ends, wherever they stand. A unit's digest
+is taken after normalising (lower case, blanks as one); of all units with one digest in the corpus the
+earliest (smallest id, then offset) stays, the rest are repeats. Repeats that touch or overlap make one
+span; spans of LEAST_WORDS words or more go, with their original offsets kept. Shorter ones (a greeting,
+the name of a licence) stay: short lines recur without being copied.
 
 A task already drops what repeats among its own units, so a common unit reaches the shuffle once for
 each batch and not once for each occurrence.
@@ -26,6 +28,8 @@ from flowregions.llm.set_join import mix
 
 #: The shortest units that count, in words; a short one may repeat by chance.
 LINE_WORDS, SENTENCE_WORDS = 3, 8
+#: The shortest repeated span that is removed, in words.
+LEAST_WORDS = 20
 #: Pairs of words on either side that an end of a stretch is least among.
 REACH = 4
 #: Units of a batch, and words whose hashes a task keeps.
@@ -91,7 +95,7 @@ def _unit(body: str, start: int, words: list[str]) -> tuple[int, int, int]:
 
 
 def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", line_words: int = LINE_WORDS, sentence_words: int = SENTENCE_WORDS) -> DataFrame:
-    """(id, spans array<struct<start, end>>) of documents that lose units, spans merged and in order."""
+    """(id, spans array<struct<start, end>>) of documents with repeated units: the units' places, in order."""
     import pyarrow as pa
 
     text_batches(docs.sparkSession)
@@ -130,21 +134,27 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lin
     here = F.when(~F.col("known"), F.struct("id", "start"))
     ranked = found.withColumn("first", F.min(here).over(Window.partitionBy("digest")))
     lost = ranked.filter(F.col("known") | (F.struct("id", "start") != F.col("first"))).select("id", "start", "stop").distinct()
-    spans = lost.groupBy("id").agg(F.array_sort(F.collect_list(F.struct("start", F.col("stop").alias("end")))).alias("s"))
-    # overlapping spans (a sentence in a line that goes too) become one
-    empty = F.array().cast("array<struct<start:int,end:int>>")
-    last = lambda acc: F.element_at(acc, -1)
-    join = lambda acc, s: F.when((F.size(acc) > 0) & (s["start"] <= last(acc)["end"]), F.concat(F.slice(acc, 1, F.greatest(F.size(acc) - 1, F.lit(0))), F.array(F.struct(last(acc)["start"].alias("start"), F.greatest(last(acc)["end"], s["end"]).alias("end"))))).otherwise(F.concat(acc, F.array(s)))
-    # try_element_at keeps the empty case quiet
-    last = lambda acc: F.try_element_at(acc, F.lit(-1))
-    return spans.select("id", F.aggregate("s", empty, join).alias("spans"))
+    return lost.groupBy("id").agg(F.array_sort(F.collect_list(F.struct("start", F.col("stop").alias("end")))).alias("spans"))
 
 
-def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **how) -> DataFrame:
-    """(id, text, n_removed, spans) of every row: the text without its repeated units, and their spans in the original text.
+def merged(text: str, spans: list, least_words: int = LEAST_WORDS) -> list[tuple[int, int]]:
+    """Spans in order of their start, grown together over overlaps and blanks, without those of fewer words than ``least_words``."""
+    out: list[list[int]] = []
+    for s in spans:
+        if out and (s["start"] <= out[-1][1] or not text[out[-1][1] : s["start"]].strip()):
+            out[-1][1] = max(out[-1][1], s["end"])
+        else:
+            out.append([s["start"], s["end"]])
+    return [(a, b) for a, b in out if len(text[a:b].split()) >= least_words]
+
+
+def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", least_words: int = LEAST_WORDS, **how) -> DataFrame:
+    """(id, text, n_removed, spans) of every row: the text without its repeated spans, their number, and their offsets (characters) in the original text.
 
     Null texts stay null, empty texts empty, with no spans. Rows without an id pass unchanged; rows
-    with one id and one text count as one document. An empty table gives no rows.
+    with one id and one text count as one document, and of equal units within one text the first stays.
+    Very long texts are whole rows. An empty table gives no rows. No other column is read or returned, so
+    names cannot clash.
     """
     import pyarrow as pa
 
@@ -158,13 +168,14 @@ def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
             texts, n, kept = batch.column("text").to_pylist(), [], []
             spans = batch.column("spans").to_pylist()
             for k, (text, some) in enumerate(zip(texts, spans, strict=True)):
-                n.append(len(some or ()))
-                kept.append(some or [])
-                if some and text is not None:
-                    at, out = 0, []
-                    for s in some:
-                        out.append(text[at : s["start"]])
-                        at = s["end"]
+                some = merged(text, some, least_words) if some and text is not None else []
+                n.append(len(some))
+                kept.append([{"start": a, "end": b} for a, b in some])
+                at, out = 0, []
+                for a, b in some:
+                    out.append(text[at:a])
+                    at = b
+                if some:
                     texts[k] = "".join([*out, text[at:]])
             span = pa.list_(pa.struct([pa.field("start", pa.int32()), pa.field("end", pa.int32())]))
             yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(texts, pa.string()), pa.array(n, pa.int32()), pa.array(kept, span)], ["id", "text", "n_removed", "spans"])
