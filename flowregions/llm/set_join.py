@@ -18,8 +18,12 @@ its band is posted in the next band's segments too.
    their cluster, in blocks.
 5. Components of the links.
 
-Signatures that are frequent in a small sample bypass the buckets, so a bucket stays bounded; the
-sample steers work only, results do not depend on it. Hashes of shingles and digests have 64 bits.
+The number of buckets grows with the text. Signatures that are frequent in a small sample (in 1 % of it) bypass
+the buckets; the sample steers work only, results do not depend on it. A signature that is less frequent than that
+and yet in many documents makes its bucket larger by one entry for each task and class it is in. Allocation is by
+frequency: at the registered density every set has more segments than a partner can spoil, so allocations 0 and 1
+suffice, and the one-deletion neighbourhoods serve sets whose shingles fall into few segments only.
+Hashes of shingles and digests have 64 bits.
 """
 
 from __future__ import annotations
@@ -31,7 +35,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from flowregions.llm.common import cut, give_back, table, text_batches
+from flowregions.llm.common import cut, give_back, hot_join, table, text_batches
 
 WIDTH, NUMERATOR, DENOMINATOR = 5, 75, 100
 #: Segments for each shingle of the largest set of a band; bands below TOKENS have a segment for each shingle.
@@ -128,8 +132,8 @@ def bucket_of(codes: np.ndarray, buckets: int) -> np.ndarray:
 
 
 def name_of(codes: np.ndarray, bucket: np.ndarray | int) -> np.ndarray:
-    """Bucket and low 48 bits: what stays of a signature. Two signatures of one name only cost a comparison."""
-    return (codes & U(0xFFFFFFFFFFFF)) | (np.asarray(bucket).astype(U) << U(48))
+    """One number of the bucket and the low 48 bits, which is what stays of a signature. Two signatures of one name only cost a comparison."""
+    return (codes & U(0xFFFFFFFFFFFF)) ^ mix(np.atleast_1d(np.asarray(bucket)).astype(U) + U(1))
 
 
 def six(codes: np.ndarray) -> bytes:
@@ -211,7 +215,7 @@ class Packer:
                 codes, of = codes[~hot], of[~hot]
         if not len(codes):
             return
-        bucket = bucket_of(codes, self.buckets).astype(np.uint16)
+        bucket = bucket_of(codes, self.buckets)
         order = np.argsort(bucket, kind="stable")
         bucket, codes, of = bucket[order], codes[order], of[order]
         start, size = runs(bucket)
@@ -317,7 +321,7 @@ def candidates(texts: DataFrame, how: dict) -> DataFrame:
 
     text_batches(texts.sparkSession)
     letters = texts.agg(F.sum(F.length("text"))).first()[0] or 0
-    buckets = int(min(2**16 - 1, max(16, -(-letters // BUCKET_LETTERS))))
+    buckets = int(max(16, -(-letters // BUCKET_LETTERS)))
     often = texts.sparkSession.sparkContext.broadcast(_frequent(texts, how))
     width, rest = how["width"], {k: v for k, v in how.items() if k != "width"}
 
@@ -378,10 +382,11 @@ def compare(edges: DataFrame, sets: DataFrame, how: dict) -> DataFrame:
     import pyarrow as pa
 
     num, den = how["num"], how["den"]
-    degree = edges.groupBy("a").agg(F.count("*").alias("degree"))
-    groups = max(1, -(-edges.count() // COMPARED))
+    degree = edges.groupBy("a").agg(F.count("*").alias("many")).withColumn("degree", F.col("many"))
+    total = edges.count()
+    groups = max(1, -(-total // COMPARED))
     salt = F.pmod(F.xxhash64("b"), F.ceil(F.col("degree") / (COMPARED // 4)))
-    dealt = edges.join(degree, "a").withColumn("grp", F.pmod(F.xxhash64("a", salt), F.lit(groups))).select("a", "b", "grp")
+    dealt = hot_join(edges.select("a", "b"), degree, ["a"], total, ["b"]).withColumn("grp", F.pmod(F.xxhash64("a", salt), F.lit(groups))).select("a", "b", "grp")
     left = dealt.join(sets, F.col("b") == F.col("key")).select("grp", "a", "b", "hashes")
     right = dealt.select("grp", "a").distinct().join(sets, F.col("a") == F.col("key")).select(F.col("grp").alias("of"), F.col("a").alias("centre"), F.col("hashes").alias("whole"))
 
@@ -499,7 +504,8 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     Rows link when den * intersection >= num * union of their shingle sets; component_id is the
     smallest id reachable. Null and empty texts have no shingles and link with nothing; rows without
     an id link with nothing and get a null component; repeated rows are linked copies and stay
-    repeated. An empty table gives no rows.
+    repeated. Of very long texts all shingles count. No other column is read or returned, so names cannot
+    clash. An empty table gives no rows.
     """
     how = {"width": width, "num": num, "den": den, "density": density, "tokens": tokens}
     texts = docs.select(docs[id_col].cast("long").alias("id"), docs[text_col].alias("text"))
@@ -510,19 +516,19 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     posts = rows.filter(F.col("kind") == SHARED).select(F.col("a").alias("sig"), F.col("b").alias("key"), F.col("c").alias("n"), F.col("d").alias("weight"))
     fits = lambda n, m: den * F.least(n, m) >= num * F.greatest(n, m)
 
-    centre = posts.groupBy("sig").agg(F.max(F.struct("weight", "key", "n")).alias("centre"), F.count("*").alias("many")).filter("many > 1").select("sig", F.col("centre.key").alias("a"), F.col("centre.n").alias("an"))
-    star = cut(posts.join(centre, "sig").filter(F.col("key") != F.col("a")).select("a", "an", F.col("key").alias("b"), "n").distinct())
+    centre = posts.groupBy("sig").agg(F.max(F.struct("weight", "key", "n")).alias("centre"), F.count("*").alias("many")).filter("many > 1").select("sig", F.col("centre.key").alias("a"), F.col("centre.n").alias("an"), "many")
+    total = posts.count()
+    star = cut(hot_join(posts, centre, ["sig"], total, ["key"]).filter(F.col("key") != F.col("a")).select("a", "an", F.col("key").alias("b"), "n").distinct())
     ends = cut(star.select(F.col("a").alias("key")).union(star.select(F.col("b").alias("key"))).distinct().join(low, "key").select("key", F.col("id").alias("label")))
     sets = hashed_sets(ends.select("key"), low, texts, how)
     labels = components(compare(star.filter(fits(F.col("n"), F.col("an"))).select("a", "b"), sets, how), ends)
 
     # groups of one signature whose classes are not all connected by now: their clusters are compared in blocks
     told = posts.join(labels, "key")
-    open_ = told.groupBy("sig").agg(F.min("label").alias("least"), F.max("label").alias("most")).filter("least < most").select("sig")
-    around = cut(told.join(open_, "sig", "left_semi").select("sig", "key", "label"))
+    open_ = told.groupBy("sig").agg(F.min("label").alias("least"), F.max("label").alias("most"), F.min("key").alias("a"), F.count("*").alias("many")).filter("least < most").select("sig", "a", "many")
+    around = cut(hot_join(told.select("sig", "key", "label"), open_, ["sig"], total, ["key"]))
     if not around.isEmpty():
-        seed = around.groupBy("sig").agg(F.min("key").alias("a"))
-        near = cut(around.join(seed, "sig").filter(F.col("key") != F.col("a")).select("a", F.col("key").alias("b")).distinct())
+        near = cut(around.filter(F.col("key") != F.col("a")).select("a", F.col("key").alias("b")).distinct())
         nodes = cut(around.select("key", "label").distinct())
         clusters = components(near, nodes.join(low, "key").select("key", F.col("id").alias("label"))).withColumnRenamed("label", "cluster")
         links = compare_blocks(nodes.join(clusters, "key").select("cluster", "key", "label"), sets, how)
