@@ -44,7 +44,7 @@ PATTERNS = (
     ("iban", r"(?P<iban>\b[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?\b)"),
     ("ssn", r"(?P<ssn>(?<![\d-])\d{3}-\d{2}-\d{4}(?![\d-]))"),
     ("phone", r"(?P<phone>(?:\+\d{1,3}[ .-]?)?\(\d{2,4}\)[ .-]?\d{3,4}[ .-]?\d{3,4}(?!\d)|\+\d{1,3}(?:[ .-]?\d{2,4}){2,5}(?!\d)|(?<![\d.+-])\d{3}[ .-]\d{3,4}[ .-]\d{4}(?![\d-]))"),
-    ("card", r"(?P<card>(?<![\d-])\d(?:[ -]?\d){12,18}(?![\d-]|\.\d))"),
+    ("card", r"(?P<card>(?<![\d-])(?<!\d\.)\d(?:[ -]?\d){12,18}(?![\d-]|\.\d))"),
 )
 CARD = re.compile(PATTERNS[-1][1])
 FINDER = re.compile("|".join(p for _, p in PATTERNS))
