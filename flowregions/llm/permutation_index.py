@@ -2,7 +2,7 @@
 
 Pivots are a bounded sample of the vectors. Every vector is represented by its nearest pivots in
 order, and posted under each of them with the pivot's place (an inverted file per pivot). A query
-adds up, over the postings of its own nearest pivots, how much better each vector's places fit than a
+adds up, over the postings of its own few nearest pivots, how much better each vector's places fit than a
 missing pivot would: the footrule distance of the two orders. The closest part of the shard by that
 distance, ties at its edge included, is reranked by the exact inner product.
 
@@ -19,10 +19,10 @@ from pyspark.sql import functions as F
 from flowregions.llm import shards as S
 from flowregions.llm.common import cut
 
-#: Pivots, how many of them represent a vector, and the part of a shard that is reranked exactly. Near-uniform 64-d vectors are
-#: the hardest case for any index; the README has the recall measured on these and on clustered ones. The index takes all rows;
-#: only the pivots are a sample.
-PIVOTS, PLACES, PART = 1024, 256, 0.1
+#: Pivots, how many of them represent a vector and how many a query, and the part of a shard that is reranked exactly. A query's far
+#: pivots tell little, so it asks for its nearest only. Near-uniform 64-d vectors are the hardest case for any index; the README has
+#: the recall measured on these and on clustered ones. The index takes all rows; only the pivots are a sample.
+PIVOTS, PLACES, ASKED, PART = 1024, 256, 64, 0.08
 #: Candidates reranked for each neighbour wanted, at least: among fewer the order of pivots cannot be told from chance.
 LEAST = 5
 
@@ -37,19 +37,19 @@ def orders(x: np.ndarray, pivots: np.ndarray, places: int) -> np.ndarray:
     return out
 
 
-def search(q_ids: np.ndarray, q: np.ndarray, ids: np.ndarray, x: np.ndarray, pivots: np.ndarray, norm: float, k: int, places: int, part: float):
+def search(q_ids: np.ndarray, q: np.ndarray, ids: np.ndarray, x: np.ndarray, pivots: np.ndarray, norm: float, k: int, places: int, asked_places: int, part: float):
     """(query ids, vector ids, scores) of one shard."""
     lift = np.sqrt(np.maximum(norm**2 - np.einsum("ij,ij->i", x, x), 0.0))
     places = min(places, len(pivots))
     own = orders(np.hstack([x, lift[:, None]]), pivots, places)
-    asked = orders(np.hstack([q, np.zeros((len(q), 1))]), pivots, places)
+    asked = orders(np.hstack([q, np.zeros((len(q), 1))]), pivots, min(asked_places, places))
     order = np.argsort(own.ravel(), kind="stable")
     posted, place = (order // places).astype(np.int32), (order % places).astype(np.int16)
     begin = np.searchsorted(own.ravel()[order], np.arange(len(pivots) + 1))
     least = max(int(np.ceil(part * len(x))), LEAST * k)
     out: tuple[list, list, list] = ([], [], [])
     for j in range(len(q)):
-        gain = np.zeros(len(x), dtype=np.int16)
+        gain = np.zeros(len(x), dtype=np.int16 if places * asked.shape[1] < 2**15 else np.int32)
         for at, p in enumerate(asked[j]):
             a, b = begin[p], begin[p + 1]
             # a pivot missing from the vector's places counts as standing just behind the last one
@@ -79,7 +79,7 @@ def pivots_of(rows: DataFrame, pivots: int) -> np.ndarray | None:
     return np.array(list(distinct)[:pivots])
 
 
-def nearest(vectors: DataFrame, every: int = 20, k: int = 20, id_col: str = "vec_id", vector_col: str = "embedding", pivots: int = PIVOTS, places: int = PLACES, part: float = PART) -> DataFrame:
+def nearest(vectors: DataFrame, every: int = 20, k: int = 20, id_col: str = "vec_id", vector_col: str = "embedding", pivots: int = PIVOTS, places: int = PLACES, asked: int = ASKED, part: float = PART) -> DataFrame:
     """(query_id, rank, vec_id, score): the k vectors found with the largest inner product for each row whose id is divisible by ``every``.
 
     Vectors that are null, zero or hold null or non-finite numbers take no part; repeated ids count
@@ -97,14 +97,14 @@ def nearest(vectors: DataFrame, every: int = 20, k: int = 20, id_col: str = "vec
     lift = np.sqrt(np.maximum(norm**2 - np.einsum("ij,ij->i", chosen, chosen), 0.0))
     lifted = np.hstack([chosen, lift[:, None]])
 
-    def visit(asked: pa.Table, shard: pa.Table) -> pa.Table:
+    def visit(queries: pa.Table, shard: pa.Table) -> pa.Table:
         there = {x.shape[1]: (ids, x) for _, ids, x in S.matrices(shard, "row", "w")} if shard.num_rows else {}
         found = []
-        for _, q_ids, q in S.matrices(asked) if asked.num_rows else ():
+        for _, q_ids, q in S.matrices(queries) if queries.num_rows else ():
             if q.shape[1] in there:
                 ids, x = there[q.shape[1]]
                 fits = x.shape[1] == lifted.shape[1] - 1
-                found.append(search(q_ids, q, ids, x, lifted if fits else np.zeros((1, x.shape[1] + 1)), norm, k, places, part if fits else 1.0))
+                found.append(search(q_ids, q, ids, x, lifted if fits else np.zeros((1, x.shape[1] + 1)), norm, k, places, asked, part if fits else 1.0))
         cols = [np.concatenate([f[c] for f in found]) if found else [] for c in range(3)]
         return pa.table({"query_id": pa.array(cols[0], pa.int64()), "vec_id": pa.array(cols[1], pa.int64()), "score": pa.array(cols[2], pa.float64())})
 
