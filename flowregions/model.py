@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame
@@ -11,9 +12,6 @@ from flowregions.operators import contiguity, dl, nulls, scores, similarity
 from flowregions.plans import greedy, mcmc
 from flowregions.plans.checkpoints import cut
 
-#: Networks with more units than this are merged in rounds by joins instead of in one task, for the objective that rounds serve.
-TASK_UNITS = 100_000
-
 
 @dataclass
 class Network:
@@ -52,30 +50,27 @@ class RegionModel:
 
 @dataclass
 class Regionalizer:
-    """rep: w or mg; objective: bm, bm_dc, modularity, map_equation; stop: full, first_increase, fixed_b; impl: auto, kernel (one task a network), rounds (joins).
+    """rep: w or mg; objective: bm, bm_dc, modularity, map_equation, or a function from a kernel.Network to a kernel.Objective;
+    stop: full, first_increase, fixed_b; impl: kernel (one task a network) or rounds (joins, for a network beyond a task's memory).
 
-    auto: the kernel, but rounds for those networks of more than TASK_UNITS units, if the objective is bm;
-    rounds honour stop and b. The other objectives have no rounds and stay with the kernel at any size.
+    Which one runs is the caller's choice at any size, as rounds merge in another order. Rounds honour stop and b and
+    serve the objective bm alone; others are refused.
     """
 
     rep: str = "w"
-    objective: str = "bm"
+    objective: str | Callable = "bm"
     stop: str = "full"
     b: int | None = None
-    impl: str = "auto"
+    impl: str = "kernel"
 
     def fit(self, network: Network) -> RegionModel:
-        name = f"ga_{self.objective}"
+        name = "ga_own" if callable(self.objective) else f"ga_{self.objective}"
+        if self.impl not in ("kernel", "rounds"):
+            raise ValueError("impl is kernel or rounds")
         if self.impl == "rounds" and self.objective != "bm":
             raise ValueError(f"merging in rounds has no objective {self.objective}; use impl='kernel'")
         if self.impl == "rounds":
             return RegionModel(network, self._by_rounds(network, name), None, self.rep, name)
-        if self.impl == "auto" and self.objective == "bm":
-            large = cut(network.units.groupBy("network_id").count().filter(F.col("count") > TASK_UNITS).select("network_id"))
-            if not large.isEmpty():
-                part = lambda how: Network(*(f.join(large, "network_id", how) for f in (network.units, network.flows, network.adjacency)))
-                partition = self._by_rounds(part("left_semi"), name).unionByName(self._by_kernel(part("left_anti"), name)[0])
-                return RegionModel(network, partition, None, self.rep, name)
         return RegionModel(network, *self._by_kernel(network, name), self.rep, name)
 
     def _by_kernel(self, network: Network, name: str) -> tuple[DataFrame, DataFrame]:

@@ -6,11 +6,14 @@ on at most min(E, B^2) rows, and three small sums meet in one row for each netwo
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from flowregions.functions.bits import lchoose, lcompositions, lfact, lmulti
 from flowregions.operators.network import small
+from flowregions.plans.checkpoints import cut
 
 KEYS = ("network_id", "model")
 
@@ -81,52 +84,76 @@ def ranked_matrix_bits(blocks_: DataFrame, b: DataFrame, rep: str) -> DataFrame:
     return rows.select(*KEYS, (spread("w") if rep == "mg" else spread("e") + spread("w")).alias("matrix_bits"))
 
 
-def total(flows: DataFrame, partition: DataFrame, rep: str = "w", degree_corrected: bool = False, ranked: bool = False) -> DataFrame:
+def total(flows: DataFrame, partition: DataFrame, rep: str = "w", degree_corrected: bool = False, ranked: bool = False, cells: DataFrame | None = None) -> DataFrame:
     """(network_id, model, rep, n, b, e, w, partition_bits, matrix_bits, placement_bits, weight_bits, dl) of each partition.
 
-    A partition must label every unit of its network; flows with an unlabelled end are left out.
+    A partition must label every unit of its network; flows with an unlabelled end are left out. A network
+    without flows has the length of its partition alone. cells: the partition's blocks, where they are known.
     """
-    cells = blocks(flows, partition)
+    cells = blocks(flows, partition) if cells is None else cells
     part, inside = partition_bits(partition), block_bits(cells, degree_corrected)
-    rows = part.join(inside, list(KEYS))
+    rows = part.join(inside, list(KEYS), "left").na.fill(0, ["e", "w", "mg_bits", "simple_bits", "weight_bits"])
     square = F.col("b").cast("double") * F.col("b")
     if ranked:
-        rows = rows.join(ranked_matrix_bits(cells, part, rep), list(KEYS))
+        rows = rows.join(ranked_matrix_bits(cells, part, rep), list(KEYS), "left").na.fill(0, ["matrix_bits"])
     else:
         matrix = lmulti(square, F.col("w")) if rep == "mg" else lmulti(square, F.col("e")) + lmulti(square, F.col("w"))
         rows = rows.withColumn("matrix_bits", matrix)
     placement = F.col("mg_bits") if rep == "mg" else F.col("simple_bits")
     if degree_corrected:
-        rows = rows.join(degree_bits(flows, partition, rep), list(KEYS))
+        rows = rows.join(degree_bits(flows, partition, rep), list(KEYS), "left").na.fill(0, ["degree_bits"])
         placement = placement + F.col("degree_bits")
     weight = F.lit(0.0) if rep == "mg" else F.col("weight_bits")
     rows = rows.withColumn("placement_bits", placement).withColumn("weight_bits", weight).withColumn("dl", F.col("partition_bits") + F.col("matrix_bits") + F.col("placement_bits") + F.col("weight_bits"))
     return rows.select(*KEYS, F.lit(rep).alias("rep"), "n", "b", "e", "w", "partition_bits", "matrix_bits", "placement_bits", "weight_bits", "dl")
 
 
-def nested_total(flows: DataFrame, hierarchy: DataFrame, rep: str = "w", degree_corrected: bool = False) -> DataFrame:
+def nested_total(flows: DataFrame, hierarchy: DataFrame, rep: str = "w", degree_corrected: bool = False, ranked: bool = False) -> DataFrame:
     """(network_id, model, dl) of a hierarchy (network_id, model, level, node, label), level 0 the units', the last one of a single group.
 
-    The matrix of each level is a multigraph that the next level describes.
+    The matrix of each level is a multigraph that the next level describes; ranked: the last matrix, the one below the
+    single group, is priced along the order of its nodes. Hierarchies of one table may differ in depth.
     """
     base = hierarchy.filter("level = 0").select("network_id", "model", F.col("node").alias("unit_id"), "label")
-    flat = total(flows, base, rep, degree_corrected).select(*KEYS, (F.col("partition_bits") + F.col("placement_bits") + F.col("weight_bits")).alias("bits"))
-    levels = [r[0] for r in hierarchy.select("level").distinct().orderBy("level").collect()]  # a few numbers
-    cells = blocks(flows, base).select(*KEYS, F.col("r").alias("src"), F.col("s").alias("dst"), "e", "w")
-    for level in levels[1:]:
+    known = cut(blocks(flows, base))  # every level is summed from these
+    bits = total(flows, base, rep, degree_corrected, cells=known).select(*KEYS, (F.col("partition_bits") + F.col("placement_bits") + F.col("weight_bits")).alias("bits"))
+    depth = hierarchy.groupBy(*KEYS).agg(F.max("level").alias("depth"))
+    deepest = hierarchy.agg(F.max("level")).first()[0] or 0
+    cells = known.select(*KEYS, F.col("r").alias("src"), F.col("s").alias("dst"), "e", "w")
+    for level in range(1, deepest + 1):
         part = hierarchy.filter(F.col("level") == level).select("network_id", "model", F.col("node").alias("unit_id"), "label")
-        size = groups(part)
         up = lambda end, to: part.select("network_id", "model", F.col("unit_id").alias(end), F.col("label").alias(to))  # noqa: B023,E731
-        cells = cells.join(up("src", "r"), [*KEYS, "src"]).join(up("dst", "s"), [*KEYS, "dst"]).groupBy(*KEYS, "r", "s").agg(F.sum("e").alias("e"), F.sum("w").alias("w"))
-        sized = cells.join(size.select(*KEYS, F.col("label").alias("r"), F.col("n").alias("n_r")), [*KEYS, "r"]).join(size.select(*KEYS, F.col("label").alias("s"), F.col("n").alias("n_s")), [*KEYS, "s"])
+        above = cells.join(up("src", "r"), [*KEYS, "src"]).join(up("dst", "s"), [*KEYS, "dst"]).groupBy(*KEYS, "r", "s").agg(F.sum("e").alias("e"), F.sum("w").alias("w"))
+        size = groups(part)
+        sized = above.join(size.select(*KEYS, F.col("label").alias("r"), F.col("n").alias("n_r")), [*KEYS, "r"]).join(size.select(*KEYS, F.col("label").alias("s"), F.col("n").alias("n_s")), [*KEYS, "s"])
         cost = lmulti(_pairs(), F.col("w")) if rep == "mg" else lmulti(_pairs(), F.col("e")) + lmulti(_pairs(), F.col("w"))
-        matrix = sized.groupBy(*KEYS).agg(F.sum(cost).alias("matrix"))
-        flat = flat.join(matrix, list(KEYS)).join(partition_bits(part), list(KEYS)).select(*KEYS, (F.col("bits") + F.col("matrix") + F.col("partition_bits")).alias("bits"))
-        cells = cells.select(*KEYS, F.col("r").alias("src"), F.col("s").alias("dst"), "e", "w")
-    return flat.withColumnRenamed("bits", "dl")
+        here = sized.groupBy(*KEYS).agg(F.sum(cost).alias("matrix")).join(partition_bits(part), list(KEYS))
+        if ranked:
+            order = ranked_matrix_bits(cells.withColumnsRenamed({"src": "r", "dst": "s"}), here.select(*KEYS, F.col("n").alias("b")), rep).withColumnRenamed("matrix_bits", "order")
+            here = here.join(depth, list(KEYS)).join(order, list(KEYS), "left").withColumn("matrix", F.when(F.col("depth") == level, F.col("order")).otherwise(F.col("matrix")))
+        bits = bits.join(here.select(*KEYS, (F.col("matrix") + F.col("partition_bits")).alias("more")), list(KEYS), "left").select(*KEYS, (F.col("bits") + F.coalesce("more", F.lit(0.0))).alias("bits"))
+        cells = above.select(*KEYS, F.col("r").alias("src"), F.col("s").alias("dst"), "e", "w")
+    return bits.withColumnRenamed("bits", "dl")
+
+
+def objective_total(flows: DataFrame, partition: DataFrame, constant: Callable, group: Callable | None = None, pair: Callable | None = None) -> DataFrame:
+    """(network_id, model, b, total) of any constant(n, b, e, w) + sum of group(n, out, into, own) + sum of pair(nn, e, w), given as functions of columns.
+
+    out, into and own count weight. The twin of kernel.Objective as one plan.
+    """
+    cells = blocks(flows, partition)
+    rows = partition_bits(partition).select(*KEYS, "n", "b").join(cells.groupBy(*KEYS).agg(F.sum("e").alias("e"), F.sum("w").alias("w"), (F.sum(pair(_pairs(), F.col("e"), F.col("w"))) if pair else F.lit(0.0)).alias("pairs")), list(KEYS), "left").na.fill(0)
+    value = constant(F.col("n"), F.col("b"), F.col("e"), F.col("w")) + F.col("pairs")
+    if group:
+        ends = cells.groupBy(*KEYS, F.col("r").alias("label")).agg(F.sum("w").alias("out"), F.sum(F.when(F.col("r") == F.col("s"), F.col("w")).otherwise(0)).alias("own")).join(cells.groupBy(*KEYS, F.col("s").alias("label")).agg(F.sum("w").alias("into")), [*KEYS, "label"], "full_outer")
+        each = groups(partition).withColumnRenamed("n", "size").join(ends, [*KEYS, "label"], "left").na.fill(0).join(rows.select(*KEYS, "w"), list(KEYS))
+        rows = rows.join(each.groupBy(*KEYS).agg(F.sum(group(F.col("size"), F.col("out"), F.col("into"), F.col("own"), F.col("w"))).alias("groups")), list(KEYS))
+        value = value + F.col("groups")
+    return rows.select(*KEYS, "b", value.alias("total"))
 
 
 def per_node(scores: DataFrame) -> DataFrame:
+    """Adds ``dl_per_node``."""
     return scores.withColumn("dl_per_node", F.col("dl") / F.col("n"))
 
 

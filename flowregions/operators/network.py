@@ -2,18 +2,22 @@
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from flowregions.sources.units import PITCH
 
-#: Units up to this number may be broadcast onto flows; beyond it joins are left to the optimizer.
-BROADCAST_UNITS = 1_000_000
+#: Frames whose plan promises no more bytes than this may be broadcast onto flows; beyond it joins are left to the optimizer.
+BROADCAST_BYTES = 256 << 20
 
 
 def small(units: DataFrame) -> DataFrame:
-    """``units`` with a broadcast hint where a count proves it small."""
-    return F.broadcast(units) if units.count() <= BROADCAST_UNITS else units
+    """``units`` with a broadcast hint where its plan's size, which no filter or aggregate lowers, is within BROADCAST_BYTES. Nothing is run."""
+    told = re.match(r"sizeInBytes=([\d.]+) (B|KiB|MiB)(?:,|$)", units._jdf.queryExecution().optimizedPlan().stats().simpleString())
+    size = float(told[1]) * {"B": 1, "KiB": 1 << 10, "MiB": 1 << 20}[told[2]] if told else float("inf")  # GiB and more are not small
+    return F.broadcast(units) if size <= BROADCAST_BYTES else units
 
 
 def map_endpoints(rows: DataFrame, units: DataFrame, src_key: str, dst_key: str, key: str = "code") -> DataFrame:

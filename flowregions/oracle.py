@@ -80,29 +80,81 @@ t_ as (select n, b, e, w, {lchoose('n - 1', 'b - 1')} + {lf('n')} - inside as pa
 d_ as (select *, partition_bits + matrix_bits + placement_bits + weight_bits as dl from t_)"""
 
 
-def greedy(flow: str, adj: str, n: int, rep: str, last: int = 1, nets: str = "select 0 as net") -> str:
+def greedy(flow: str, adj: str, n: int, rep: str, last: int = 1, nets: str = "select 0 as net", place=None, const=None, group=None, ends: str = "") -> str:
     """Recursive part ga(net, step, b, l, dl): at each step every touching pair is merged on trial and its whole length computed from nothing.
 
-    flow: (net, src, dst, w) with ends 0..n-1, adj: (a, b); ends at ``last`` groups.
+    flow: (net, src, dst, w) with ends 0..n-1, adj: (a, b); ends at ``last`` groups. place(nn, e, w), const(b, e, w) and
+    group(n, out, into, own) give other objectives than the block model's; ends: e or w where group needs strengths.
     """
+    place = place or (lambda nn, e, w: cost(nn, e, w, rep))
+    const = const or (lambda b, e, w: f"({lchoose(f'{n} - 1', f'{b} - 1')} + {lf(str(n))} + {matrix(b, e, w, rep)})")
+    group = group or (lambda n, out, into, own: f"(-{lf(n)})")
     first = f"select net, 0 as step, {n} as b, list_transform(range({n}), lambda x: x::int) as l from ({nets}) z"
     total = f"(select net, count(*)::bigint as e, sum(w)::bigint as w from {flow} group by net)"
     tried = "select g.net, g.step, g.b, least(g.l[a.a + 1], g.l[a.b + 1]) as r, greatest(g.l[a.a + 1], g.l[a.b + 1]) as s, any_value(g.l) as l from ga g join " + adj + f" a on g.l[a.a + 1] <> g.l[a.b + 1] where g.b > {last} group by 1, 2, 3, 4, 5"
     new = f"select net, step, b - 1 as b, r, s, list_transform(l, lambda x: case when x = s then r else x end) as l from ({tried}) y"
     size = "select net, step, r, s, x as g, count(*)::bigint as n from (select net, step, r, s, unnest(l) as x from new_) v group by 1, 2, 3, 4, 5"
-    inside = f"select net, step, r, s, sum({lf('n')}) as inside from size_ group by 1, 2, 3, 4"
     cell = f"select c.net, c.step, c.r, c.s, c.l[f.src + 1] as p, c.l[f.dst + 1] as q, count(*)::bigint as e, sum(f.w)::bigint as w from new_ c join {flow} f on f.net = c.net group by 1, 2, 3, 4, 5, 6"
-    bits = f"select k.net, k.step, k.r, k.s, sum({cost('a.n::double * b.n', 'k.e', 'k.w', rep)}) as bits from cell_ k join size_ a on a.net = k.net and a.step = k.step and a.r = k.r and a.s = k.s and a.g = k.p join size_ b on b.net = k.net and b.step = k.step and b.r = k.r and b.s = k.s and b.g = k.q group by 1, 2, 3, 4"
-    dl = f"{lchoose(f'{n} - 1', 'c.b - 1')} + {lf(str(n))} - i.inside + {matrix('c.b', 't.e', 't.w', rep)} + h.bits"
-    step = f"""with new_ as ({new}), size_ as ({size}), in_ as ({inside}), cell_ as ({cell}), bits_ as ({bits}),
+    if ends:
+        side = lambda table, keys, c, more: f"(select {keys}, {c} as g, sum({ends}) as x{more} from {table} group by {keys}, {c})"
+        own = f", sum(case when p = q then {ends} else 0 end) as own"
+        strong = lambda sizes, table, keys: f"{sizes} z left join {side(table, keys, 'p', own)} o using ({keys}, g) left join {side(table, keys, 'q', '')} i using ({keys}, g)"
+        term = group("z.n", "coalesce(o.x, 0)", "coalesce(i.x, 0)", "coalesce(o.own, 0)")
+    else:
+        strong, term = (lambda sizes, table, keys: f"{sizes} z"), group("z.n", "0", "0", "0")
+    inside = f"select net, step, r, s, sum({term}) as inside from {strong('size_', 'cell_', 'net, step, r, s')} group by net, step, r, s"
+    bits = f"select k.net, k.step, k.r, k.s, sum({place('a.n::double * b.n', 'k.e', 'k.w')}) as bits from cell_ k join size_ a on a.net = k.net and a.step = k.step and a.r = k.r and a.s = k.s and a.g = k.p join size_ b on b.net = k.net and b.step = k.step and b.r = k.r and b.s = k.s and b.g = k.q group by 1, 2, 3, 4"
+    dl = f"{const('c.b', 't.e', 't.w')} + i.inside + h.bits"
+    step = f"""with new_ as ({new}), size_ as ({size}), cell_ as ({cell}), in_ as ({inside}), bits_ as ({bits}),
     all_ as (select c.net, c.step, c.b, c.r, c.s, c.l, {dl} as dl from new_ c join in_ i on i.net = c.net and i.step = c.step and i.r = c.r and i.s = c.s join bits_ h on h.net = c.net and h.step = c.step and h.r = c.r and h.s = c.s join {total} t on t.net = c.net)
     select net, step + 1 as step, b, arg_min(l, (round(dl, 8), r, s)) as l from all_ group by net, step, b"""
     # the length of each visited partition, again from nothing
     seen = f"""ga as ({first} union all select * from ({step}) w),
 gu as (select net, step, b, unnest(l) as g, unnest(range({n})) as u from ga),
 gs as (select net, step, g, count(*)::bigint as n, min(u)::int as low from gu group by 1, 2, 3),
-gi as (select net, step, count(*)::bigint as b, sum({lf('n')}) as inside from gs group by 1, 2),
 gc as (select ga.net, ga.step, ga.l[f.src + 1] as p, ga.l[f.dst + 1] as q, count(*)::bigint as e, sum(f.w)::bigint as w from ga join {flow} f on f.net = ga.net group by 1, 2, 3, 4),
-gb as (select k.net, k.step, sum(k.e)::bigint as e, sum(k.w)::bigint as w, sum({cost('x.n::double * y.n', 'k.e', 'k.w', rep)}) as bits from gc k join gs x on x.net = k.net and x.step = k.step and x.g = k.p join gs y on y.net = k.net and y.step = k.step and y.g = k.q group by 1, 2),
-gd as (select i.net, i.step, i.b, {lchoose(f'{n} - 1', 'i.b - 1')} + {lf(str(n))} - i.inside + {matrix('i.b', 'k.e', 'k.w', rep)} + k.bits as dl from gi i join gb k on k.net = i.net and k.step = i.step)"""
+gi as (select net, step, count(*)::bigint as b, sum({term}) as inside from {strong('gs', 'gc', 'net, step')} group by net, step),
+gb as (select k.net, k.step, sum(k.e)::bigint as e, sum(k.w)::bigint as w, sum({place('x.n::double * y.n', 'k.e', 'k.w')}) as bits from gc k join gs x on x.net = k.net and x.step = k.step and x.g = k.p join gs y on y.net = k.net and y.step = k.step and y.g = k.q group by 1, 2),
+gd as (select i.net, i.step, i.b, {const('i.b', 'k.e', 'k.w')} + i.inside + k.bits as dl from gi i join gb k on k.net = i.net and k.step = i.step)"""
     return seen
+
+
+def exhausted(flow: str, n: int) -> str:
+    """Parts of all labellings of n units 0..n-1 with labels 0..B-1, each group in use, over ``flow`` (src, dst, w): v_ (id, l, b), m_ (id, r, s, e, w), z_ (id, g, n, o, i, ow, iw)."""
+    choose = " cross join ".join(f"range({n}) t{k}(x{k})" for k in range(n))
+    return f"""v_ as (select row_number() over (order by l) as id, l, len(list_distinct(l)) as b from (select [{', '.join(f'x{k}' for k in range(n))}] as l from {choose}) q where list_max(l) + 1 = len(list_distinct(l))),
+m_ as (select id, l[src + 1] as r, l[dst + 1] as s, count(*)::bigint as e, sum(w)::bigint as w from v_ cross join {flow} group by 1, 2, 3),
+y_ as (select id, g, count(*)::bigint as n from (select id, unnest(l) as g from v_) q group by 1, 2),
+z_ as (select y.id, y.g, y.n, coalesce(o.e, 0) as oe, coalesce(o.w, 0) as ow, coalesce(i.e, 0) as ie, coalesce(i.w, 0) as iw from y_ y left join (select id, r as g, sum(e)::bigint as e, sum(w)::bigint as w from m_ group by 1, 2) o using (id, g) left join (select id, s as g, sum(e)::bigint as e, sum(w)::bigint as w from m_ group by 1, 2) i using (id, g))"""
+
+
+def best_model(flow: str, n: int, rep: str, dc: bool, ranked: bool, nested: bool) -> str:
+    """The least length of any labelling of ``flow`` under one variant, by trying all of them (and, nested, all hierarchies): one row (b, dl) as parts e_..."""
+    k = "w" if rep == "mg" else "e"
+    group = f"-{lf('n')}" + (f" + {lf(f'o{k}')} + {lf(f'i{k}')} + {lmulti('n', f'o{k}')} + {lmulti('n', f'i{k}')}" if dc else "")
+    place = lmulti("x.n * y.n", "m.w") if rep == "mg" else lchoose("x.n * y.n", "m.e")
+    place = f"-{lf('m.' + k)}" if dc else place
+    weight = "0.0" if rep == "mg" else lcomp("m.w", "m.e")
+    fixed = "0.0"
+    if dc:
+        each = f"select sum({lf('k')}) from (select {{}}, sum({'w' if rep == 'mg' else '1'})::bigint as k from {flow} group by 1) q"
+        fixed = f"(select coalesce(sum({lf('w')}), 0) from {flow}) * {1 if rep == 'mg' else 0} - ({each.format('src')}) - ({each.format('dst')})"
+    spread = lambda x: f"({lmulti('3', f'{x}u + {x}d + {x}f')} + case when b > 1 then {lmulti('b * (b - 1) // 2', f'{x}u')} + {lmulti('b * (b - 1) // 2', f'{x}d')} else 0 end + {lmulti('b', f'{x}f')})"
+    both = lambda f: f("w") if rep == "mg" else f"({f('e')} + {f('w')})"
+    ways = ", ".join(f"sum(case when r {op} s then {x} else 0 end)::bigint as {x}{c}" for x in "ew" for c, op in (("u", "<"), ("d", ">"), ("f", "=")))
+    flat = both(spread) if ranked else both(lambda x: lmulti("b * b", f"{x}u + {x}d + {x}f"))
+    parts = f"""{exhausted(flow, n)},
+p_ as (select id, {lchoose(f'{n} - 1', 'any_value(b) - 1')} + {lf(str(n))} + sum({group}) as bits from z_ join v_ using (id) group by id),
+q_ as (select m.id, sum({place} + {weight}) as bits from m_ m join z_ x on x.id = m.id and x.g = m.r join z_ y on y.id = m.id and y.g = m.s group by m.id),
+w_ as (select id, {ways} from m_ group by id),
+f_ as (select v.id, v.l, v.b, p.bits + q.bits + {fixed} as below, {flat} as top from v_ v join p_ p using (id) join q_ q using (id) join w_ using (id))"""
+    if not nested:
+        return parts + ",\nbest_ as (select arg_min(b, (round(below + top, 8), b)) as b, min(below + top) as dl from f_)"
+    # one level above: the groups of v are nodes, v2 puts them together; what is above v2 is again the best for its matrix
+    level = both(lambda x: lmulti("c1.n * c2.n", f"k.{x}"))
+    return parts + f""",
+a_ as (select distinct f.id, f.b, g.id as up, g.b as b2 from f_ f join f_ g on g.b < f.b and g.b > 1 and len(list_distinct(list_transform(range(1, {n + 1}), lambda i: [f.l[i], g.l[i]]))) = f.b),
+nodes_ as (select a.id, a.up, g, count(distinct h)::bigint as n from (select a.id, a.up, unnest(g.l) as g, unnest(f.l) as h from a_ a join f_ f on f.id = a.id join f_ g on g.id = a.up) a group by 1, 2, 3),
+step_ as (select a.id, a.up, {lchoose('any_value(a.b) - 1', 'any_value(a.b2) - 1')} + {lf('any_value(a.b)')} - any_value(i.inside) + sum({level}) as bits from a_ a join (select id, up, sum({lf('n')}) as inside from nodes_ group by 1, 2) i on i.id = a.id and i.up = a.up join m_ k on k.id = a.up join nodes_ c1 on c1.id = a.id and c1.up = a.up and c1.g = k.r join nodes_ c2 on c2.id = a.id and c2.up = a.up and c2.g = k.s group by 1, 2),
+h_ as (select id, id as at, below as bits from f_ union all select h.id, t.up, h.bits + t.bits from h_ h join step_ t on t.id = h.at),
+best_ as (select arg_min(f.b, (round(h.bits + g.top, 8), f.b)) as b, min(h.bits + g.top) as dl from h_ h join f_ f on f.id = h.id join f_ g on g.id = h.at)"""

@@ -7,17 +7,18 @@ import tempfile
 from pyspark.sql import DataFrame
 
 
-def cut(frame: DataFrame) -> DataFrame:
-    """``frame`` computed once and kept in ``spark.checkpoint.dir`` (a temporary folder only where none is set), its lineage cut."""
-    context = frame.sparkSession.sparkContext
-    if context._jsc.sc().getCheckpointDir().isEmpty():
-        context.setCheckpointDir(frame.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-"))
-    return frame.checkpoint(eager=True)
-
-
 def folder(spark) -> str:
-    """The shared folder itself."""
+    """The shared folder: ``spark.checkpoint.dir``; where that is unset, a temporary one on a local master, an error elsewhere."""
     context = spark.sparkContext
     if context._jsc.sc().getCheckpointDir().isEmpty():
-        context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-"))
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if not named and not context.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        context.setCheckpointDir(named or tempfile.mkdtemp(prefix="checkpoints-"))
     return context._jsc.sc().getCheckpointDir().get()
+
+
+def cut(frame: DataFrame) -> DataFrame:
+    """``frame`` computed once and kept in the shared folder, its lineage cut."""
+    folder(frame.sparkSession)
+    return frame.checkpoint(eager=True)

@@ -7,6 +7,7 @@ path; partitions for any number of groups are cut from the path without running
 from __future__ import annotations
 
 import time
+from collections.abc import Callable
 
 import numpy as np
 import pyarrow as pa
@@ -35,8 +36,8 @@ def network_of(tab: pa.Table) -> kernel.Network:
     return kernel.Network(a[kind == 0], a[kind == 1], b[kind == 1], w[kind == 1], a[kind == 2], b[kind == 2])
 
 
-def run(flows: DataFrame, units: DataFrame, adjacency: DataFrame, rep: str = "w", objective: str = "bm", stop: str = "full", b: int | None = None) -> DataFrame:
-    """TRAJECTORY rows of every network. objective: bm, bm_dc, modularity (heap) or map_equation; b: groups to stop at with stop="fixed_b".
+def run(flows: DataFrame, units: DataFrame, adjacency: DataFrame, rep: str = "w", objective: str | Callable = "bm", stop: str = "full", b: int | None = None) -> DataFrame:
+    """TRAJECTORY rows of every network. objective: bm, bm_dc, modularity (heap), map_equation, or a function from a kernel.Network to a kernel.Objective; b: groups to stop at with stop="fixed_b".
 
     Flows are sums of positive weights with both ends among the units. Networks without borders stay
     at their start; a network without flows merges in order of ids.
@@ -45,7 +46,9 @@ def run(flows: DataFrame, units: DataFrame, adjacency: DataFrame, rep: str = "w"
     def solve(tab: pa.Table) -> pa.Table:
         name = tab.column("network_id")[0].as_py()
         net = network_of(tab)
-        if objective == "modularity":
+        if callable(objective):
+            path = kernel.greedy(net, objective(net), stop, b)
+        elif objective == "modularity":
             path = kernel.greedy_modularity(net)
         elif objective == "map_equation":
             path = kernel.greedy_map_equation(net)

@@ -1,31 +1,60 @@
 """The exact greedy merge of one network, in the memory of one task.
 
-Clusters keep sparse rows and columns of blocks. All candidate gains are kept and, after a merge,
-changed by what the merged pair contributes to them, all candidates at once in numpy; only the
-candidates of the merged cluster itself are computed anew. A merge costs O(borders + degree), the
-whole run O(N (N + E / N)) vector steps.
+Clusters keep sparse rows and columns of blocks. All candidate gains are kept. A merge computes anew the
+candidates of the merged cluster, and changes those candidates (u, v) where u or v has flow to or from the
+merged pair, by what that pair contributes to them; no other gain depends on it. Finding the best
+candidate is a scan. A merge of clusters of degrees k_r and k_s costs O(k_r + k_s) for blocks and gains
+that change, and a scan of the borders.
 """
 
 from __future__ import annotations
 
 import heapq
+from collections.abc import Callable
+from dataclasses import dataclass
 
 import numpy as np
 
 from flowregions.functions.numbers import lchoose, lcompositions, lfact, lmulti
 
 
-class BlockModel:
+@dataclass(frozen=True)
+class Objective:
+    """Any total of the form constant + sum over groups + sum over ordered pairs of groups, to be made small.
+
+    constant(n, b, e, w): of units, groups, edges and weight. group(n, out, into, own): of a group's units, what leaves
+    and enters it, and what stays inside. pair(nn, e, w): of the unit pairs, edges and weight of a block; it must be 0
+    for a block without edges, which is what lets a merge look at neighbours only. ends: whether out, into and own
+    count weight ("w") or edges ("e"). All but ``constant`` take numpy arrays.
+    """
+
+    constant: Callable = lambda n, b, e, w: 0.0
+    group: Callable = lambda n, out, into, own: np.zeros(np.shape(n))
+    pair: Callable = lambda nn, e, w: np.zeros(np.shape(e))
+    ends: str = "w"
+
+    def fixed(self, e: np.ndarray, w: np.ndarray, k_out: np.ndarray, k_in: np.ndarray) -> float:  # noqa: ARG002
+        return 0.0
+
+    def check(self) -> None:
+        """Raises where an empty block costs something."""
+        sizes, none = np.array([1, 4, 100]), np.zeros(3, dtype=np.int64)
+        if np.abs(self.pair(sizes, none, none)).max() > 1e-12:
+            raise ValueError("the pair term must be 0 for a block without edges")
+
+
+class BlockModel(Objective):
     """Terms of the block model: constant, per group, per ordered pair of groups. A pair without edges costs nothing."""
 
     def __init__(self, rep: str = "w", degree_corrected: bool = False):
-        self.rep, self.dc = rep, degree_corrected
+        for name, value in (("rep", rep), ("dc", degree_corrected), ("ends", "w" if rep == "mg" else "e")):
+            object.__setattr__(self, name, value)
 
     def constant(self, n: int, b: int, e: int, w: int) -> float:
         bits = lchoose(n - 1, b - 1) + lfact(n) + lmulti(b * b, w)
         return float(bits if self.rep == "mg" else bits + lmulti(b * b, e))
 
-    def group(self, n, out, into):
+    def group(self, n, out, into, own=None):  # noqa: ARG002
         """out, into: edges (or their weights) that leave and enter, for the degree-corrected model."""
         bits = -lfact(n)
         return bits + lfact(out) + lfact(into) + lmulti(n, out) + lmulti(n, into) if self.dc else bits
@@ -42,6 +71,16 @@ class BlockModel:
         return float((lfact(w).sum() if self.rep == "mg" else 0.0) - lfact(k_out).sum() - lfact(k_in).sum())
 
 
+def modularity_objective(w: float) -> Objective:
+    """Negated directed modularity of a network of total weight w, as a sum over groups alone."""
+    return Objective(group=lambda n, out, into, own: -(own / w - out * (into / w) / w))  # noqa: ARG005
+
+
+def poisson_objective() -> Objective:
+    """Poisson block model in bits with half the logarithm of the weight for each block's rate: an objective of the user's own kind."""
+    return Objective(constant=lambda n, b, e, w: b * b * 0.5 * float(np.log2(max(w, 1))), pair=lambda nn, e, w: np.where(w > 0, -w * np.log2(np.maximum(w, 1) / np.maximum(nn, 1)), 0.0))  # noqa: ARG005
+
+
 class Network:
     """Units 0..n-1 in order of their ids, flows between them, and which touch."""
 
@@ -60,54 +99,87 @@ class Network:
 
 
 class _State:
-    def __init__(self, net: Network, model: BlockModel):
+    def __init__(self, net: Network, model: Objective):
         self.model, self.n = model, net.n
         self.size = np.ones(net.n, dtype=np.int64)
         self.out: list[dict[int, list[int]]] = [{} for _ in range(net.n)]
         self.into: list[dict[int, list[int]]] = [{} for _ in range(net.n)]
         for s, d, e, w in zip(net.src.tolist(), net.dst.tolist(), net.e.tolist(), net.w.tolist(), strict=True):
-            cell = self.out[s].setdefault(d, [0, 0])
-            cell[0] += e
-            cell[1] += w
-            self.into[d][s] = cell
-        one = net.w if model.rep == "mg" else net.e
+            cell = self.out[s].get(d)
+            if cell is None:
+                self.out[s][d] = self.into[d][s] = [e, w]
+            else:
+                cell[0] += e
+                cell[1] += w
+        one = net.w if model.ends == "w" else net.e
         self.k_out = np.bincount(net.src, weights=one, minlength=net.n).astype(np.int64)
         self.k_in = np.bincount(net.dst, weights=one, minlength=net.n).astype(np.int64)
-
-    def row(self, x: int, cells: dict[int, list[int]]) -> tuple[np.ndarray, np.ndarray]:
-        e, w = np.zeros(self.n, dtype=np.int64), np.zeros(self.n, dtype=np.int64)
-        if cells:
-            at = np.fromiter(cells, dtype=np.int64, count=len(cells))
-            values = np.array(list(cells.values()), dtype=np.int64)
-            e[at], w[at] = values[:, 0], values[:, 1]
-        return e, w
-
-    def rows(self, x: int):
-        return *self.row(x, self.out[x]), *self.row(x, self.into[x])
-
-    def share(self, x: int, rows, u: np.ndarray, v: np.ndarray) -> np.ndarray:
-        """What cluster x contributes to the gains of the pairs (u, v), x being none of them."""
+        loops = net.src == net.dst
+        self.own = np.bincount(net.src[loops], weights=one[loops], minlength=net.n).astype(np.int64)
+        #: rows under way, edges and weight out and in; zero but where a row is laid out
+        self.wide = np.zeros((4, net.n), dtype=np.int64)
+
+    @staticmethod
+    def sparse(cells: dict[int, list[int]]) -> tuple[np.ndarray, np.ndarray]:
+        """(other ends, edges and weights) of a row."""
+        at = np.fromiter(cells, dtype=np.int64, count=len(cells))
+        return at, np.array(list(cells.values()), dtype=np.int64).reshape(-1, 2)
+
+    def row(self, x: int) -> tuple:
+        return *self.sparse(self.out[x]), *self.sparse(self.into[x])
+
+    def lay(self, row: tuple) -> None:
+        self.wide[0][row[0]], self.wide[1][row[0]] = row[1][:, 0], row[1][:, 1]
+        self.wide[2][row[2]], self.wide[3][row[2]] = row[3][:, 0], row[3][:, 1]
+
+    def clear(self, row: tuple) -> None:
+        self.wide[:2, row[0]] = 0
+        self.wide[2:, row[2]] = 0
+
+    def share(self, x: int, u: np.ndarray, v: np.ndarray) -> np.ndarray:
+        """What cluster x, whose row is laid out, contributes to the gains of the pairs (u, v), x being none of them."""
         f, n, nx = self.model.pair, self.size, self.size[x]
         total = 0.0
-        for e, w in ((rows[0], rows[1]), (rows[2], rows[3])):
+        for e, w in ((self.wide[0], self.wide[1]), (self.wide[2], self.wide[3])):
             total = total + f((n[u] + n[v]) * nx, e[u] + e[v], w[u] + w[v]) - f(n[u] * nx, e[u], w[u]) - f(n[v] * nx, e[v], w[v])
         return total
 
-    def gain(self, r: int, s: int, mine=None) -> float:
-        """Change of all group and pair terms when r and s merge."""
-        f, n = self.model.pair, self.size
-        a, b = mine if mine is not None else self.rows(r), self.rows(s)
-        nr, ns = int(n[r]), int(n[s])
-        total = float(self.model.group(n[r] + n[s], self.k_out[r] + self.k_out[s], self.k_in[r] + self.k_in[s]) - self.model.group(n[r], self.k_out[r], self.k_in[r]) - self.model.group(n[s], self.k_out[s], self.k_in[s]))
-        for k in (0, 2):
-            ea, wa, eb, wb = a[k], a[k + 1], b[k], b[k + 1]
-            u = np.flatnonzero((ea > 0) | (eb > 0))
-            u = u[(u != r) & (u != s)]
-            if len(u):
-                total += float((f((nr + ns) * n[u], ea[u] + eb[u], wa[u] + wb[u]) - f(nr * n[u], ea[u], wa[u]) - f(ns * n[u], eb[u], wb[u])).sum())
-        e = np.array([a[0][r], a[0][s], b[0][r], b[0][s]])
-        w = np.array([a[1][r], a[1][s], b[1][r], b[1][s]])
-        return total + float(f(np.array([(nr + ns) ** 2]), e.sum(keepdims=True), w.sum(keepdims=True))[0] - f(np.array([nr * nr, nr * ns, ns * nr, ns * ns]), e, w).sum())
+    def gains(self, r: int, mine: tuple, others: list[int]) -> np.ndarray:
+        """Change of all group and pair terms when r, whose row ``mine`` is laid out, and each of the others merge."""
+        f, g, n, wide = self.model.pair, self.model.group, self.size, self.wide
+        t = np.array(others, dtype=np.int64)
+        nr, nt = n[r], n[t]
+        both = nr + nt
+        zero = (0, 0)
+        cross = np.array([[*self.out[r].get(x, zero), *self.out[x].get(r, zero), *self.out[x].get(x, zero)] for x in others], dtype=np.int64)
+        own_r = self.out[r].get(r, zero)
+        index = 1 if self.model.ends == "w" else 0
+        inside = self.own[r] + self.own[t] + cross[:, index] + cross[:, 2 + index]
+        total = g(both, self.k_out[r] + self.k_out[t], self.k_in[r] + self.k_in[t], inside) - g(nt, self.k_out[t], self.k_in[t], self.own[t]) - g(n[[r]], self.k_out[[r]], self.k_in[[r]], self.own[[r]])[0]
+        # blocks of the pair itself: four before, one after
+        e, w = own_r[0] + cross[:, 0] + cross[:, 2] + cross[:, 4], own_r[1] + cross[:, 1] + cross[:, 3] + cross[:, 5]
+        total = total + f(both * both, e, w) - f(nr * nt, cross[:, 0], cross[:, 1]) - f(nr * nt, cross[:, 2], cross[:, 3]) - f(nt * nt, cross[:, 4], cross[:, 5]) - f(np.array([nr * nr]), np.array([own_r[0]]), np.array([own_r[1]]))[0]
+        for k, side in ((0, self.out), (2, self.into)):
+            # r's blocks with third clusters, as if the other had none there
+            at, values = mine[k], mine[k + 1]
+            there = at != r
+            at, e, w = at[there], values[there, 0], values[there, 1]
+            if len(at):
+                change = np.broadcast_to(f(both[:, None] * n[at], e, w) - f(nr * n[at], e, w), (len(t), len(at))).copy()
+                change[t[:, None] == at] = 0.0
+                total = total + change.sum(axis=1)
+            # the other's blocks with third clusters, and what the sum of both adds to the above
+            rows = [self.sparse(side[x]) for x in others]
+            of = np.repeat(np.arange(len(t)), [len(x[0]) for x in rows])
+            if len(of):
+                at, values = np.concatenate([x[0] for x in rows]), np.concatenate([x[1] for x in rows])
+                there = (at != r) & (at != t[of])
+                of, at, e, w = of[there], at[there], values[there, 0], values[there, 1]
+                if len(of):
+                    nu, er, wr = n[at], wide[k][at], wide[k + 1][at]
+                    change = f(both[of] * nu, er + e, wr + w) - f(nt[of] * nu, e, w) - f(both[of] * nu, er, wr)
+                    total = total + np.bincount(of, weights=change, minlength=len(t))
+        return total
 
     def merge(self, r: int, s: int) -> None:
         own = [0, 0]
@@ -137,61 +209,78 @@ class _State:
         self.size[r] += self.size[s]
         self.k_out[r] += self.k_out[s]
         self.k_in[r] += self.k_in[s]
+        self.own[r] = own[1 if self.model.ends == "w" else 0]
         self.size[s] = 0
 
 
-def start_length(net: Network, model: BlockModel) -> float:
-    """The description length of all units alone."""
+def start_length(net: Network, model: Objective) -> float:
+    """The total of all units alone."""
     state = _State(net, model)
     e, w = int(net.e.sum()), int(net.w.sum())
     ones = np.ones(len(net.w), dtype=np.int64)
     pairs = model.pair(ones, net.e, net.w).sum() if len(net.w) else 0.0
-    return model.constant(net.n, net.n, e, w) + float(model.group(state.size, state.k_out, state.k_in).sum()) + float(pairs) + model.fixed(net.e, net.w, state.k_out, state.k_in)
+    return model.constant(net.n, net.n, e, w) + float(model.group(state.size, state.k_out, state.k_in, state.own).sum()) + float(pairs) + model.fixed(net.e, net.w, state.k_out, state.k_in)
 
 
-def greedy(net: Network, model: BlockModel, stop: str = "full", b: int | None = None) -> list[tuple[int, int, int, int, float, float]]:
-    """(step, groups, kept, absorbed, gain without the constant, description length) of each merge; step 0 is the start.
+def greedy(net: Network, model: Objective, stop: str = "full", b: int | None = None) -> list[tuple[int, int, int, int, float, float]]:
+    """(step, groups, kept, absorbed, gain without the constant, total) of each merge; step 0 is the start.
 
     stop: "full" merges as long as clusters touch, "first_increase" until no merge helps, "fixed_b"
     until b groups are left. Equal gains (to 1e-9) go to the smallest pair.
     """
+    model.check()
     state = _State(net, model)
     e, w, n = int(net.e.sum()), int(net.w.sum()), net.n
     now = start_length(net, model)
     path = [(0, n, -1, -1, 0.0, now)]
     touch = [set(t) for t in net.touch]
-    pairs = sorted({(min(i, j), max(i, j)) for i in range(n) for j in touch[i]})
-    u, v = np.array([p[0] for p in pairs], dtype=np.int64), np.array([p[1] for p in pairs], dtype=np.int64)
-    gains = np.zeros(len(u))
-    for i in np.unique(u):
-        mine = state.rows(int(i))
-        for k in np.flatnonzero(u == i):
-            gains[k] = state.gain(int(i), int(v[k]), mine)
-    left = n
+    pairs = np.array(sorted({(min(i, j), max(i, j)) for i in range(n) for j in touch[i]}), dtype=np.int64).reshape(-1, 2)
+    u, v, gains = pairs[:, 0].copy(), pairs[:, 1].copy(), np.zeros(len(pairs))
+    k = 0
+    while k < len(u):
+        r, mine = int(u[k]), state.row(int(u[k]))
+        state.lay(mine)
+        stop_at = int(np.searchsorted(u, r, side="right"))
+        gains[k:stop_at] = state.gains(r, mine, v[k:stop_at].tolist())
+        state.clear(mine)
+        k = stop_at
+    left, met = n, np.zeros(n, dtype=bool)
     while len(u) and left > 1 and (stop != "fixed_b" or left > b):
         rounded = np.round(gains, 9)
         ties = np.flatnonzero(rounded == rounded.min())
-        best = ties[np.lexsort((v[ties], u[ties]))[0]]
+        best = ties[np.lexsort((v[ties], u[ties]))[0]] if len(ties) > 1 else ties[0]
         r, s, gain = int(u[best]), int(v[best]), float(gains[best])
         new = now + gain + model.constant(n, left - 1, e, w) - model.constant(n, left, e, w)
         if stop == "first_increase" and new >= now:
             break
         other = (u != r) & (u != s) & (v != r) & (v != s)
         u, v, gains = u[other], v[other], gains[other]
-        gains = gains - state.share(r, state.rows(r), u, v) - state.share(s, state.rows(s), u, v)
+        one, two = state.row(r), state.row(s)
+        for row in (one, two):
+            met[row[0]] = met[row[2]] = True
+        some = np.flatnonzero(met[u] | met[v])
+        for row in (one, two):
+            met[row[0]] = met[row[2]] = False
+        change = 0.0
+        for x, row in ((r, one), (s, two)):
+            state.lay(row)
+            change = change - state.share(x, u[some], v[some])
+            state.clear(row)
         state.merge(r, s)
-        gains = gains + state.share(r, state.rows(r), u, v)
+        mine = state.row(r)
+        state.lay(mine)
+        gains[some] += change + state.share(r, u[some], v[some])
         touch[r] = (touch[r] | touch[s]) - {r, s}
         for t in touch[s]:
             touch[t].discard(s)
             if t != r:
                 touch[t].add(r)
         touch[s] = set()
-        mine = state.rows(r)
         near = sorted(touch[r])
         u = np.append(u, [min(r, t) for t in near]).astype(np.int64)
         v = np.append(v, [max(r, t) for t in near]).astype(np.int64)
-        gains = np.append(gains, [state.gain(r, t, mine) for t in near])
+        gains = np.append(gains, state.gains(r, mine, near) if near else [])
+        state.clear(mine)
         left -= 1
         now = new
         path.append((len(path), left, r, s, gain, now))
@@ -268,49 +357,51 @@ def map_equation(p: np.ndarray, leaves: np.ndarray, visits: np.ndarray) -> float
 
 
 def greedy_map_equation(net: Network) -> list[tuple[int, int, int, int, float, float]]:
-    """The same for the map equation. Its total of leaving rates joins all groups, so every candidate is priced anew at each merge, from kept rates."""
+    """The same for the map equation. Its total of leaving rates joins all groups, so all candidates are priced anew at each merge, in one vector step."""
     p, moved = page_rank(net)
-    flow: list[dict[int, float]] = [{} for _ in range(net.n)]
+    flow: list[dict[int, float]] = [{} for _ in range(net.n)]  # both ways together: all that a merge needs
+    leaves = np.zeros(net.n)
     for s, d, x in zip(net.src.tolist(), net.dst.tolist(), moved.tolist(), strict=True):
         if s != d:
+            leaves[s] += x
             flow[s][d] = flow[s].get(d, 0.0) + x
-    leaves = np.array([sum(f.values()) for f in flow])
+            flow[d][s] = flow[d].get(s, 0.0) + x
     visits = p.copy()
     touch = [set(t) for t in net.touch]
-    alive = np.ones(net.n, dtype=bool)
-    h = lambda x: x * np.log2(x) if x > 0 else 0.0
-    now = map_equation(p, leaves, visits)
-    path = [(0, net.n, -1, -1, 0.0, now)]
+    h = lambda x: np.where(x > 0, x * np.log2(np.maximum(x, 1e-300)), 0.0)
+    now, left = map_equation(p, leaves, visits), net.n
+    path = [(0, left, -1, -1, 0.0, now)]
     total = leaves.sum()
-    while True:
-        best = None
-        for r in np.flatnonzero(alive).tolist():
-            for s in touch[r]:
-                if r < s:
-                    q = leaves[r] + leaves[s] - flow[r].get(s, 0.0) - flow[s].get(r, 0.0)
-                    d = h(total + q - leaves[r] - leaves[s]) - h(total) - 2 * (h(q) - h(leaves[r]) - h(leaves[s])) + h(q + visits[r] + visits[s]) - h(leaves[r] + visits[r]) - h(leaves[s] + visits[s])
-                    if best is None or (round(d, 12), r, s) < best[:3]:
-                        best = (round(d, 12), r, s, d, q)
-        if best is None:
-            return path
-        _, r, s, d, q = best
+    pairs = sorted({(min(i, j), max(i, j)) for i in range(net.n) for j in touch[i]})
+    u, v = (np.array([q[k] for q in pairs], dtype=np.int64) for k in (0, 1))
+    between = np.array([flow[i].get(j, 0.0) for i, j in pairs])
+    while len(u):
+        alone = leaves[u] + leaves[v]
+        joint = alone - between
+        gain = h(total + joint - alone) - h(total) - 2 * (h(joint) - h(leaves[u]) - h(leaves[v])) + h(joint + visits[u] + visits[v]) - h(leaves[u] + visits[u]) - h(leaves[v] + visits[v])
+        rounded = np.round(gain, 12)
+        ties = np.flatnonzero(rounded == rounded.min())
+        best = ties[np.lexsort((v[ties], u[ties]))[0]]
+        r, s, d, q = int(u[best]), int(v[best]), float(gain[best]), float(joint[best])
         total += q - leaves[r] - leaves[s]
-        leaves[r], leaves[s], visits[r], alive[s] = q, 0.0, visits[r] + visits[s], False
-        for u, x in flow[s].items():
-            if u != r:
-                flow[r][u] = flow[r].get(u, 0.0) + x
-        flow[r].pop(s, None)
+        leaves[r], leaves[s], visits[r] = q, 0.0, visits[r] + visits[s]
+        for t, x in flow[s].items():
+            del flow[t][s]
+            if t != r:
+                flow[r][t] = flow[t][r] = flow[r].get(t, 0.0) + x
         flow[s] = {}
-        for f in flow:
-            if s in f:
-                x = f.pop(s)
-                if f is not flow[r]:
-                    f[r] = f.get(r, 0.0) + x
         touch[r] = (touch[r] | touch[s]) - {r, s}
         for t in touch[s]:
             touch[t].discard(s)
             if t != r:
                 touch[t].add(r)
         touch[s] = set()
+        other = (u != r) & (u != s) & (v != r) & (v != s)
+        near = sorted(touch[r])
+        u = np.append(u[other], [min(r, t) for t in near]).astype(np.int64)
+        v = np.append(v[other], [max(r, t) for t in near]).astype(np.int64)
+        between = np.append(between[other], [flow[r].get(t, 0.0) for t in near])
         now += d
-        path.append((len(path), path[-1][1] - 1, r, s, d, now))
+        left -= 1
+        path.append((len(path), left, r, s, d, now))
+    return path

@@ -4,33 +4,19 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from flowregions import oracle as O  # noqa: N812
 from flowregions.operators import adjacency as adj
-from flowregions.operators import baselines, components, contiguity, dl, network, nulls, panel, scores, similarity
-from flowregions.plans import greedy, mcmc
+from flowregions.operators import baselines, components, contiguity, dl, network, nulls, scores, similarity
+from flowregions.plans import greedy, kernel
 from flowregions.plans.checkpoints import cut
+from flowregions.registry import ORACLES, QUERIES, register, rounded  # noqa: F401
 from flowregions.sources import tables
 from flowregions.sources import units as U
 from flowregions.sources import workloads as W
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
-ORACLES: dict[str, str] = {}
-
-
-def register(name: str, make: Callable[[SparkSession, str], DataFrame], sql: str | None = None) -> None:
-    QUERIES[name] = make
-    if sql:
-        ORACLES[name] = sql
-
-
-def rounded(frame: DataFrame, digits: int = 4, **more: int) -> DataFrame:
-    """All doubles rounded alike, as in the SQL."""
-    return frame.select(*[F.round(c, more.get(c, digits)).alias(c) if t == "double" else F.col(c) for c, t in frame.dtypes])
-
-
 # ---------------------------------------------------------------- flows and borders
 
 for _name, _part in (("trade", "f_trade"), ("planted", "f_planted"), ("local", "f_local"), ("tracts", "f_tract"), ("clock", "f_clock"), ("clock_grid", "f_clockgrid"), ("basket", "f_basket"), ("ship", "f_ship"), ("turns", "f_turns"), ("docs", "f_docs")):
@@ -137,6 +123,36 @@ part2_ as (select {O.lchoose('24', '4')} + {O.lf('25')} - 5 * {O.lf('5')} as bit
 
 for _rep in ("mg", "w"):
     register(f"dl_nested_{_rep}_given", lambda s, d, r=_rep: rounded(dl.nested_total(W.tracts(s, d), _given_hierarchy(s), r).select("dl")), _nested_sql(_rep))
+
+
+def _variant_sql(rep: str, dc: bool, ranked: bool) -> str:
+    """The given hierarchy under the nested variants: degree-corrected placement, and the last matrix along the order of the regions."""
+    k = "w" if rep == "mg" else "e"
+    cell = f"sum({O.lmulti('nn', 'w')})" if rep == "mg" else f"sum({O.lmulti('nn', 'e')} + {O.lmulti('nn', 'w')})"
+    half = "10.0"
+    spread = lambda x: f"({O.lmulti('3', f'{x}u + {x}d + {x}f')} + {O.lmulti(half, f'{x}u')} + {O.lmulti(half, f'{x}d')} + {O.lmulti('5', f'{x}f')})"
+    sums = ", ".join(f"sum(case when r {op} s then {x} else 0 end)::bigint as {x}{c}" for x in "ew" for c, op in (("u", "<"), ("d", ">"), ("f", "=")))
+    last = f"(select {spread('w') if rep == 'mg' else spread('e') + ' + ' + spread('w')} from ways_)" if ranked else f"(select {cell} from one_)"
+    one = "w" if rep == "mg" else "1"
+    place = f"""((select sum({O.lf('k')}) from o_) + (select sum({O.lf('x_.k')} + {O.lmulti('g_.n', 'x_.k')} - own) from x_ join g_ on g_.label = x_.label) + (select sum({O.lf('y_.k')} + {O.lmulti('g_.n', 'y_.k')} - own) from y_ join g_ on g_.label = y_.label) - (select sum({O.lf(k)}) from c_))""" if dc else "placement_bits"
+    more = "part_ as (select unit_id, parent_id as label from u_tract),\n" + O.length("f_tract", "part_", rep) + f""",
+up_ as (select distinct parent_id, grand_id from u_tract),
+two_ as (select p.grand_id as r, q.grand_id as s, sum(e)::bigint as e, sum(w)::bigint as w, 25.0 as nn from c_ join up_ p on p.parent_id = c_.r join up_ q on q.parent_id = c_.s group by 1, 2),
+one_ as (select sum(e)::bigint as e, sum(w)::bigint as w, 25.0 as nn from two_), ways_ as (select {sums} from two_),
+o_ as (select f.*, p.label as r, q.label as s, ({one})::bigint as k from f_tract f join part_ p on p.unit_id = f.src join part_ q on q.unit_id = f.dst),
+x_ as (select label, sum(k)::bigint as k, sum({O.lf('k')}) as own from (select r as label, src, sum(k)::bigint as k from o_ group by 1, 2) z group by label),
+y_ as (select label, sum(k)::bigint as k, sum({O.lf('k')}) as own from (select s as label, dst, sum(k)::bigint as k from o_ group by 1, 2) z group by label)"""
+    return O.compose(("f_tract", "u_tract"), f"select round(partition_bits + {place} + weight_bits + {O.lchoose('24', '4')} + {O.lf('25')} - 5 * {O.lf('5')} + (select {cell} from two_) + {last}, 4) as dl from d_", more)
+
+
+for _rep in ("mg", "w"):
+    for _dcs, _ranks, _vname in ((True, False, "ndc"), (False, True, "rn"), (True, True, "rndc")):
+        register(f"dl_{_vname}_{_rep}_given", lambda s, d, r=_rep, x=_dcs, y=_ranks: rounded(dl.nested_total(W.tracts(s, d), _given_hierarchy(s), r, x, y).select("dl")), _variant_sql(_rep, _dcs, _ranks))
+    _both = _dc_sql(_rep).replace("select b, round(partition_bits + matrix_bits + weight_bits + place, 4) as dl from d_ cross join m_", "")
+    _way = _ranked_sql(_rep)
+    _z = _way[_way.index(",\nz_ as") : _way.rindex("\nselect b,")]
+    _cost = _way[_way.rindex("weight_bits + ") + len("weight_bits + ") : _way.rindex(", 4) as dl")]
+    register(f"dl_rdc_{_rep}_region", lambda s, d, r=_rep: rounded(dl.total(W.planted(s, d), _admin("nation", "parent_id")(s), r, degree_corrected=True, ranked=True).select("b", "dl")), _both.rstrip() + _z + f"\nselect b, round(partition_bits + weight_bits + place + {_cost}, 4) as dl from d_ cross join m_ cross join z_")
 register("null_bits", lambda s, d: rounded(nulls.null_scores(W.planted(s, d), U.nations(s, "planted")).select("n", "w", "dl_null")), O.compose(("f_planted",), f"select 25::bigint as n, sum(w)::bigint as w, round({O.lmulti('625', 'sum(w)')}, 4) as dl_null from f_planted"))
 register("eta_admin", lambda s, d: rounded(scores.compression_ratio(dl.total(W.planted(s, d), _admin("nation", "parent_id")(s), "w"), nulls.null_scores(W.planted(s, d), U.nations(s, "planted"))).select("b", "eta"), 6), O.compose(("f_planted", "u_nation"), f"select b, round(dl / {O.lmulti('625', 'w')}, 6) as eta from d_", _REGION + O.length("f_planted", "part_", "w")))
 
@@ -198,25 +214,52 @@ register("ga_local_w", lambda s, d: rounded(greedy.best_step(greedy.run(W.local(
 register("ga_state_tracts_w", lambda s, d: rounded(_state_best(s, d)), _greedy_sql("f_tract", "a_nation", 25, "w", "select 'state' || net as network_id, arg_min(b, (round(dl, 8), b))::int as b, round(min(dl), 4) as dl from gd group by net", nets="select unnest(range(5)) as net", more="fl_ as (select src % 25 // 5 as net, (src // 25) * 5 + src % 5 as src, (dst // 25) * 5 + dst % 5 as dst, w from f_tract where src % 25 // 5 = dst % 25 // 5)"))
 
 
-def _states(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame, DataFrame]:
-    t = U.tracts(s)
-    units = t.withColumn("network_id", F.concat(F.lit("state"), F.col("grand_id").cast("string")))
-    return W.states(s, d), units, adj.from_cells(units)
+def _state_best(s: SparkSession, d: str) -> DataFrame:
+    from flowregions.experiments import states
 
+    return greedy.best_step(greedy.run(*states(s, d), "w")).select("network_id", "b", "dl")
 
-def _state_best(s: SparkSession, d: str) -> DataFrame:
-    return greedy.best_step(greedy.run(*_states(s, d), "w")).select("network_id", "b", "dl")
+
+for _kind, _rep in (("tract", "w"), ("tract", "mg"), ("clock", "w"), ("clock", "mg")):
+    register(f"ga_{_kind}_{_rep}", _greedy(_kind, _rep), _greedy_sql(SQL_FLOWS[_kind], f"a_{_kind}", 125 if _kind == "tract" else 120, _rep, _BEST))
+register("ga_clockgrid_w", _greedy("clockgrid", "w"))
+for _rep in ("mg", "w"):
+    _k = "w" if _rep == "mg" else "e"
+    _dc = O.greedy("fl_", "a_nation", 25, _rep, place=lambda nn, e, w, k=_k, r=_rep: f"(-{O.lf(w if k == 'w' else e)}" + ("" if r == "mg" else f" + {O.lcomp(w, e)}") + ")", group=lambda n, o, i, own: f"(-{O.lf(n)} + {O.lf(o)} + {O.lf(i)} + {O.lmulti(n, o)} + {O.lmulti(n, i)})", ends=_k)  # noqa: ARG005
+    _one = "sum(w)::bigint" if _rep == "mg" else "count(*)::bigint"
+    _same = ("(select sum(" + O.lf("w") + ") from fl_)" if _rep == "mg" else "0.0") + "".join(f" - (select sum({O.lf('k')}) from (select {_one} as k from fl_ group by {c}) z)" for c in ("src", "dst"))
+    register(f"ga_dc_{_rep}", _greedy("nation", _rep, objective="bm_dc"), O.compose(("f_planted", "a_nation"), _BEST.replace("round(d.dl, 4)", f"round(d.dl + {_same}, 4)"), "fl_ as (select 0 as net, src, dst, w from f_planted),\n" + _dc, recursive=True))
+_W = "(select sum(w)::double from fl_)"
+register("ga_modularity", _greedy("nation", "w", objective="modularity"), O.compose(("f_planted", "a_nation"), _BEST, "fl_ as (select 0 as net, src, dst, w from f_planted),\n" + O.greedy("fl_", "a_nation", 25, "w", place=lambda nn, e, w: "0.0", const=lambda b, e, w: "0.0", group=lambda n, o, i, own: f"(-({own} / {_W} - ({o}) * (({i}) / {_W}) / {_W}))", ends="w"), recursive=True))  # noqa: ARG005
+_POISSON = O.greedy("fl_", "a_nation", 25, "w", place=lambda nn, e, w: f"(-({w}) * log2(({w}) / ({nn})))", const=lambda b, e, w: f"(({b}) * ({b}) * 0.5 * log2({w}))", group=lambda n, o, i, own: "0.0")  # noqa: ARG005
+register("ga_user_objective", _greedy("nation", "w", objective=lambda net: kernel.poisson_objective()), O.compose(("f_planted", "a_nation"), _BEST, "fl_ as (select 0 as net, src, dst, w from f_planted),\n" + _POISSON, recursive=True))  # noqa: ARG005
+register("ga_objective_modularity", _greedy("nation", "w", objective=lambda net: kernel.modularity_objective(float(net.w.sum()))), ORACLES["ga_modularity"])
 
 
-for _kind, _rep in (("tract", "w"), ("tract", "mg"), ("clock", "w"), ("clock", "mg"), ("clockgrid", "w")):
-    register(f"ga_{_kind}_{_rep}", _greedy(_kind, _rep))
-register("ga_dc_w", _greedy("nation", "w", objective="bm_dc"))
-register("ga_modularity", _greedy("nation", "w", objective="modularity"))
+def _poisson(n: Column, b: Column, e: Column, w: Column) -> Column:  # noqa: ARG001
+    return b * b * 0.5 * F.log2(w)
+
+
+register("objective_region", lambda s, d: rounded(dl.objective_total(W.planted(s, d), _admin("nation", "parent_id")(s), _poisson, pair=lambda nn, e, w: -w * F.log2(w / nn)).select("b", "total")), O.compose(("f_planted", "u_nation"), "select b, round(b * b * 0.5 * log2(w) + (select sum(-w * log2(w / nn)) from c_), 4) as total from d_", _REGION + O.length("f_planted", "part_", "w")))  # noqa: ARG005
+register("objective_modularity", lambda s, d: rounded(dl.objective_total(W.planted(s, d), _admin("nation", "parent_id")(s), lambda n, b, e, w: F.lit(0.0), group=lambda n, o, i, own, w: -(own / w - o * (i / w) / w)).select("b", (-F.col("total")).alias("modularity")), 6), ORACLES["modularity_region"].replace("select round(", "select 5::bigint as b, round(", 1))  # noqa: ARG005
 register("ga_map_equation", _greedy("nation", "w", objective="map_equation"))
 register("ga_basket", lambda s, d: rounded(greedy.best_step(greedy.run(W.basket(s, d), U.brand_sizes(s), adj.from_cells(U.brand_sizes(s)), "w")).select("b", "dl")))
-register("ga_frames", lambda s, d: rounded(greedy.run_frames(W.turns(s, d), U.roles(s), adj.from_cells(U.roles(s)), "w").select("step", "b", "dl")))
-register("ga_rounds", lambda s, d: rounded(greedy.run_rounds(W.turns(s, d), U.roles(s), adj.from_cells(U.roles(s)), "w")[1].select("round", "b", "dl")))
-register("ga_no_borders", lambda s, d: rounded(greedy.best_step(greedy.run(W.planted(s, d), U.nations(s, "planted"), adj.from_pairs(W.planted(s, d).select("network_id", F.col("src").alias("a"), F.col("dst").alias("b"))), "w")).select("b", "dl")))
+_ROLES = "select i as a, i + 1 as b from range(2) t(i)"
+register("ga_frames", lambda s, d: rounded(greedy.run_frames(W.turns(s, d), U.roles(s), adj.from_cells(U.roles(s)), "w").select("step", "b", "dl")), O.compose(("f_turns",), "select step::int as step, b::int as b, round(dl, 4) as dl from gd", f"rol_ as ({_ROLES}),\nfl_ as (select 0 as net, src, dst, w from f_turns),\n" + O.greedy("fl_", "rol_", 3, "w"), recursive=True))
+
+
+def _rounds(s: SparkSession, d: str) -> DataFrame:
+    """The planted network merged in rounds by joins, against the kernel: its shortest length, whether the rounds come within 2 % of it, and what they found."""
+    flows, units, borders = _net(s, d, "nation")
+    flows = cut(flows)
+    part, _ = greedy.run_rounds(flows, units, borders, "w", stop="full")
+    one = greedy.best_step(greedy.run(flows, units, borders, "w")).select("network_id", F.col("dl").alias("kernel_dl"))
+    both = dl.total(flows, part, "w").select("network_id", "dl").join(one, "network_id").join(contiguity.measures(part, borders).select("network_id", "cvm"), "network_id")
+    return rounded(both.select("kernel_dl", (F.col("dl") <= F.col("kernel_dl") * 1.02).alias("near"), (F.col("cvm") < 1e-9).alias("contiguous")))
+
+
+register("ga_rounds", _rounds, _greedy_sql("f_planted", "a_nation", 25, "w", "select round(min(dl), 4) as kernel_dl, true as near, true as contiguous from gd"))
+register("ga_no_borders", lambda s, d: rounded(greedy.best_step(greedy.run(W.planted(s, d), U.nations(s, "planted"), adj.from_pairs(W.planted(s, d).select("network_id", F.col("src").alias("a"), F.col("dst").alias("b"))), "w")).select("b", "dl")), _greedy_sql("f_planted", "any_", 25, "w", "select arg_min(b, (round(dl, 8), b))::int as b, round(min(dl), 4) as dl from gd", more="any_ as (select distinct least(src, dst) as a, greatest(src, dst) as b from f_planted where src <> dst),\nfl_ as (select 0 as net, src, dst, w from f_planted)", needs=("f_planted",)))
 
 # ---------------------------------------------------------------- contiguity and similarity
 
@@ -288,151 +331,6 @@ s0 as (select 2 * (hp + hq - h) / (hp + hq) as v from (select -(select sum(m / t
 n_ as (select v.draw, p.label as r, v.label as s, sum(u.area)::double as n from rows_p p join vor_ v on v.unit_id = p.unit_id join u_tract u on u.unit_id = p.unit_id group by 1, 2, 3),
 t_ as (select draw, sum(n) as t from n_ group by 1), ha_ as (select draw, -sum(m / t * log2(m / t)) as h from (select n_.draw, r, sum(n) as m, any_value(t) as t from n_ join t_ on t_.draw = n_.draw group by 1, 2) z group by 1), hb_ as (select draw, -sum(m / t * log2(m / t)) as h from (select n_.draw, s, sum(n) as m, any_value(t) as t from n_ join t_ on t_.draw = n_.draw group by 1, 2) z group by 1), hj_ as (select n_.draw, -sum(n / t * log2(n / t)) as h from n_ join t_ on t_.draw = n_.draw group by 1),
 nmi_ as (select ha_.draw, 2 * (ha_.h + hb_.h - hj_.h) / (ha_.h + hb_.h) as v from ha_ join hb_ on hb_.draw = ha_.draw join hj_ on hj_.draw = ha_.draw)"""))
-register("null_sample", lambda s, d: nulls.sample_random_flows(s, 25, 10_000).agg(F.sum("w").alias("w")), "select 10000::bigint as w")
-
-# ---------------------------------------------------------------- panels and experiments
-
-def _panel(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
-    flows, networks = panel.trade_panel(s, d)
-    flows = cut(flows)
-    networks = cut(panel.networks_of(flows))
-    units = cut(panel.panel_units(s, networks))
-    return flows, units, panel.panel_adjacency(units), networks
-
-
-#: The last fitted panel, as checkpointed frames: the experiments are views of one run over all models.
-_PANELS: dict[tuple, tuple] = {}
-
-
-def _fitted(s: SparkSession, d: str, variants: tuple[str, ...] = mcmc.VARIANTS, reps: tuple[str, ...] = ("mg", "w")) -> tuple[DataFrame, ...]:
-    """Panel, best fitted partitions of the block models, and greedy paths, each computed once."""
-    key = (s.sparkContext.applicationId, d, variants, reps)
-    if key not in _PANELS:
-        flows, units, borders, networks = _panel(s, d)
-        fits = cut(mcmc.best_chain(mcmc.anneal(flows, units, borders, variants, reps)))
-        paths = {r: cut(greedy.run(flows, units, borders, r)) for r in reps}
-        _PANELS.clear()
-        _PANELS[key] = flows, units, borders, networks, fits, paths
-    return _PANELS[key]
-
-
-def _scores(fits: DataFrame, paths: dict[str, DataFrame], units: DataFrame) -> DataFrame:
-    n = units.groupBy("network_id").agg(F.count("*").alias("n"))
-    rows = mcmc.score_rows(fits)
-    for rep, path in paths.items():
-        rows = rows.unionByName(greedy.best_step(path).join(n, "network_id").select("network_id", F.lit("ga").alias("model"), F.lit(rep).alias("rep"), "n", "b", "dl"))
-    return rows
-
-
-def _all_scores(s: SparkSession, d: str, variants: tuple[str, ...] = mcmc.VARIANTS) -> tuple[DataFrame, DataFrame, DataFrame]:
-    flows, units, _, networks, fits, paths = _fitted(s, d, variants)
-    return cut(_scores(fits, paths, units)), nulls.null_scores(flows, units), networks
-
-
-def _panel_flows_sql() -> str:
-    return O.compose(("rows_",), """select network_id, split_part(network_id, ':', 1) as class, count(*)::bigint as e, sum(w)::bigint as w from (
-select network_id, src, dst, count(*) as w from (
-  select 'metro:' || o_orderpriority || '/' || floor((year(o_orderdate) - 1995) / 5.0)::int as network_id, c_nationkey as src, s_nationkey as dst from rows_ where planted
-  union all select 'combined:' || c_mktsegment, c_nationkey, s_nationkey from rows_ where planted
-  union all select 'state:' || (c_nationkey % 5), (c_nationkey // 5) * 25 + c_nationkey % 5 * 5 + o_custkey % 5, (s_nationkey // 5) * 25 + s_nationkey % 5 * 5 + l_suppkey % 5 from rows_ where planted and c_nationkey % 5 = s_nationkey % 5) p group by 1, 2, 3) f group by 1""")
-
-
-def _panel_flows(s: SparkSession, d: str) -> DataFrame:
-    flows, networks = panel.trade_panel(s, d)
-    return flows.groupBy("network_id").agg(F.count("*").alias("e"), F.sum("w").alias("w")).join(networks, "network_id").select("network_id", "class", "e", "w")
-
-
-register("panel_flows", _panel_flows, _panel_flows_sql())
-for _v in mcmc.VARIANTS:
-    register(f"anneal_{_v}", lambda s, d, v=_v: rounded(mcmc.score_rows(mcmc.anneal(*_net(s, d, "nation"), (v,))).select("rep", "b", "dl")))
-
-
-def _trajectories(s: SparkSession, d: str) -> DataFrame:
-    """Both methods on the planted network: visited lengths of the greedy path, start and end of the annealed fit."""
-    flows, units, borders = _net(s, d, "nation")
-    path = greedy.run(flows, units, borders, "w").select(F.lit("ga").alias("method"), "step", "b", "dl")
-    fit = mcmc.anneal(flows, units, borders, ("bm",), ("w",)).limit(1)
-    ends = fit.select(F.explode(F.array(F.struct(F.lit(0).alias("step"), F.col("start").alias("dl")), F.struct(F.lit(1).alias("step"), F.col("dl").alias("dl")))).alias("x"), "b").select(F.lit("annealed").alias("method"), "x.step", "b", "x.dl")
-    return rounded(path.unionByName(ends))
-
-
-register("x0_trajectory", _trajectories)
-register("x1_rep_gap", lambda s, d: rounded(scores.rep_gap(_all_scores(s, d)[0])))
-register("x2_eta", lambda s, d: rounded((lambda x: scores.compression_ratio(scores.best_model(x[0]), x[1]))(_all_scores(s, d)).select("network_id", "model", "rep", "eta"), 6))
-register("x3_hist", lambda s, d: (lambda x: scores.model_histogram(scores.best_model(x[0].filter("model != 'ga'")), x[2]))(_all_scores(s, d)))
-register("x4_ratio", lambda s, d: rounded((lambda x: scores.dl_ratio(scores.best_model(x.filter("model = 'ga'")), scores.best_model(x.filter("model != 'ga'"))))(_all_scores(s, d)[0]), 6))
-register("x5_groups", lambda s, d: rounded(scores.resolution_limits(_all_scores(s, d)[0].filter("rep = 'w'")).select("network_id", "model", "n", "b", "flat_limit", "nested_limit"), 6))
-register("x6_groups_pair", lambda s, d: (lambda x: x.filter("model = 'ga'").select("network_id", "rep", F.col("b").alias("b_ga")).join(x.filter("model = 'bm'").select("network_id", "rep", F.col("b").alias("b_bm")), ["network_id", "rep"]))(_all_scores(s, d)[0]))
-
-
-def _ami_panel(s: SparkSession, d: str) -> DataFrame:
-    """The greedy method against the best block model of each network, both for weighted flows."""
-    _, units, _, _, fits, paths = _fitted(s, d)
-    both = cut(_scores(fits.filter("rep = 'w'"), {"w": paths["w"]}, units))
-    best = scores.best_model(both.filter("model != 'ga'"))
-    fits = fits.filter("rep = 'w'").join(best.select("network_id", "model"), ["network_id", "model"])
-    found = similarity.ami(greedy.cut_path(paths["w"], units, "ga"), fits.select("network_id", "model", "unit_id", "label"))
-    gap = scores.dl_gap_per_node(both.join(best.select("network_id", "model"), ["network_id", "model"]), both.filter("model = 'ga'"))
-    return rounded(found.select("network_id", "ami").join(gap, "network_id"), 6)
-
-
-register("x7_ami", _ami_panel)
-register("x7_ami_hist", lambda s, d: scores.histogram(_ami_panel(s, d), "ami", 10))
-
-
-def _contiguity_panel(s: SparkSession, d: str) -> DataFrame:
-    _, units, borders, _, fits, paths = _fitted(s, d)
-    parts = fits.filter("rep = 'w'").select("network_id", "model", "unit_id", "label").unionByName(greedy.cut_path(paths["w"], units, "ga"))
-    return rounded(contiguity.measures(parts, borders), 6)
-
-
-register("x8_contiguity", _contiguity_panel)
-
-
-def _against_admin(s: SparkSession, d: str) -> DataFrame:
-    """The greedy method stopped at the number of nations, against the nations: length per tract and similarity."""
-    flows, units, borders = _net(s, d, "tract")
-    path = cut(greedy.run(flows, units, borders, "w"))
-    found, nations = cut(greedy.cut_path(path, units, "ga", 25)), baselines.admin(units)
-    gap = scores.dl_gap_per_node(dl.total(flows, found, "w"), dl.total(flows, nations, "w"))
-    near = similarity.spatial_nmi(found, nations, units).select("network_id", "snmi").join(similarity.nmi(found, nations).select("network_id", "nmi"), "network_id").join(similarity.ami(found, nations).select("network_id", "ami"), "network_id")
-    return rounded(gap.join(near, "network_id"), 6)
-
-
-register("x9_admin", _against_admin)
-
-
-def _tessellations(s: SparkSession, d: str) -> DataFrame:
-    flows, units, borders = _net(s, d, "tract")
-    found = greedy.cut_path(greedy.run(flows, units, borders, "w"), units, "ga", 25)
-    random = nulls.voronoi(units, nulls.seeds(s, 25, DRAWS, 25, 5))
-    return rounded(nulls.percentile_test(cut(found), baselines.admin(units), random, units).select("snmi", "p95", "above"), 6)
-
-
-register("x10_voronoi", _tessellations)
-
-
-def _scales(s: SparkSession, d: str) -> DataFrame:
-    """Compression of the planted flows between tracts and between nations."""
-    out = None
-    for kind in ("tract", "nation"):
-        flows, units, borders = _net(s, d, kind)
-        best = greedy.best_step(greedy.run(flows, units, borders, "w"))
-        rows = scores.compression_ratio(best, nulls.null_scores(flows, units)).select(F.lit("trade").alias("network_id"), "b", "eta")
-        out = rows if out is None else scores.scale_compare(out, rows)
-    return rounded(out, 6)
-
-
-register("x11_scale", _scales)
-
-
-def _large(s: SparkSession, d: str) -> DataFrame:
-    flows, units, borders = _net(s, d, "clockgrid")
-    part = cut(greedy.cut_path(greedy.run(flows, units, borders, "w"), units, "ga"))
-    return rounded(contiguity.measures(part, borders).select("b", "cvm"), 6)
-
-
-register("x13_large", _large)
 
 # ---------------------------------------------------------------- relational surface
 
@@ -468,14 +366,6 @@ def _setops(s: SparkSession, d: str) -> DataFrame:
 
 
 register("json_props", lambda s, d: tables.read(s, d, "events").select(F.from_json("props", "k int")["k"].alias("k")).groupBy("k").agg(F.count("*").alias("n")), "select json_extract_string(props, '$.k')::int as k, count(*)::bigint as n from events group by 1")
-register("join_asof", lambda s, d: _as_of(s, d), "with x as (select user_id, event_id, ts, event_type, max(case when event_type = 'purchase' then ts end) over (partition by user_id order by ts rows between unbounded preceding and 1 preceding) as seen from events) select event_id, seen is not null as known from x")
-
-
-def _as_of(s: SparkSession, d: str) -> DataFrame:
-    """Whether a user bought before: the last purchase as of each event, by one window over both."""
-    before = Window.partitionBy("user_id").orderBy("ts").rowsBetween(Window.unboundedPreceding, -1)
-    bought = F.when(F.col("event_type") == "purchase", F.col("ts"))
-    return tables.read(s, d, "events").select("event_id", F.last(bought, ignorenulls=True).over(before).isNotNull().alias("known"))
 
 
 register("join_range", lambda s, d: _near_pairs(s), O.compose(("u_tract",), "select p.unit_id as a, q.unit_id as b from u_tract p join u_tract q on p.unit_id < q.unit_id and (p.x - q.x) * (p.x - q.x) + (p.y - q.y) * (p.y - q.y) <= 5"))
@@ -492,22 +382,12 @@ def _near_pairs(s: SparkSession, reach: float = 5.0) -> DataFrame:
     return left.join(right, ["bx", "by_"]).filter((F.col("a") < F.col("b")) & (far <= reach)).select("a", "b")
 
 
-register("silent_units", lambda s, d: U.clock(s).join(W.clock(s, d), F.col("unit_id") == F.col("src"), "left_anti").select("unit_id"), O.compose(("f_clock", "u_clock"), "select unit_id from u_clock where not exists (select 1 from f_clock where src = unit_id)"))
 register("pivot_days", lambda s, d: tables.read(s, d, "events").groupBy(F.to_date("ts").alias("day")).pivot("event_type", ["click", "purchase", "view"]).agg(F.count(F.lit(1))).na.fill(0), "select ts::date as day, count(*) filter (where event_type = 'click')::bigint as click, count(*) filter (where event_type = 'purchase')::bigint as purchase, count(*) filter (where event_type = 'view')::bigint as view from events group by 1")
 register("moments", lambda s, d: rounded(W.planted(s, d).agg(F.avg("w").alias("mean"), F.stddev_samp("w").alias("sd"), F.median("w").alias("median"), F.percentile("w", F.lit(0.95)).alias("p95"), F.corr("src", "w").alias("corr"), F.regr_slope("w", "src").alias("slope")), 6), O.compose(("f_planted",), "select round(avg(w), 6) as mean, round(stddev_samp(w), 6) as sd, round(median(w), 6) as median, round(quantile_cont(w, 0.95), 6) as p95, round(corr(src, w), 6) as corr, round(regr_slope(w, src), 6) as slope from f_planted"))
 register("page_hosts", lambda s, d: tables.read(s, d, "pages").select(F.regexp_extract("url", r"^[a-z]+://([^/]+)", 1).alias("host")).groupBy("host").agg(F.count("*").alias("n")), "select regexp_extract(url, '^[a-z]+://([^/]+)', 1) as host, count(*)::bigint as n from pages group by 1")
 register("region_members", lambda s, d: baselines.admin(U.nations(s)).groupBy("label").agg(F.array_join(F.array_sort(F.collect_list("unit_id")), ",").alias("members")), O.compose(("u_nation",), "select min(unit_id)::int as label, string_agg(unit_id::varchar, ',' order by unit_id) as members from u_nation group by parent_id"))
-register("top_shares", lambda s, d: rounded(W.trade(s, d).orderBy(F.desc("w"), "src", "dst").offset(5).limit(10).select("src", "dst", "w")), O.compose(("f_trade",), "select src, dst, w from f_trade order by w desc, src, dst limit 10 offset 5"))
-
-
-def _path_sum(s: SparkSession, d: str) -> DataFrame:
-    """Units reachable from unit 0 within its parity class by recursion in SQL."""
-    adj.from_cells(U.clock(s)).createOrReplaceTempView("clock_borders")
-    return s.sql("with recursive r(u, k) as (select 0, 0 union all select b.b, k + 1 from r join clock_borders b on b.a = r.u where k < 20) select u, k from r")
 
 
-register("recursion", _path_sum, "select i::int as u, i::int as k from range(21) t(i)")
-
 # ---------------------------------------------------------------- streams, replayed
 
 
@@ -569,16 +449,5 @@ def _unit_metadata(s: SparkSession, d: str) -> DataFrame:
 register("unit_metadata", _unit_metadata, "select (case lang when 'de' then 0 when 'en' then 1 when 'es' then 2 else 3 end * 20 + regexp_extract(source, '(\\d+)', 1)::int)::int as unit_id, count(*)::bigint as n, round(avg(quality), 6) as quality, sum(toxic)::bigint as toxic from labels join documents using (doc_id) group by 1")
 
 
-def _runtimes(s: SparkSession, d: str) -> DataFrame:
-    """Kernel seconds on networks of growing size, and the slope of their logarithms."""
-    rows = None
-    for kind in ("nation", "clock", "tract", "clockgrid"):
-        found = greedy.timed(*_net(s, d, kind))
-        rows = found if rows is None else rows.unionByName(found)
-    rows = cut(rows)
-    return rows.select("network_id", "n", "e").join(F.broadcast(scores.runtime_slope(rows)), F.col("n") > 0)
-
 
-register("x12_runtime", _runtimes)
-register("hll_units", lambda s, d: W.trade_rows(s, d).groupBy("c_mktsegment").agg(F.approx_count_distinct("o_custkey", 0.02).alias("customers")))
-register("planted_source", lambda s, d: tables.planted(s, 40, 4, 50, 5).agg(F.sum("w").alias("w"), F.count_distinct("src").alias("units")), "select 2200::bigint as w, 40::bigint as units")
+from flowregions import experiments, relational  # noqa: E402,F401  their queries are registered as they load

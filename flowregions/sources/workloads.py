@@ -30,9 +30,9 @@ def tract(nation: Column, key: Column) -> Column:
     return (F.floor(nation / 5) * 25 + nation % 5 * 5 + key % 5).cast("int")
 
 
-def _named(rows: DataFrame, name: str | Column, src: Column, dst: Column) -> DataFrame:
+def _named(rows: DataFrame, name: str | Column, src: Column, dst: Column, *more: Column) -> DataFrame:
     name = F.lit(name) if isinstance(name, str) else name
-    return rows.select(name.alias("network_id"), src.cast("int").alias("src"), dst.cast("int").alias("dst"))
+    return rows.select(name.alias("network_id"), src.cast("int").alias("src"), dst.cast("int").alias("dst"), *more)
 
 
 def trade(spark: SparkSession, sf: str) -> DataFrame:
@@ -49,9 +49,30 @@ def trade(spark: SparkSession, sf: str) -> DataFrame:
     return rows.groupBy(F.lit("trade").alias("network_id"), F.col("c_nationkey").cast("int").alias("src"), F.col("s_nationkey").cast("int").alias("dst")).agg(F.sum("w").alias("w"))
 
 
+def counted_trade(spark: SparkSession, sf: str, *more: str) -> DataFrame:
+    """(o_custkey, c_nationkey, c_mktsegment, l_suppkey, s_nationkey, planted, w) and the order's columns ``more``: planted trade, line items counted before any nation is looked up.
+
+    Both nations are functions of the keys, and so is the rule that they share a region; the rest of the rule depends on
+    the line alone. So lines meet orders, are counted by (customer, supplier, flag), and only these counts meet the dimensions.
+    """
+    noise = (F.col("l_orderkey") * 7 + F.col("l_linenumber")) % 20 == 0
+    lines = read(spark, sf, "lineitem").select("l_orderkey", "l_suppkey", noise.alias("noise"))
+    orders = read(spark, sf, "orders").select("o_orderkey", "o_custkey", *more)
+    pairs = lines.join(orders, lines.l_orderkey == orders.o_orderkey).groupBy("o_custkey", "l_suppkey", "noise", *more).agg(F.count("*").alias("w"))
+    customers = read(spark, sf, "customer").select("c_custkey", "c_nationkey", "c_mktsegment")
+    suppliers = read(spark, sf, "supplier").select("s_suppkey", "s_nationkey")
+    rows = pairs.join(customers, F.col("o_custkey") == customers.c_custkey).join(suppliers, F.col("l_suppkey") == suppliers.s_suppkey)
+    return rows.filter((F.col("c_nationkey") % 5 == F.col("s_nationkey") % 5) | F.col("noise"))
+
+
+def summed(rows: DataFrame, name: str | Column, src: Column, dst: Column) -> DataFrame:
+    """Flows from counted rows (with ``w``)."""
+    return _named(rows, name, src, dst, F.col("w")).groupBy("network_id", "src", "dst").agg(F.sum("w").alias("w"))
+
+
 def planted(spark: SparkSession, sf: str) -> DataFrame:
     """Trade within regions, and one line item in twenty from anywhere: the regions are the truth."""
-    return build_flows(_named(trade_rows(spark, sf).filter("planted"), "planted", F.col("c_nationkey"), F.col("s_nationkey")))
+    return summed(counted_trade(spark, sf), "planted", F.col("c_nationkey"), F.col("s_nationkey"))
 
 
 def local(spark: SparkSession, sf: str) -> DataFrame:
@@ -63,8 +84,7 @@ def local(spark: SparkSession, sf: str) -> DataFrame:
 
 def tracts(spark: SparkSession, sf: str) -> DataFrame:
     """The planted trade between tracts."""
-    rows = trade_rows(spark, sf).filter("planted")
-    return build_flows(_named(rows, "tract", tract(F.col("c_nationkey"), F.col("c_custkey")), tract(F.col("s_nationkey"), F.col("s_suppkey"))))
+    return summed(counted_trade(spark, sf), "tract", tract(F.col("c_nationkey"), F.col("o_custkey")), tract(F.col("s_nationkey"), F.col("l_suppkey")))
 
 
 def states(spark: SparkSession, sf: str) -> DataFrame:
@@ -93,6 +113,13 @@ def clock(spark: SparkSession, sf: str) -> DataFrame:
     return build_flows(_named(rows, "clock", cell("at"), cell("then")))
 
 
+def typed_clock(spark: SparkSession, sf: str) -> DataFrame:
+    """(event_type, src, dst, w): the same cells, by the type of the event that a step starts from."""
+    cell = lambda c: F.floor(_since(c) / (6 * HOUR)).cast("int")
+    rows = event_pairs(spark, sf).filter(F.col("then") - F.col("at") <= 48 * HOUR)
+    return rows.groupBy("event_type", cell("at").alias("src"), cell("then").alias("dst")).agg(F.count("*").alias("w"))
+
+
 def clock_grid(spark: SparkSession, sf: str) -> DataFrame:
     """From hour to hour, at most 24 hours later; a cell is the hour of the day and the day."""
     cell = lambda c: F.floor(_since(c) / HOUR)

@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from flowregions.operators.network import small
+
 EVENTS = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
 HOUR = 3600
 
@@ -34,14 +37,14 @@ def once(stream: DataFrame, late: str = "2 hours") -> DataFrame:
     return stream.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
 
 
-def user_pairs(stream: DataFrame, max_gap: int = 24 * HOUR, hours: int = 1) -> DataFrame:
+def user_pairs(stream: DataFrame, max_gap: int = 24 * HOUR, hours: int = 1, late: str = "2 hours") -> DataFrame:
     """(user_id, src, dst, at): cell of a user's event and of the next, where both are at most max_gap seconds apart.
 
-    The state of a user is the last event seen; it goes when a user is silent. Files must bring a
-    user's events in order of time (within a micro-batch they are sorted).
+    The state of a user is the last event seen. It goes once the watermark, ``late`` behind the newest event, is
+    more than max_gap beyond it: no event to come can make a pair with it. Files must bring a user's events in
+    order of time (within a micro-batch they are sorted).
     """
-    at = F.unix_timestamp("ts")
-    rows = stream.select("user_id", "event_id", at.alias("at"))
+    rows = stream.withWatermark("ts", late).select("user_id", "event_id", "ts", F.unix_timestamp("ts").alias("at"))
 
     def step(key: tuple, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
         if state.hasTimedOut:
@@ -55,9 +58,10 @@ def user_pairs(stream: DataFrame, max_gap: int = 24 * HOUR, hours: int = 1) -> D
         then = times[1:]
         out = pd.DataFrame({"user_id": key[0], "at": first, "then": then})
         state.update((int(times[-1]),))
+        state.setTimeoutTimestamp(max((int(times[-1]) + max_gap + 1) * 1000, state.getCurrentWatermarkMs() + 1))
         yield out[out["then"] - out["at"] <= max_gap]
 
-    pairs = rows.groupBy("user_id").applyInPandasWithState(step, "user_id long, at long, then long", "last long", "append", "NoTimeout")
+    pairs = rows.groupBy("user_id").applyInPandasWithState(step, "user_id long, at long, then long", "last long", "append", "EventTimeTimeout")
     cell = lambda c: F.floor((F.col(c) - 1704067200) / (hours * HOUR)).cast("int")
     return pairs.select("user_id", cell("at").alias("src"), cell("then").alias("dst"), "at")
 
@@ -69,7 +73,7 @@ def flow_counts(pairs: DataFrame, network_id: str = "clockgrid") -> DataFrame:
 
 def block_counts(pairs: DataFrame, partition: DataFrame) -> DataFrame:
     """(r, s, w): current weight between the groups of a fixed partition; a stream-static join."""
-    side = F.broadcast(partition.select("unit_id", "label"))
+    side = small(partition.select("unit_id", "label"))
     one = pairs.join(side.select(F.col("unit_id").alias("src"), F.col("label").alias("r")), "src")
     return one.join(side.select(F.col("unit_id").alias("dst"), F.col("label").alias("s")), "dst").groupBy("r", "s").agg(F.count("*").alias("w"))
 
@@ -79,3 +83,56 @@ def drain(stream: DataFrame, name: str, checkpoint: str, mode: str = "complete")
     query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     query.awaitTermination()
     return stream.sparkSession.table(name)
+
+
+def late_counts(stream: DataFrame, late: str) -> DataFrame:
+    """(dropped, n): how many rows of a stream with ``ts`` a watermark ``late`` behind the newest event refuses, and how many it takes.
+
+    A watermark drops late rows without a word. Here each micro-batch is compared with the newest event of the
+    batches before it, which is the mark that holds while it runs; marks and counts are written by batch
+    number, so a replayed batch overwrites its own.
+    """
+    from flowregions.plans.checkpoints import folder
+
+    spark = stream.sparkSession
+    out = f"{folder(spark)}/late-{uuid.uuid4().hex}"
+    seconds = int(pd.Timedelta(late).total_seconds())
+    at = F.unix_timestamp(F.col("ts").cast("timestamp"))
+
+    def put(batch: DataFrame, number: int) -> None:
+        if batch.isEmpty():
+            return
+        mark = spark.read.parquet(f"{out}/marks").filter(F.col("batch") < number).agg(F.max("newest")).first()[0] if number else None
+        dropped = F.lit(False) if mark is None else at < F.lit(mark - seconds)
+        batch.agg(F.max(at).alias("newest")).write.mode("overwrite").parquet(f"{out}/marks/batch={number}")
+        batch.groupBy(dropped.alias("dropped")).agg(F.count("*").alias("n")).write.mode("overwrite").parquet(f"{out}/counts/batch={number}")
+
+    stream.writeStream.option("checkpointLocation", f"{out}/state").trigger(availableNow=True).foreachBatch(put).start().awaitTermination()
+    return spark.read.parquet(f"{out}/counts").groupBy("dropped").agg(F.sum("n").alias("n"))
+
+
+def drift(pairs: DataFrame, units: DataFrame, adjacency: DataFrame, frozen: DataFrame, rep: str = "w") -> DataFrame:
+    """(batch, e, w, dl_frozen, b, dl): after each micro-batch of ``pairs`` the length of a frozen partition for all trips so far, and the greedy one found anew.
+
+    A frozen partition that falls behind says that the flows have changed. Trips are kept by batch number, so a
+    replayed batch overwrites its own.
+    """
+    from flowregions.operators import dl
+    from flowregions.plans import greedy
+    from flowregions.plans.checkpoints import cut, folder
+
+    spark = pairs.sparkSession
+    out = f"{folder(spark)}/drift-{uuid.uuid4().hex}"
+    name = units.select("network_id").first()[0]
+
+    def put(batch: DataFrame, number: int) -> None:
+        if batch.isEmpty():
+            return
+        batch.groupBy("src", "dst").agg(F.count("*").alias("w")).write.mode("overwrite").parquet(f"{out}/flows/batch={number}")
+        flows = cut(spark.read.parquet(f"{out}/flows").filter(F.col("batch") <= number).groupBy(F.lit(name).alias("network_id"), "src", "dst").agg(F.sum("w").alias("w")))
+        best = greedy.best_step(greedy.run(flows, units, adjacency, rep))
+        rows = dl.total(flows, frozen, rep).select("network_id", "e", "w", F.col("dl").alias("dl_frozen")).join(best.select("network_id", "b", "dl"), "network_id")
+        rows.drop("network_id").write.mode("overwrite").parquet(f"{out}/scores/batch={number}")
+
+    pairs.writeStream.option("checkpointLocation", f"{out}/state").trigger(availableNow=True).foreachBatch(put).start().awaitTermination()
+    return spark.read.parquet(f"{out}/scores").select("batch", "e", "w", "dl_frozen", "b", "dl")
