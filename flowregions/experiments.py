@@ -87,7 +87,7 @@ select network_id, src, dst, count(*) as w from (
   union all select 'metro:event/' || event_type, t0 // 21600, nxt // 21600 from (select event_type, floor(epoch(ts))::bigint - 1704067200 as t0, lead(floor(epoch(ts))::bigint - 1704067200) over (partition by user_id order by ts, event_id) as nxt from events) v where nxt - t0 <= 172800
   union all select 'combined:' || c_mktsegment, c_nationkey, s_nationkey from rows_ where planted
   union all select 'combined:' || p.a || '-' || p.b, c_nationkey, s_nationkey from rows_ cross join (select i as a, j as b from range(5) t(i) cross join range(5) u(j) where i < j) p where planted and c_nationkey % 5 in (p.a, p.b) and s_nationkey % 5 in (p.a, p.b)
-  union all select 'state:' || (c_nationkey % 5) || x, (c_nationkey // 5) * 25 + c_nationkey % 5 * 5 + o_custkey % 5, (s_nationkey // 5) * 25 + s_nationkey % 5 * 5 + l_suppkey % 5 from (select *, unnest(['', '/' || o_orderpriority]) as x from rows_) r where planted and c_nationkey % 5 = s_nationkey % 5) p group by 1, 2, 3) f group by 1""")
+  union all select 'state:' || (c_nationkey % 5), (c_nationkey // 5) * 25 + c_nationkey % 5 * 5 + o_custkey % 5, (s_nationkey // 5) * 25 + s_nationkey % 5 * 5 + l_suppkey % 5 from rows_ where planted and c_nationkey % 5 = s_nationkey % 5) p group by 1, 2, 3) f group by 1""")
 
 
 register("panel_flows", _panel_flows, _panel_flows_sql())
@@ -95,7 +95,7 @@ register("panel_flows", _panel_flows, _panel_flows_sql())
 
 def fitted(s: SparkSession, d: str, variants: tuple[str, ...] = mcmc.VARIANTS) -> tuple[DataFrame, ...]:
     """(flows, units, borders, networks, fits, paths with rep): the panel with all its fits and greedy paths, kept as tables for the state of the inputs."""
-    key = fingerprint(s, d, TABLES, variants, mcmc.WARM, mcmc.HOT, mcmc.COOL, mcmc.STARTS, mcmc.FINER, mcmc.TRIED)
+    key = fingerprint(s, d, TABLES, variants, mcmc.WARM, mcmc.HOT, mcmc.COOL, mcmc.STARTS, mcmc.FINER)
     flows = kept(s, "flows", key, lambda: panel.trade_panel(s, d)[0])
     networks = panel.networks_of(flows)
     units = kept(s, "units", key, lambda: panel.panel_units(s, networks))

@@ -17,7 +17,7 @@ def slice_pairs(pairs: DataFrame, by: str, klass: str) -> DataFrame:
 
 def trade_panel(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
     """(flows, networks): metro-like networks by order priority and five-year period, combined ones by market segment and by pair of regions,
-    state-like ones by region (tracts) and by region and priority, and metro-like ones of events by type (six-hour cells).
+    state-like ones by region (tracts), and metro-like ones of events by type (six-hour cells).
 
     Metro-like and segment networks cover all nations, pairs of regions the ten nations of both, state-like ones the
     tracts of one region, event networks the days that the events fall on. Every slice is cut from one counted table.
@@ -29,9 +29,9 @@ def trade_panel(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
     a, b = F.col("c_nationkey") % 5, F.col("s_nationkey") % 5
     pair = F.explode(F.transform(F.filter(F.sequence(F.lit(0), F.lit(4)), lambda r: (r != a) & ((a == b) | (r == b))), lambda r: F.concat_ws("-", F.least(a, r).cast("string"), F.greatest(a, r).cast("string"))))
     regions = rows.select(pair.alias("regions"), F.col("c_nationkey").cast("int").alias("src"), F.col("s_nationkey").cast("int").alias("dst"), "w")
-    tract = rows.filter(a == b).select(W.tract(F.col("c_nationkey"), F.col("ck")).alias("src"), W.tract(F.col("s_nationkey"), F.col("sk")).alias("dst"), "w", a.cast("string").alias("region"), F.concat_ws("/", a.cast("string"), "o_orderpriority").alias("part"))
+    tract = rows.filter(a == b).select(W.tract(F.col("c_nationkey"), F.col("ck")).alias("src"), W.tract(F.col("s_nationkey"), F.col("sk")).alias("dst"), "w", a.cast("string").alias("region"))
     events = W.typed_clock(spark, sf).withColumn("event", F.concat(F.lit("event/"), "event_type"))
-    pairs = slice_pairs(nation, "metro", "metro").unionByName(slice_pairs(nation, "c_mktsegment", "combined")).unionByName(slice_pairs(regions, "regions", "combined")).unionByName(slice_pairs(tract, "region", "state")).unionByName(slice_pairs(tract, "part", "state")).unionByName(slice_pairs(events, "event", "metro"))
+    pairs = slice_pairs(nation, "metro", "metro").unionByName(slice_pairs(nation, "c_mktsegment", "combined")).unionByName(slice_pairs(regions, "regions", "combined")).unionByName(slice_pairs(tract, "region", "state")).unionByName(slice_pairs(events, "event", "metro"))
     flows = pairs.groupBy("network_id", "src", "dst").agg(F.sum("w").alias("w"))
     return flows, networks_of(flows)
 

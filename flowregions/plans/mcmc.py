@@ -39,10 +39,6 @@ class Level(kernel.BlockModel):
         return lmulti(nn, w) if self.rep == "mg" else lmulti(nn, e) + lmulti(nn, w)
 
 
-#: Steps of the merge of groups that are tried as the next level of a hierarchy, the shortest first.
-TRIED = 3
-
-
 def matrix_bits(e: np.ndarray, w: np.ndarray, rep: str, ranked: bool) -> float:
     """Bits of the matrices between B groups; ranked: in order of the ranking, edges up, down and along it apart."""
     b = len(e)
@@ -57,19 +53,23 @@ def matrix_bits(e: np.ndarray, w: np.ndarray, rep: str, ranked: bool) -> float:
 
 
 def ranking(e: np.ndarray, w: np.ndarray, rep: str) -> np.ndarray:
-    """An order of the groups that makes the ranked matrix short: by net flow, then swaps of any two as long as one helps."""
-    order = np.argsort(w.sum(axis=0) - w.sum(axis=1), kind="stable")
-    best, changed = matrix_bits(e[np.ix_(order, order)], w[np.ix_(order, order)], rep, True), True
+    """An order of the groups that makes the ranked matrix short: by net flow, then swaps of neighbours as long as one helps."""
+    order, b = np.argsort(w.sum(axis=0) - w.sum(axis=1), kind="stable").tolist(), len(e)
+    pairs = [x.tolist() for x in ((w,) if rep == "mg" else (e, w))]
+    sums = []
+    for m in pairs:
+        sums.append([sum(m[order[i]][order[j]] for i in range(b) for j in range(i + 1, b)), sum(m[order[j]][order[i]] for i in range(b) for j in range(i + 1, b)), sum(m[i][i] for i in range(b))])
+    price = lambda ways: sum(spread_bits(b, *x) for x in ways)
+    best, changed = price(sums), True
     while changed:
         changed = False
-        for i in range(len(order)):
-            for j in range(i + 1, len(order)):
-                new = order.copy()
-                new[i], new[j] = new[j], new[i]
-                bits = matrix_bits(e[np.ix_(new, new)], w[np.ix_(new, new)], rep, True)
-                if bits < best - 1e-9:
-                    order, best, changed = new, bits, True
-    return order
+        for k in range(b - 1):
+            p, q = order[k], order[k + 1]
+            new = [[x[0] - m[p][q] + m[q][p], x[1] + m[p][q] - m[q][p], x[2]] for x, m in zip(sums, pairs, strict=True)]
+            bits = price(new)
+            if bits < best - 1e-9:
+                order[k], order[k + 1], sums, best, changed = q, p, new, bits, True
+    return np.array(order)
 
 
 def nested_bits(e: np.ndarray, w: np.ndarray, rep: str, ranked: bool) -> tuple[float, list[np.ndarray]]:
@@ -83,19 +83,19 @@ def nested_bits(e: np.ndarray, w: np.ndarray, rep: str, ranked: bool) -> tuple[f
     net = kernel.Network(np.arange(b), src, dst, w[src, dst], i, j, e[src, dst])
     path = kernel.greedy(net, Level(rep))
     flat = lambda k: float(lmulti(k * k, int(w.sum())) + (0.0 if rep == "mg" else lmulti(k * k, int(e.sum()))))
-    for step in sorted((p for p in path if 1 < p[1] < b), key=lambda p: (p[5], p[1]))[:TRIED]:
-        label = np.unique(labels_at(path, b, step[0]), return_inverse=True)[1].ravel()
-        k = int(label.max()) + 1
-        up = np.zeros((b, k), dtype=np.int64)
-        up[np.arange(b), label] = 1
-        if ranked:  # the groups above are numbered by their rank, should theirs be the last matrix
-            place = np.argsort(ranking(up.T @ e @ up, up.T @ w @ up, rep))
-            label, up = place[label], up[:, np.argsort(place)]
-        rest, above = nested_bits(up.T @ e @ up, up.T @ w @ up, rep, ranked)
-        whole = step[5] - flat(step[1]) + rest
-        if whole < best - 1e-9:
-            best, levels = whole, [label, *above]
-    return best, levels
+    step = min((p for p in path if 1 < p[1] < b), key=lambda p: (p[5], p[1]), default=None)
+    if step is None:
+        return best, levels
+    label = np.unique(labels_at(path, b, step[0]), return_inverse=True)[1].ravel()
+    k = int(label.max()) + 1
+    up = np.zeros((b, k), dtype=np.int64)
+    up[np.arange(b), label] = 1
+    if ranked:  # the groups above are numbered by their rank, should theirs be the last matrix
+        place = np.argsort(ranking(up.T @ e @ up, up.T @ w @ up, rep))
+        label, up = place[label], up[:, np.argsort(place)]
+    rest, above = nested_bits(up.T @ e @ up, up.T @ w @ up, rep, ranked)
+    whole = step[5] - flat(step[1]) + rest
+    return (whole, [label, *above]) if whole < best - 1e-9 else (best, levels)
 
 
 def spread_bits(b: int, up: int, down: int, flat: int) -> float:
@@ -457,7 +457,7 @@ def labels_at(path: list, n: int, step: int) -> np.ndarray:
 
 
 #: Numbers of groups, as multiples of the greedy optimum's, at which chains start, and the finer ones at which a hierarchy is tried.
-STARTS, FINER = (1.0, 2.5, 6.0), (1.5, 2.0, 3.0, 4.0)
+STARTS, FINER = (1.0, 2.5, 6.0), (1.5, 2.0, 4.0)
 
 
 def merge_paths(net: kernel.Network, rep: str) -> list[list]:
@@ -521,6 +521,8 @@ def anneal(flows: DataFrame, units: DataFrame, adjacency: DataFrame, variants: t
     flat = sorted({FLAT.get(v, v) for v in variants})
     jobs = F.explode(F.array(*[F.struct(F.lit(v).alias("model"), F.lit(r).alias("rep"), F.lit(c).alias("chain")) for v in flat for r in reps for c in range(chains)]))
     rows = gathered(flows, units, adjacency).withColumn("job", jobs).select("network_id", "job.*", "kind", "a", "b", "w")
+    # fits are long and their rows few: a fixed number of tasks keeps the optimizer from putting them together
+    rows = rows.repartition(4 * flows.sparkSession.sparkContext.defaultParallelism, "network_id", "model", "rep", "chain")
 
     def solve(tab: pa.Table) -> pa.Table:
         name, model, rep, chain = (tab.column(c)[0].as_py() for c in ("network_id", "model", "rep", "chain"))
