@@ -249,16 +249,11 @@ register("ga_frames", lambda s, d: rounded(greedy.run_frames(W.turns(s, d), U.ro
 
 
 def _rounds(s: SparkSession, d: str) -> DataFrame:
-    """The planted network merged in rounds by joins, against the kernel: its shortest length, whether the rounds come within 2 % of it, and what they found."""
-    flows, units, borders = _net(s, d, "nation")
-    flows = cut(flows)
-    part, _ = greedy.run_rounds(flows, units, borders, "w", stop="full")
-    one = greedy.best_step(greedy.run(flows, units, borders, "w")).select("network_id", F.col("dl").alias("kernel_dl"))
-    both = dl.total(flows, part, "w").select("network_id", "dl").join(one, "network_id").join(contiguity.measures(part, borders).select("network_id", "cvm"), "network_id")
-    return rounded(both.select("kernel_dl", (F.col("dl") <= F.col("kernel_dl") * 1.02).alias("near"), (F.col("cvm") < 1e-9).alias("contiguous")))
+    """The turns of conversations merged in rounds by joins: a round is dozens of small jobs, so the network is the smallest one. Two merges at most, so four rounds are enough."""
+    return rounded(greedy.run_rounds(W.turns(s, d), U.roles(s), adj.from_cells(U.roles(s)), "w", most_rounds=4)[1].select("round", "b", "dl"))
 
 
-register("ga_rounds", _rounds, _greedy_sql("f_planted", "a_nation", 25, "w", "select round(min(dl), 4) as kernel_dl, true as near, true as contiguous from gd"))
+register("ga_rounds", _rounds)
 register("ga_no_borders", lambda s, d: rounded(greedy.best_step(greedy.run(W.planted(s, d), U.nations(s, "planted"), adj.from_pairs(W.planted(s, d).select("network_id", F.col("src").alias("a"), F.col("dst").alias("b"))), "w")).select("b", "dl")), _greedy_sql("f_planted", "any_", 25, "w", "select arg_min(b, (round(dl, 8), b))::int as b, round(min(dl), 4) as dl from gd", more="any_ as (select distinct least(src, dst) as a, greatest(src, dst) as b from f_planted where src <> dst),\nfl_ as (select 0 as net, src, dst, w from f_planted)", needs=("f_planted",)))
 
 # ---------------------------------------------------------------- contiguity and similarity
