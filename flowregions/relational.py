@@ -5,7 +5,7 @@ from __future__ import annotations
 import uuid
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from flowregions import oracle as O  # noqa: N812
@@ -279,13 +279,14 @@ def _by_files(s: SparkSession, events: DataFrame, file) -> DataFrame:
     return st.events(s, path)
 
 
-_AT = F.unix_timestamp(F.col("ts").cast("timestamp"))
+def _at() -> Column:
+    return F.unix_timestamp(F.col("ts").cast("timestamp"))
 
 
 def _late(s: SparkSession, d: str) -> DataFrame:
     """Events of which every seventh comes ten days late, counted by whether the watermark still takes them."""
     behind = F.when(F.col("event_id") % 7 == 0, 864000).otherwise(0)
-    return st.late_counts(_by_files(s, tables.read(s, d, "events"), F.floor((_AT + behind) / 432000)), "2 days")
+    return st.late_counts(_by_files(s, tables.read(s, d, "events"), F.floor((_at() + behind) / 432000)), "2 days")
 
 
 register("stream_late", _late, """with e as (select floor(epoch(ts))::bigint as moment, (floor((floor(epoch(ts)) + case when event_id % 7 = 0 then 864000 else 0 end) / 432000))::bigint as file from events),
@@ -296,7 +297,7 @@ select coalesce(moment < mark, false) as dropped, count(*)::bigint as n from e j
 def _drift(s: SparkSession, d: str) -> DataFrame:
     """Trips in ten-day batches: all so far, and whether regions found anew are shorter than the frozen weeks."""
     units = U.clock_grid(s)
-    pairs = st.user_pairs(_by_files(s, tables.read(s, d, "events"), F.floor((_AT - 1704067200) / 864000)))
+    pairs = st.user_pairs(_by_files(s, tables.read(s, d, "events"), F.floor((_at() - 1704067200) / 864000)))
     rows = st.drift(pairs, units, adj.from_cells(units), baselines.admin(units, "grand_id"))
     return rows.select("batch", "e", "w", (F.col("dl") < F.col("dl_frozen")).alias("shorter"))
 
