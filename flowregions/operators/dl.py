@@ -39,22 +39,22 @@ def blocks(flows: DataFrame, partition: DataFrame) -> DataFrame:
 
 def partition_bits(partition: DataFrame) -> DataFrame:
     """(network_id, model, n, b, partition_bits): group sizes, then the assignment."""
-    rows = groups(partition).groupBy(*KEYS).agg(F.sum("n").alias("n"), F.count("*").alias("b"), F.sum(lfact("n" if isinstance("n", Column) else F.col("n"))).alias("inside"))
-    bits = lchoose(F.col("n") - 1, F.col("b") - 1) + lfact(F.col("n")) - F.col("inside")
+    rows = groups(partition).groupBy(*KEYS).agg(F.sum("n").alias("n"), F.count("*").alias("b"), F.sum(lfact("n")).alias("inside"))
+    bits = lchoose("n - 1", "b - 1") + lfact("n") - F.col("inside")
     return rows.select(*KEYS, "n", "b", bits.alias("partition_bits"))
 
 
-def _pairs() -> Column:
-    return F.col("n_r").cast("double") * F.col("n_s")
+#: Pairs of units of a block, as SQL text.
+PAIRS = "CAST(n_r AS DOUBLE) * n_s"
 
 
 def block_bits(blocks_: DataFrame, degree_corrected: bool = False) -> DataFrame:
     """(network_id, model, e, w, mg_bits, simple_bits, weight_bits): sums over the blocks."""
-    aggs = [F.sum("e").alias("e"), F.sum("w").alias("w"), F.sum(lcompositions(F.col("w"), F.col("e"))).alias("weight_bits")]
+    aggs = [F.sum("e").alias("e"), F.sum("w").alias("w"), F.sum(lcompositions("w", "e")).alias("weight_bits")]
     if degree_corrected:
-        aggs += [(-F.sum(lfact(F.col("w")))).alias("mg_bits"), (-F.sum(lfact(F.col("e")))).alias("simple_bits")]
+        aggs += [(-F.sum(lfact("w"))).alias("mg_bits"), (-F.sum(lfact("e"))).alias("simple_bits")]
     else:
-        aggs += [F.sum(lmulti(_pairs(), F.col("w"))).alias("mg_bits"), F.sum(lchoose(_pairs(), F.col("e"))).alias("simple_bits")]
+        aggs += [F.sum(lmulti(PAIRS, "w")).alias("mg_bits"), F.sum(lchoose(PAIRS, "e")).alias("simple_bits")]
     return blocks_.groupBy(*KEYS).agg(*aggs)
 
 
@@ -62,11 +62,11 @@ def degree_bits(flows: DataFrame, partition: DataFrame, rep: str) -> DataFrame:
     """(network_id, model, degree_bits): what the degree-corrected models add to block_bits: arrangements of edge ends, priors of the degrees."""
     one = F.col("w") if rep == "mg" else F.lit(1)
     rows = labelled(flows, partition).withColumn("one", one)
-    parts = rows.groupBy(*KEYS).agg(F.sum(lfact(F.col("one"))).alias("bits"))
+    parts = rows.groupBy(*KEYS).agg(F.sum(lfact("one")).alias("bits"))
     for end, label in (("src", "r"), ("dst", "s")):
         unit = rows.groupBy(*KEYS, end, label).agg(F.sum("one").alias("k"))
-        inside = unit.groupBy(*KEYS, F.col(label).alias("label")).agg(F.sum("k").alias("k"), F.sum(lfact(F.col("k"))).alias("own")).join(groups(partition), [*KEYS, "label"])
-        more = inside.groupBy(*KEYS).agg(F.sum(lfact(F.col("k")) + lmulti(F.col("n"), F.col("k")) - F.col("own")).alias("more"))
+        inside = unit.groupBy(*KEYS, F.col(label).alias("label")).agg(F.sum("k").alias("k"), F.sum(lfact("k")).alias("own")).join(groups(partition), [*KEYS, "label"])
+        more = inside.groupBy(*KEYS).agg(F.sum(lfact("k") + lmulti("n", "k") - F.col("own")).alias("more"))
         parts = parts.join(more, list(KEYS)).select(*KEYS, (F.col("bits") + F.col("more")).alias("bits"))
     return parts.withColumnRenamed("bits", "degree_bits")
 
@@ -74,10 +74,10 @@ def degree_bits(flows: DataFrame, partition: DataFrame, rep: str) -> DataFrame:
 def ranked_matrix_bits(blocks_: DataFrame, b: DataFrame, rep: str) -> DataFrame:
     """(network_id, model, matrix_bits): edges up, down and along a ranking of the groups (by label), each spread over its own pairs of groups."""
     def spread(x: str) -> Column:
-        up, down, flat = (F.col(f"{x}_{k}").cast("double") for k in ("up", "down", "flat"))
-        half = F.col("b") * (F.col("b") - 1) / 2
-        some = lambda slots, n: F.when(slots > 0, lmulti(slots, n)).otherwise(0.0)
-        return lmulti(F.lit(3), up + down + flat) + some(half, up) + some(half, down) + some(F.col("b"), flat)
+        up, down, flat = (f"{x}_{k}" for k in ("up", "down", "flat"))
+        half = "b * (b - 1) / 2"
+        some = lambda slots, n: F.when(F.expr(f"{slots} > 0"), lmulti(slots, n)).otherwise(0.0)
+        return lmulti(3, f"{up} + {down} + {flat}") + some(half, up) + some(half, down) + some("b", flat)
 
     sums = [F.coalesce(F.sum(F.when(cond, F.col(x))), F.lit(0)).alias(f"{x}_{k}") for x in ("e", "w") for k, cond in (("up", F.col("r") < F.col("s")), ("down", F.col("r") > F.col("s")), ("flat", F.col("r") == F.col("s")))]
     rows = blocks_.groupBy(*KEYS).agg(*sums).join(b.select(*KEYS, "b"), list(KEYS))
@@ -93,11 +93,11 @@ def total(flows: DataFrame, partition: DataFrame, rep: str = "w", degree_correct
     cells = blocks(flows, partition) if cells is None else cells
     part, inside = partition_bits(partition), block_bits(cells, degree_corrected)
     rows = part.join(inside, list(KEYS), "left").na.fill(0, ["e", "w", "mg_bits", "simple_bits", "weight_bits"])
-    square = F.col("b").cast("double") * F.col("b")
+    square = "CAST(b AS DOUBLE) * b"
     if ranked:
         rows = rows.join(ranked_matrix_bits(cells, part, rep), list(KEYS), "left").na.fill(0, ["matrix_bits"])
     else:
-        matrix = lmulti(square, F.col("w")) if rep == "mg" else lmulti(square, F.col("e")) + lmulti(square, F.col("w"))
+        matrix = lmulti(square, "w") if rep == "mg" else lmulti(square, "e") + lmulti(square, "w")
         rows = rows.withColumn("matrix_bits", matrix)
     placement = F.col("mg_bits") if rep == "mg" else F.col("simple_bits")
     if degree_corrected:
@@ -126,7 +126,7 @@ def nested_total(flows: DataFrame, hierarchy: DataFrame, rep: str = "w", degree_
         above = cells.join(up("src", "r"), [*KEYS, "src"]).join(up("dst", "s"), [*KEYS, "dst"]).groupBy(*KEYS, "r", "s").agg(F.sum("e").alias("e"), F.sum("w").alias("w"))
         size = groups(part)
         sized = above.join(size.select(*KEYS, F.col("label").alias("r"), F.col("n").alias("n_r")), [*KEYS, "r"]).join(size.select(*KEYS, F.col("label").alias("s"), F.col("n").alias("n_s")), [*KEYS, "s"])
-        cost = lmulti(_pairs(), F.col("w")) if rep == "mg" else lmulti(_pairs(), F.col("e")) + lmulti(_pairs(), F.col("w"))
+        cost = lmulti(PAIRS, "w") if rep == "mg" else lmulti(PAIRS, "e") + lmulti(PAIRS, "w")
         here = sized.groupBy(*KEYS).agg(F.sum(cost).alias("matrix")).join(partition_bits(part), list(KEYS))
         if ranked:
             order = ranked_matrix_bits(cells.withColumnsRenamed({"src": "r", "dst": "s"}), here.select(*KEYS, F.col("n").alias("b")), rep).withColumnRenamed("matrix_bits", "order")
@@ -142,7 +142,7 @@ def objective_total(flows: DataFrame, partition: DataFrame, constant: Callable,
     out, into and own count weight. The twin of kernel.Objective as one plan.
     """
     cells = blocks(flows, partition)
-    rows = partition_bits(partition).select(*KEYS, "n", "b").join(cells.groupBy(*KEYS).agg(F.sum("e").alias("e"), F.sum("w").alias("w"), (F.sum(pair(_pairs(), F.col("e"), F.col("w"))) if pair else F.lit(0.0)).alias("pairs")), list(KEYS), "left").na.fill(0)
+    rows = partition_bits(partition).select(*KEYS, "n", "b").join(cells.groupBy(*KEYS).agg(F.sum("e").alias("e"), F.sum("w").alias("w"), (F.sum(pair(F.expr(PAIRS), F.col("e"), F.col("w"))) if pair else F.lit(0.0)).alias("pairs")), list(KEYS), "left").na.fill(0)
     value = constant(F.col("n"), F.col("b"), F.col("e"), F.col("w")) + F.col("pairs")
     if group:
         ends = cells.groupBy(*KEYS, F.col("r").alias("label")).agg(F.sum("w").alias("out"), F.sum(F.when(F.col("r") == F.col("s"), F.col("w")).otherwise(0)).alias("own")).join(cells.groupBy(*KEYS, F.col("s").alias("label")).agg(F.sum("w").alias("into")), [*KEYS, "label"], "full_outer")
@@ -186,7 +186,7 @@ def merge_gains(flows: DataFrame, partition: DataFrame, adjacency: DataFrame, re
     pairs = touch.select(*KEYS, F.least("la", "lb").alias("r"), F.greatest("la", "lb").alias("s")).distinct()
     pairs = pairs.join(size.select(*KEYS, F.col("label").alias("r"), F.col("n").alias("nr")), [*KEYS, "r"]).join(size.select(*KEYS, F.col("label").alias("s"), F.col("n").alias("ns")), [*KEYS, "s"])
     cost = (lambda nn, e, w: lmulti(nn, w)) if rep == "mg" else (lambda nn, e, w: lchoose(nn, e) + lcompositions(w, e))  # noqa: ARG005
-    mine = cells.withColumn("cost", cost(_pairs(), F.col("e"), F.col("w")))
+    mine = cells.withColumn("cost", cost(PAIRS, "e", "w"))
     # every block with an end in r or s, seen from the candidate: its other end u, or r itself when it lies within
     ends = F.explode(F.array_distinct(F.array("r", "s")))
     seen = mine.withColumn("end", ends)
@@ -198,7 +198,7 @@ def merge_gains(flows: DataFrame, partition: DataFrame, adjacency: DataFrame, re
     u = F.when(F.col("way") == 1, F.col("s")).when(F.col("way") == 2, F.col("r")).otherwise(F.lit(-1))
     nu = F.when(F.col("way") == 1, F.col("n_s")).when(F.col("way") == 2, F.col("n_r")).otherwise(F.col("nr") + F.col("ns"))
     merged = rows.groupBy(*KEYS, "cr", "cs", "nr", "ns", "way", u.alias("u"), nu.alias("nu")).agg(F.sum("e").alias("e"), F.sum("w").alias("w"), F.sum("cost").alias("old"))
-    change = cost((F.col("nr") + F.col("ns")).cast("double") * F.col("nu"), F.col("e"), F.col("w")) - F.col("old")
+    change = cost("CAST(nr + ns AS DOUBLE) * nu", "e", "w") - F.col("old")
     changes = merged.withColumn("change", change).groupBy(*KEYS, F.col("cr").alias("r"), F.col("cs").alias("s")).agg(F.sum("change").alias("change"))
-    own = lfact(F.col("nr")) + lfact(F.col("ns")) - lfact(F.col("nr") + F.col("ns"))
+    own = lfact("nr") + lfact("ns") - lfact("nr + ns")
     return pairs.join(changes, [*KEYS, "r", "s"], "left").select(*KEYS, "r", "s", (own + F.coalesce("change", F.lit(0.0))).alias("delta"))

@@ -52,7 +52,7 @@ def expected_information(cells: DataFrame) -> DataFrame:
     pairs = side("r", "a", "ka").join(side("s", "b", "kb"), KEYS).join(total, KEYS)
     low = F.greatest(F.lit(1), F.col("a") + F.col("b") - F.col("all"))
     rows = pairs.withColumn("k", F.explode(F.sequence(low, F.least("a", "b"))))
-    chance = F.exp(LN2 * (lchoose(F.col("b"), F.col("k")) + lchoose(F.col("all") - F.col("b"), F.col("a") - F.col("k")) - lchoose(F.col("all"), F.col("a"))))
+    chance = F.exp(LN2 * (lchoose("b", "k") + lchoose("`all` - b", "a - k") - lchoose("`all`", "a")))
     term = F.col("ka") * F.col("kb") * F.col("k") / F.col("all") * F.log2(F.col("all") * F.col("k") / (F.col("a") * F.col("b"))) * chance
     return rows.groupBy(*KEYS).agg(F.sum(term).alias("emi"))
 

@@ -48,3 +48,13 @@ def test_sql_functions(spark):
 def test_numpy_forms(a, b):
     n, k = max(a, b), min(a, b)
     assert float(numbers.lchoose(n, k)) == pytest.approx(math.log2(math.comb(n, k)), abs=1e-6)
+
+
+def test_text_and_columns_give_the_same_lengths(spark):
+    grid = spark.range(0, 40).select(F.col("id").alias("n"), (F.col("id") * 7 % 23).alias("k"))
+    text = (bits.lfact("n"), bits.lchoose("n + k", "k"), bits.lmulti("n", "k"), bits.lcompositions("n + k", "n"), bits.plogp("n / 40"), bits.lgamma("n + 0.5D"), bits.lchoose(50, "k"))
+    n, k = F.col("n"), F.col("k")
+    columns = (bits.lfact(n), bits.lchoose(n + k, k), bits.lmulti(n, k), bits.lcompositions(n + k, n), bits.plogp(n / 40), bits.lgamma(n + 0.5), bits.lchoose(50, k))
+    for row in grid.select(*[F.struct(a.alias("text"), b.alias("column")) for a, b in zip(text, columns, strict=True)]).collect():
+        for pair in row:
+            assert pair.text == pair.column
