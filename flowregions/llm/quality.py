@@ -28,8 +28,8 @@ HIDDEN, GATE, EPOCHS, RATE, SEED = 24, 12, 20, 0.02, 11
 #: Hash buckets of words and pairs of words, numbers an embedding has, and its part of the rate and of the weights' decay.
 BUCKETS, EMBEDDED, SLOW, DECAY = 1 << 13, 8, 0.2, 1e-3
 THRESHOLD = 0.7
-#: Texts are encoded together up to so many bytes.
-CHUNK = 1_000_000
+#: Texts are encoded together up to so many letters: encoding takes about 70 bytes a letter.
+CHUNK = 200_000
 
 NAMES = ("upper", "lower", "digit", "marks", "other_marks", "pipes", "lines", "word_bytes", "upper_words", "marked_words", "same_as_last", "same_as_before_last", "distinct", "longest_repeat", "words", "short", "after", "empty")
 D = len(NAMES)

@@ -41,7 +41,9 @@ WIDTH, NUMERATOR, DENOMINATOR = 5, 75, 100
 #: Segments for each shingle of the largest set of a band; bands below TOKENS have a segment for each shingle.
 DENSITY, TOKENS = 0.4, 64
 #: Signatures packed together by a task, letters behind one bucket, classes compared together by a task.
-FLUSH, BUCKET_LETTERS, COMPARED = 400_000, 10_000_000, 2_000
+FLUSH, BUCKET_LETTERS, COMPARED = 200_000, 10_000_000, 2_000
+#: A bucket's signatures are sorted and counted in so many slices, as sorting takes several times the memory of what is sorted.
+SLICES = 8
 #: Classes of a block that is compared with another.
 BLOCK = 600
 #: Sampled documents, and the number of them a signature must be in to bypass the buckets.
@@ -243,6 +245,16 @@ def count_bucket(tab, buckets: int) -> Iterator[tuple]:
     run_key, run_scheme, length = _joined(tab.column("x"), "<i8"), _joined(tab.column("y"), np.uint8), _joined(tab.column("z"), "<u4")
     codes = np.concatenate([unsix(x) for x in tab.column("w").to_pylist()])
     of = np.repeat(np.arange(len(run_key), dtype=np.int32), length)
+    slice_ = ((codes & U(0xFFFFFFFF)) * U(SLICES) >> U(32)).astype(np.uint8)
+    for k in range(SLICES):
+        mine = slice_ == k
+        yield from count_slice(codes[mine], of[mine], run_key, run_scheme, bucket, buckets)
+
+
+def count_slice(codes: np.ndarray, of: np.ndarray, run_key: np.ndarray, run_scheme: np.ndarray, bucket: int, buckets: int) -> Iterator[tuple]:
+    """Of some signatures of a bucket, with all that equal them, those of two classes or more."""
+    if not len(codes):
+        return
     order = np.argsort(codes, kind="stable")
     codes, of = codes[order], of[order]
     start, size = runs(codes)
