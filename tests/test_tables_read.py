@@ -9,8 +9,8 @@ from flowregions.sqlapi import TABLES
 from test_oracles import SF, plain
 
 NAMES = {
-    "adj_nation": "customer", "adj_tract": "customer", "adj_clockgrid": "events", "adj_segments": "customer", "adj_problems": "customer", "coarsen_adj": "customer",
-    "ami_max": "customer", "ami_mean": "customer", "ami_trivial": "customer", "bits_huge": "lineitem", "bits_lgamma": "orders", "bits_table": "lineitem",
+    "adj_nation": "orders", "adj_tract": "orders", "adj_clockgrid": "events", "adj_segments": "orders", "adj_problems": "orders", "coarsen_adj": "orders",
+    "ami_max": "orders", "ami_mean": "orders", "ami_trivial": "orders", "bits_huge": "lineitem", "bits_lgamma": "orders", "bits_table": "lineitem",
 }
 
 
