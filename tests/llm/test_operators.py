@@ -340,6 +340,17 @@ def test_line_dedup_runs_are_maximal(spark):
     assert got == [(1, 1, 4, 0, 0), (2, 0, 3, 0, 2), (2, 4, 3, 0, 0)]
 
 
+def test_line_dedup_deletes_by_maximal_runs(spark, monkeypatch):
+    """The query takes its deletions from the grown runs: without the runs of three lines, only the one of four goes."""
+    texts = ["a\nb\nc\nd\ne", "x\nA\nB\n\nC\nD\ny", "c\nd\ne\nq\na\nb\nc", "h\nh\nh\nh\nh"]
+    docs = docs_of(spark, texts)
+    got = {(r.id, r.at, r.len, r.first_id, r.first_at): r.gone for r in line_dedup.grown(docs).collect()}
+    assert got == {(1, 1, 4, 0, 0): [1, 2, 4, 5], (2, 0, 3, 0, 2): [0, 1, 2], (2, 4, 3, 0, 0): [4, 5, 6], (3, 1, 3, 3, 0): [3], (3, 2, 3, 3, 0): [3, 4]}
+    every = line_dedup.grown
+    monkeypatch.setattr(line_dedup, "grown", lambda *a, **b: every(*a, **b).filter("len > 3"))
+    assert {r.id: r.gone for r in line_dedup.deletions(docs).collect()} == {1: [1, 2, 4, 5]}
+
+
 def test_line_dedup_hot_lines_are_broadcast(spark, monkeypatch):
     from flowregions.llm import common
 
