@@ -53,3 +53,33 @@ def test_rows_are_not_turned_into_arrays_one_by_one(monkeypatch):
     path = kernel.greedy(net, model)
     assert len(path) == 300 and calls[0] < 300 * 14
     assert time.monotonic() - began < 30
+
+
+@pytest.mark.parametrize("rep", ["mg", "w"])
+def test_changes_of_gains_are_priced_once_for_the_merged_pair(monkeypatch, rep):
+    """A merge prices a candidate beside it once, 6 blocks; before, for each of the two clusters and for both, 36."""
+    net, priced, calls = drawn(400, 8), [0], [0]
+    pair = kernel.BlockModel.pair
+
+    def counted(model, nn, e, w):
+        calls[0], priced[0] = calls[0] + 1, priced[0] + max(np.size(nn), np.size(w))
+        return pair(model, nn, e, w)
+
+    monkeypatch.setattr(kernel.BlockModel, "pair", counted)
+    path = kernel.greedy(net, kernel.BlockModel(rep))
+    assert len(path) == 400 and calls[0] < 400 * 8
+    assert priced[0] < 5_000_000  # 7.4 and 8.3 million before
+
+
+def test_gains_kept_are_those_priced_anew(monkeypatch):
+    """Gains that were only changed along the way equal those of the same partition priced from its units."""
+    net, model = drawn(120, 5), kernel.BlockModel("mg")
+    every, left = [], kernel._Candidates.best
+    monkeypatch.setattr(kernel._Candidates, "best", lambda t: (every.append((t.u.copy(), t.v.copy(), t.gains[: len(t.u)].copy())), left(t))[1])
+    path = kernel.greedy(net, model)
+    for k in (20, 70, 110):
+        label, (u, v, gains) = mcmc.labels_at(path, net.n, k), every[k]
+        here, some = path[k][5] - model.constant(net.n, net.n - k, int(net.e.sum()), int(net.w.sum())), np.flatnonzero(u < net.n)[:: max(1, 110 - k)]
+        for i in some.tolist():
+            there = length(net, model, np.where(label == v[i], u[i], label)) - model.constant(net.n, net.n - k - 1, int(net.e.sum()), int(net.w.sum()))
+            assert gains[i] == pytest.approx(there - here, abs=1e-7)
